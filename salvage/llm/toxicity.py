@@ -91,9 +91,7 @@ def continuation_counts(docs: DataFrame, units: Units, text_col: str = "text") -
             yield flush()
 
     def merge(rows: pa.Table) -> pa.Table:
-        i, keys = rows.column("range")[0].as_py(), np.empty(0, np.int64)
-        for packed in rows.column("keys"):
-            keys = np.union1d(keys, _unpack(packed.as_py()))
+        i, keys = rows.column("range")[0].as_py(), np.unique(np.concatenate([_unpack(k.as_py()) for k in rows.column("keys")]))
         right, count = np.unique((keys + i * span) // size, return_counts=True)
         return pa.table({"unit": pa.array(right, pa.int64()), "n": pa.array(count, pa.int64())})
 
@@ -181,24 +179,25 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
     both = sample.where("not curve").select("text", "y").mapInArrow(count, "v binary, w binary, n0 bigint, n1 bigint")
     both = checkpoint(both.groupBy("v", "w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")))
     neighbours = [F.sum((F.col(f"n{y}") > 0).cast("long")).alias(f"n{y}") for y in (0, 1)]
-    by_word = both.groupBy("w").agg(*neighbours).collect()
-    stem_counts: dict[bytes, list[int]] = {}
-    for r in by_word:
-        tally = stem_counts.setdefault(bytes(r["w"])[:STEM], [0, 0])
-        tally[0] += r["n0"]
-        tally[1] += r["n1"]
-    known = sorted(bytes(r["w"]) for r in by_word if r["n0"] + r["n1"] >= WORD_COUNT)
-    units = Units(known, sorted(s for s, c in stem_counts.items() if sum(c) >= WORD_COUNT))
-    left_facts = both.where("length(v) > 0").groupBy("v").agg(*(F.sum(f"n{y}").alias(f"n{y}") for y in (0, 1)), *(F.sum((F.col(f"n{y}") > 0).cast("int")).alias(f"t{y}") for y in (0, 1))).collect()
-    pairs = both.where(F.col("n0") + F.col("n1") >= PAIR_COUNT).where("length(v) > 0").collect()
+    often = lambda least: F.col("n0") + F.col("n1") >= least
+    words_of_sample = checkpoint(both.groupBy("w").agg(*neighbours))
+    sums = [F.sum(f"n{y}").alias(f"n{y}") for y in (0, 1)]
+    whole = words_of_sample.agg(*sums).first()
+    by_word = {bytes(r["w"]): (r["n0"], r["n1"]) for r in words_of_sample.where(often(WORD_COUNT)).toLocalIterator()}
+    by_stem = words_of_sample.groupBy(F.substring("w", 1, STEM).alias("w")).agg(*sums)
+    stem_counts = {bytes(r["w"]): (r["n0"], r["n1"]) for r in by_stem.where(often(WORD_COUNT)).toLocalIterator()}
+    units = Units(sorted(by_word), sorted(stem_counts))
+    lefts = both.where("length(v) > 0").groupBy("v").agg(*sums, *(F.sum((F.col(f"n{y}") > 0).cast("int")).alias(f"t{y}") for y in (0, 1)))
+    lefts = lefts.where(F.least("n0", "n1") >= LEFT_COUNT)
+    left_facts = lefts.collect()
+    pairs = both.where(often(PAIR_COUNT)).join(lefts.select("v"), "v", "left_semi").collect()
 
     shared = continuation_counts(docs, units, text_col) + 1.0
-    words = len(known)
-    total = np.maximum([sum(r[f"n{y}"] for r in by_word) for y in (0, 1)], 1)
+    words = len(units.word)
+    total = np.maximum([whole["n0"] or 0, whole["n1"] or 0], 1)
     unit_counts = np.zeros((2, units.size))
-    for r in by_word:
-        if i := units.word.get(bytes(r["w"])):
-            unit_counts[:, i] = r["n0"], r["n1"]
+    for w, i in units.word.items():
+        unit_counts[:, i] = by_word[w]
     stem_of = np.zeros(units.size, np.int64)
     for w, i in units.word.items():
         stem_of[i] = units.stem.get(w[:STEM], 0)
@@ -212,8 +211,8 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
         n = np.zeros(units.size)
         for s, i in units.stem.items():
             n[i] = stem_counts[s][y]
-        n[0] = max(sum(c[y] for c in stem_counts.values()) - n.sum(), 0)
-        kept = np.maximum(n - DISCOUNT, 0) / max(n.sum(), 1)
+        n[0] = total[y] - n.sum()
+        kept = np.maximum(n - DISCOUNT, 0) / total[y]
         class_stem[y] = kept + (1 - kept.sum()) * in_all
         kept = np.maximum(unit_counts[y] - DISCOUNT, 0) / total[y]
         own = np.zeros(units.size)
