@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from salvage.llm.common import checkpoint
 
 #: Documents a block of the first level should hold, and blocks a block of the next level joins.
-BLOCK_ROWS, FAN_IN = 20_000, 256
+BLOCK_ROWS, FAN_IN = 2_000, 256
 
 
 def word_count(text: Column) -> Column:
