@@ -23,7 +23,7 @@ from salvage.llm.common import blocks, checkpoint
 
 #: Labelled rows a class that fit the model; letters of a stem; least sample counts of a word and of a bigram with its
 #: own parameters; least count, in either class, of a left word that conditions what follows; expressions in the peak; discount; keys kept before a task hands on what it has.
-SAMPLE_ROWS, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 5, 2, 3, 30, 3, 0.75, 1 << 22
+SAMPLE_ROWS, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 5, 2, 3, 30, 3, 0.75, 1 << 20
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
 
@@ -168,13 +168,21 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally: dict[tuple[bytes, bytes], list[int]] = {}
+
+        def flush() -> pa.RecordBatch:
+            columns = [pa.array([k[i] for k in tally], pa.binary()) for i in (0, 1)]
+            out = pa.RecordBatch.from_arrays([*columns, *(pa.array([n[y] for n in tally.values()], pa.int64()) for y in (0, 1))], ["v", "w", "n0", "n1"])
+            tally.clear()
+            return out
+
         for batch in blocks(batches):
             for text, y in zip(batch.column("text").to_pylist(), batch.column("y").to_pylist(), strict=True):
                 words = words_of(text)
                 for key in set(zip([b"", *words], words)):
                     tally.setdefault(key, [0, 0])[y] += 1
-        columns = [pa.array([k[i] for k in tally], pa.binary()) for i in (0, 1)]
-        yield pa.RecordBatch.from_arrays([*columns, *(pa.array([n[y] for n in tally.values()], pa.int64()) for y in (0, 1))], ["v", "w", "n0", "n1"])
+                if len(tally) > FLUSH >> 3:
+                    yield flush()
+        yield flush()
 
     both = sample.where("not curve").select("text", "y").mapInArrow(count, "v binary, w binary, n0 bigint, n1 bigint")
     both = checkpoint(both.groupBy("v", "w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")))
