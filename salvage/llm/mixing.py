@@ -135,10 +135,12 @@ def mix_digest(docs: DataFrame) -> DataFrame:
 def mixed_documents(docs: DataFrame) -> DataFrame:
     """The rows of the mix with the columns of ``docs``: a document taken twice is two rows, one not taken is none.
 
-    Copies are dealt to the rows of an id in the order of their text's hash, so equal ids need no other key.
+    Rows that agree in id, source and size are one to the mix; their copies are dealt in the order of the text's hash.
     """
-    copies = mix(docs).groupBy("doc_id").agg(F.sort_array(F.collect_list("copies"), asc=False).alias("_copies")).withColumnRenamed("doc_id", "_id")
-    nth = F.row_number().over(Window.partitionBy("doc_id").orderBy(word_count(F.col("text")).desc(), F.xxhash64("text")))
-    joined = docs.withColumn("_nth", nth).join(copies, F.col("doc_id").eqNullSafe(F.col("_id")))
-    # An empty text has no copies; among an id's rows it comes last, where the list has its zeros.
-    return joined.select(*(f"`{c}`" for c in docs.columns), F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.element_at("_copies", F.col("_nth")).cast("int")))).alias("_i"), F.element_at("_copies", F.col("_nth")).alias("_n")).where("_n > 0").drop("_i", "_n")
+    own = ["doc_id", "source", "size"]
+    copies = mix(docs).groupBy(*own).agg(F.sort_array(F.collect_list("copies"), asc=False).alias("_copies")).select("_copies", *(F.col(c).alias(f"_{c}") for c in own))
+    sized = docs.withColumn("_words", word_count(F.col("text")))
+    nth = F.row_number().over(Window.partitionBy("doc_id", "source", "_words").orderBy(F.xxhash64("text")))
+    same = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("_words") == F.col("_size"))
+    joined = sized.withColumn("_nth", nth).join(copies, same).withColumn("_n", F.element_at("_copies", F.col("_nth")).cast("int"))
+    return joined.where("_n > 0").select(*(f"`{c}`" for c in docs.columns), F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("_i")).drop("_i")

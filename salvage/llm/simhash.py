@@ -241,13 +241,12 @@ def near_duplicate_digest(docs: DataFrame) -> DataFrame:
 
 
 def drop_near_duplicates(docs: DataFrame) -> DataFrame:
-    """One row of each component, that with the smallest id (among rows of that id, the one whose text's hash is least);
-    a component without any id keeps the row whose fingerprint and text's hash are least. Columns as in ``docs``."""
+    """One row of each component, with the columns of ``docs``: that with the smallest id, among rows of that id the one
+    whose text's hash is least. A component without any id keeps the row whose text's hash is least."""
     found = near_duplicates(docs)
-    kept = found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_id")).distinct()
-    unnamed = found.where("component_id is null").groupBy("root").agg(F.min("h").alias("_h")).select("_h").distinct()
-    first = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64("text")))
-    stay = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("_id"), "left_semi").withColumn("_nth", first)
-    hashed = docs.where("doc_id is null").withColumn("_own", F.xxhash64("text")).join(unnamed, F.col("_own") == F.col("_h"), "left_semi")
-    hashed = hashed.withColumn("_nth", F.row_number().over(Window.partitionBy("_own").orderBy("text"))).drop("_own")
-    return stay.union(hashed).where("_nth = 1").select(*(f"`{c}`" for c in docs.columns))
+    rank = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").alias("i"), F.col("h").alias("h"))
+    kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(F.col("m.i").alias("_id"), F.col("m.h").alias("_h")).distinct()
+    hashed = docs.withColumn("_own", F.xxhash64("text"))
+    stay = hashed.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_h")), "left_semi")
+    nth = F.row_number().over(Window.partitionBy("doc_id", "_own").orderBy(F.lit(0)))
+    return stay.withColumn("_nth", nth).where("_nth = 1").select(*(f"`{c}`" for c in docs.columns))

