@@ -24,7 +24,8 @@ def planted_matrix(k: int = 6, diagonal: float = 0.75) -> np.ndarray:
     """A test matrix: most mass on the diagonal, the rest falling off with the distance of the classes."""
     away = np.abs(np.arange(k)[:, None] - np.arange(k)[None, :])
     off = np.where(away > 0, 0.5 ** away, 0.0)
-    return np.round(diagonal * np.eye(k) + (1 - diagonal) * off / off.sum(1, keepdims=True), 6)
+    out = np.round((1 - diagonal) * off / off.sum(1, keepdims=True), 6)
+    return out + np.diag(np.round(1 - out.sum(1), 6))
 
 
 def simulate_rating(df: DataFrame, t: np.ndarray, id_col: str = "sample_id", truth_col: str = "y", seed: int = 42) -> DataFrame:
