@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from salvage.functions.keys import order_key
 from salvage.functions.materialize import checkpoint
 from salvage.functions.vectors import dot, unit
+from salvage.plans import neighbors
 
 
 def one_hop(nodes: DataFrame, pairs: DataFrame, order: Column | None = None, overlap: bool = False) -> DataFrame:
@@ -45,6 +46,18 @@ def one_hop(nodes: DataFrame, pairs: DataFrame, order: Column | None = None, ove
     return own.union(members)
 
 
+def one_hop_of_copies(vectors: DataFrame, min_sim: float = 0.9, **options) -> DataFrame:
+    """One-hop clusters of rows of which many may be copies, by banded pairs.
+
+    Equal vectors are covered by the same centroids, so a class of them is clustered as its first row in the random
+    order, and its other rows follow: to that row if it is a centroid, else to the row's centroid.
+    """
+    heads, members = neighbors.collapse(vectors, order_key("sample_id"))
+    hop = one_hop(heads, neighbors.sim_pairs(heads, min_sim, "lsh", **options)).withColumnRenamed("sample_id", "head")
+    own = F.col("sample_id") == F.col("head")
+    return members.join(hop, "head").select("sample_id", "cluster_id", "sim_to_centroid", (F.col("is_centroid") & own).alias("is_centroid"))
+
+
 def components(nodes: DataFrame, pairs: DataFrame) -> DataFrame:
     """(sample_id, component_id): the smallest id reachable over links; rounds of large and small stars."""
 

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from salvage.functions.materialize import checkpoint
@@ -51,6 +51,8 @@ def sim_pairs(df: DataFrame, min_sim: float = 0.9, method: str = "exact", block_
 
     ``exact`` compares blocks by matrix products. ``lsh`` compares rows that agree on all bits of a band: at cosine c a
     bit agrees with probability 1 - acos(c)/pi, so 40 bands of 12 bits find 99.9 % of the pairs at 0.9. Both verify.
+    Rows with equal vectors are one class for ``lsh``: pairs are between the classes' smallest ids, and each other member
+    is linked to its class's smallest id alone, so a group of copies costs as many pairs as it has rows.
     """
     if method == "exact":
 
@@ -65,11 +67,24 @@ def sim_pairs(df: DataFrame, min_sim: float = 0.9, method: str = "exact", block_
                     yield pa.RecordBatch.from_arrays([pa.array(low[keep]), pa.array(high[keep]), pa.array(sim[keep])], ["a", "b", "sim"])
 
         return _block_pairs(df, block_rows, False).mapInArrow(run, "a bigint, b bigint, sim double")
-    return _verify(df, _candidates(df, bits, bands, seed), min_sim)
+    heads, members = collapse(df)
+    star = members.where("sample_id <> head").select(F.col("head").alias("a"), F.col("sample_id").alias("b"))
+    return _verify(df, _candidates(heads, bits, bands, seed).union(star), min_sim)
+
+
+def collapse(df: DataFrame, order: Column | None = None) -> tuple[DataFrame, DataFrame]:
+    """One row (sample_id, vec) for each distinct vector, its first row by ``order`` (else the smallest id), and all rows
+    as members (sample_id, head)."""
+    first = F.struct((F.lit(0) if order is None else order).alias("o"), F.col("sample_id").alias("i"))
+    keyed = df.select("sample_id", first.alias("f"), F.md5(F.col("vec").cast("string")).alias("h"))
+    least = keyed.groupBy("h").agg(F.min("f").alias("m")).select("h", F.col("m.i").alias("head"))
+    members = checkpoint(keyed.join(least, "h").select("sample_id", "head"))
+    heads = df.select("sample_id", "vec").join(members.where("sample_id = head").select("sample_id"), "sample_id", "left_semi")
+    return heads, members
 
 
 def _candidates(df: DataFrame, bits: int, bands: int, seed: int) -> DataFrame:
-    """(a, b): distinct pairs of rows that agree on a band. Equal vectors are one row here and are linked to it."""
+    """(a, b), a < b: distinct pairs of rows that agree on a band; the vectors should be distinct."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         planes = None
@@ -84,17 +99,9 @@ def _candidates(df: DataFrame, bits: int, bands: int, seed: int) -> DataFrame:
             keys = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1) * bands, pa.int32()), pa.array(key.ravel().astype(np.int64)))
             yield pa.RecordBatch.from_arrays([batch.column("sample_id"), keys], ["sample_id", "keys"])
 
-    same = df.select("sample_id", F.md5(F.col("vec").cast("string")).alias("h"))
-    least = same.groupBy("h").agg(F.min("sample_id").alias("least"))
-    copies = same.join(least, "h").where("sample_id <> least").select(F.col("least").alias("a"), F.col("sample_id").alias("b"))
-    banded = df.join(least.select(F.col("least").alias("sample_id")), "sample_id", "left_semi").select("sample_id", "vec").mapInArrow(run, "sample_id bigint, keys array<bigint>").select("sample_id", F.explode("keys").alias("key"))
-    banded = checkpoint(banded)
-    met = banded.alias("x").join(banded.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.sample_id") < F.col("y.sample_id"))).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct()
-    groups = copies.select("a", "b").union(copies.select("a", F.col("a").alias("b"))).distinct()  # representative, member
-    met_members = met.join(groups.select(F.col("a").alias("ra"), F.col("b").alias("ma")), F.col("a") == F.col("ra"), "left").join(groups.select(F.col("a").alias("rb"), F.col("b").alias("mb")), F.col("b") == F.col("rb"), "left")
-    across = met_members.select(F.coalesce("ma", "a").alias("x"), F.coalesce("mb", "b").alias("y"))
-    within = groups.alias("p").join(groups.alias("q"), (F.col("p.a") == F.col("q.a")) & (F.col("p.b") < F.col("q.b"))).select(F.col("p.b").alias("x"), F.col("q.b").alias("y"))
-    return across.union(within).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).where("a <> b").distinct()
+    banded = checkpoint(df.select("sample_id", "vec").mapInArrow(run, "sample_id bigint, keys array<bigint>").select("sample_id", F.explode("keys").alias("key")))
+    x, y = banded.alias("x"), banded.alias("y")
+    return x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.sample_id") < F.col("y.sample_id"))).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct()
 
 
 def _verify(df: DataFrame, pairs: DataFrame, min_sim: float) -> DataFrame:
@@ -112,7 +119,12 @@ def knn(df: DataFrame, k: int, metric: str = "cosine", method: str = "exact", bl
     """(sample_id, nn_rank, nn_id, sim): the k nearest other rows; sim is the cosine or the negative Euclid distance,
     to nine decimals, with ties to smaller ids. ``queries`` limits whose neighbours are asked for."""
     if method == "lsh":
-        met = _candidates(df, bits, bands, seed)
+        # Of each class of equal vectors the first k + 1 ids stand for it; no row needs more of them as neighbours.
+        heads, members = collapse(df)
+        near = _candidates(heads, bits, bands, seed)
+        classes = near.select(F.col("a").alias("p"), F.col("b").alias("q")).union(near.select(F.col("b").alias("p"), F.col("a").alias("q"))).union(members.select(F.col("head").alias("p"), F.col("head").alias("q")).distinct())
+        some = members.withColumn("n", F.row_number().over(Window.partitionBy("head").orderBy("sample_id"))).where(F.col("n") <= k + 1).select(F.col("head").alias("q"), F.col("sample_id").alias("y"))
+        met = classes.join(members.withColumnRenamed("head", "p"), "p").join(some, "q").where("sample_id <> y").select(F.least("sample_id", "y").alias("a"), F.greatest("sample_id", "y").alias("b")).distinct()
         scored = _verify(df, met, -2.0)
         both = scored.select(F.col("a").alias("sample_id"), F.col("b").alias("nn_id"), "sim").union(scored.select(F.col("b").alias("sample_id"), F.col("a").alias("nn_id"), "sim"))
     else:

@@ -58,7 +58,7 @@ def one_hop_text(spark, sf):
     """The low documents' clusters at 0.9 on text vectors."""
     low = low_documents(spark, sf).select(F.col("doc_id").alias("sample_id"))
     v = text_vectors(spark, sf).join(low, "sample_id", "left_semi")
-    return clusters.one_hop(v, neighbors.sim_pairs(v, 0.9, "lsh"))
+    return clusters.one_hop_of_copies(v)
 
 
 @query("components", f"WITH RECURSIVE {PAIRS_SQL}, both_ AS (SELECT a, b FROM pairs UNION ALL SELECT b, a FROM pairs), reach(s, t) AS (SELECT sample_id, sample_id FROM unit_ UNION SELECT s, b FROM reach JOIN both_ ON t = a) SELECT s AS sample_id, min(t) AS component_id FROM reach GROUP BY 1")

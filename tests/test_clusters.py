@@ -89,7 +89,7 @@ def test_representatives_by_hand(spark):
 def test_hyperplane_bands_find_most_pairs(spark):
     rng = np.random.default_rng(8)
     base = rng.standard_normal((40, 16))
-    m = np.vstack([base + 0.1 * rng.standard_normal((40, 16)) for _ in range(5)] + [base[:3], base[:3]])
+    m = np.vstack([base + 0.1 * rng.standard_normal((40, 16)) for _ in range(5)] + [base[:3]])
     v = frame(spark, m)
     exact, found = neighbors.sim_pairs(v, 0.9), neighbors.sim_pairs(v, 0.9, "lsh")
     score = neighbors.recall(found, exact, ["a", "b"]).first()
@@ -119,3 +119,17 @@ def test_ring_never_pairs_inside_a_cluster(spark):
     reps = spark.createDataFrame([(i, i % 3) for i in range(21)], "sample_id long, cluster_id long")
     rows = pairing.inter_pairs(reps).collect()
     assert all(r["cluster_a"] != r["cluster_b"] for r in rows) and len({x for r in rows for x in (r["a"], r["b"])}) == 2 * len(rows)
+
+
+def test_copies_are_linked_once_and_clustered_alike(spark):
+    rng = np.random.default_rng(9)
+    base = rng.standard_normal((12, 8))
+    v = frame(spark, np.vstack([base, base + 0.05 * rng.standard_normal((12, 8)), np.repeat(base[:2], 30, 0)]))
+    pairs = neighbors.sim_pairs(v, 0.9, "lsh")
+    assert pairs.count() < 150  # stars, not all pairs of the copies
+    full = clusters.one_hop(v, neighbors.sim_pairs(v, 0.9))
+    strip = lambda df: sorted((r["sample_id"], r["cluster_id"], r["is_centroid"]) for r in df.collect())
+    assert strip(clusters.one_hop_of_copies(v, 0.9)) == strip(full)
+    near, exact = neighbors.knn(v, 3, method="lsh"), neighbors.knn(v, 3)
+    copies = lambda df: sorted((r["sample_id"], r["nn_rank"], r["nn_id"]) for r in df.collect() if r["sample_id"] >= 24)
+    assert copies(near) == copies(exact)
