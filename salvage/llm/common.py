@@ -8,8 +8,9 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-#: Rows handled together inside one Arrow batch, so that texts of a batch are decoded in slices.
-BLOCK_ROWS = 512
+#: Rows of texts decoded together, and rows of an Arrow batch on its way to a worker: whole texts are long, and the
+#: default of 10,000 rows would hold hundreds of MB for each task, outside the heap.
+BLOCK_ROWS, BATCH_ROWS = 512, 512
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -30,6 +31,14 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def short_batches(df: DataFrame) -> DataFrame:
+    """``df``, after the session's Arrow batches (a setting of queries, not of the start) are limited to BATCH_ROWS."""
+    conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(name, "10000")) <= BATCH_ROWS:
+        conf.set(name, str(BATCH_ROWS))
+    return df
+
+
 def blocks(batches: Iterator[pa.RecordBatch], rows: int = BLOCK_ROWS) -> Iterator[pa.RecordBatch]:
     """The same rows in slices of at most ``rows`` rows."""
     for batch in batches:

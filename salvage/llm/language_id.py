@@ -12,6 +12,7 @@ declaration, or a posterior below a half) are undetermined.
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 
@@ -20,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks
+from salvage.llm.common import blocks, checkpoint, short_batches
 
 #: Labelled rows a language that fit the text models; buckets of hashed trigrams; power of the text likelihood; chance
 #: that a declaration is true; pseudo-counts of the suffix's and the overall prior; rows of the prior table that may be
@@ -110,7 +111,7 @@ def suffix_of(host: Column) -> Column:
     return F.nullif(F.regexp_extract(host, r"\.([^.]+)$", 1), F.lit(""))
 
 
-def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None, suffix: str | None = None, declared: str | None = None, markup: bool = False) -> DataFrame:
+def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None, suffix: str | None = None, declared: str | None = None, markup: bool = False, drop_text: bool = False) -> DataFrame:
     """``df`` with ``language``, ``confidence`` and ``text_language``; the arguments name its columns of evidence.
 
     Null or empty evidence is no evidence. Columns of ``df`` with these three names are replaced. Rows are never dropped;
@@ -123,55 +124,63 @@ def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None
         return df.select(*(f"`{c}`" for c in names), F.lit(UNDETERMINED).alias("language"), F.lit(0.0).alias("confidence"), F.lit(None).cast("string").alias("text_language"))
     shared = df.sparkSession.sparkContext.broadcast(model)
 
-    def scorer(where: int):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            own = shared.value
-            for batch in blocks(batches):
-                got = [own.score(t, markup) for t in batch.column(where).to_pylist()]
-                arrays = [*batch.columns, pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.list_(pa.float64()))]
-                yield pa.RecordBatch.from_arrays(arrays, [*batch.schema.names, "_grams", "_ll"])
-
-        return run
-
-    def scored(columns: DataFrame, where: int) -> DataFrame:
-        fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in columns.schema.fields)
-        out = columns.mapInArrow(scorer(where), fields + ", _grams bigint, _ll array<double>")
-        return out.withColumn("_best", F.when(F.col("_grams") > 0, F.array_position("_ll", F.lit(0.0)).cast("int") - 1))
+    def vote(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in blocks(batches):
+            got = [own.score(t, markup) for t in batch.column(0).to_pylist()]
+            best = [g[1].index(0.0) if g[0] else None for g in got]
+            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(best, pa.int32())], ["_host", "_suffix", "_best"])
 
     column = lambda c: F.col(f"`{c}`") if c else F.lit(None)
     evidence = df.select(column(text).alias("_text"), column(host).cast("string").alias("_host"), column(suffix).cast("string").alias("_suffix"))
-    votes = scored(evidence, 0).where("_best is not null").groupBy("_host", "_suffix", "_best").count()
-    votes = votes.persist()  # one row a host, suffix and language
+    votes = checkpoint(short_batches(evidence).mapInArrow(vote, "_host string, _suffix string, _best int").where("_best is not null").groupBy("_host", "_suffix", "_best").count())  # one row a host, suffix and language
     overall = np.ones(n)
     for r in votes.groupBy("_best").agg(F.sum("count").alias("c")).collect():
         overall[r["_best"]] += r["c"]
     overall = overall / overall.sum()
-    prior0 = F.array(*map(F.lit, overall.tolist()))
     counts = F.array(*(F.sum(F.when(F.col("_best") == i, F.col("count")).otherwise(0)).cast("double") for i in range(n)))
-    smooth = lambda c, below: F.zip_with(c, below, lambda x, y: x + SMOOTH * y)
     by_suffix = votes.where("_suffix is not null").groupBy("_suffix").agg(counts.alias("_sc"))
     by_host = votes.where("_host is not null").groupBy("_host", "_suffix").agg(counts.alias("_hc"))
-    table = by_host.join(by_suffix, "_suffix", "left").select(F.col("_host").alias("_h"), F.col("_suffix").alias("_s"), "_hc", F.coalesce("_sc", F.array_repeat(F.lit(0.0), n)).alias("_sc"))
+    table = by_host.join(by_suffix, "_suffix", "left").select(F.col("_host").alias("_h"), F.col("_suffix").alias("_s"), "_hc", "_sc")
     if table.count() <= BROADCAST_ROWS:
         table = F.broadcast(table)
-    full = df.select(*(f"`{c}`" for c in names), column(host).cast("string").alias("_host"), column(suffix).cast("string").alias("_suffix"), column(declared).cast("string").alias("_declared"))
-    joined = scored(full, names.index(text)).join(table, (F.col("_host") == F.col("_h")) & F.col("_suffix").eqNullSafe(F.col("_s")), "left")
-    zero = F.array_repeat(F.lit(0.0), n)
-    own = F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.when(i == F.col("_best"), 1.0).otherwise(0.0))
-    less = lambda c: F.zip_with(F.coalesce(c, zero), F.when(F.col("_h").isNotNull() & F.col("_best").isNotNull(), own).otherwise(zero), lambda x, y: F.greatest(x - y, F.lit(0.0)))
-    total = lambda c: F.aggregate(c, F.lit(0.0), lambda a, x: a + x)
-    share = lambda c: F.transform(c, lambda x: x / total(c))
-    with_suffix = joined.withColumn("_p1", share(smooth(less(F.col("_sc")), prior0)))
-    with_prior = with_suffix.withColumn("_p2", share(smooth(less(F.col("_hc")), F.col("_p1"))))
-    said = F.array(*map(F.lit, languages))
-    known = F.array_contains(said, F.lower("_declared"))
-    markup_ll = F.transform(said, lambda x: F.when(known, F.when(x == F.lower("_declared"), TRUST).otherwise((1 - TRUST) / max(1, n - 1))).otherwise(1.0))
-    log = F.zip_with(F.zip_with("_p2", "_ll", lambda p, l: F.log(p) + TEMPER * l), markup_ll, lambda a, m: a + F.log(m))
-    with_log = with_prior.withColumn("_log", log).withColumn("_odds", F.transform("_log", lambda x: F.exp(x - F.array_max("_log"))))
-    best = F.array_max("_odds") / total(F.col("_odds"))
-    which = F.element_at(said, F.array_position("_odds", F.array_max("_odds")).cast("int"))
-    sure = ((F.col("_grams") > 0) | F.coalesce(known, F.lit(False))) & (best >= 0.5)
-    return with_log.select(*(f"`{c}`" for c in names), F.when(sure, which).otherwise(UNDETERMINED).alias("language"), F.round(best, 9).alias("confidence"), F.when(F.col("_best").isNotNull(), F.element_at(said, F.col("_best") + 1)).alias("text_language"))
+    full = df.select(*(f"`{c}`" for c in names), column(host).cast("string").alias("_host"), column(suffix).cast("string").alias("_suffix"), F.lower(column(declared).cast("string")).alias("_declared"))
+    joined = full.join(table, (F.col("_host") == F.col("_h")) & F.col("_suffix").eqNullSafe(F.col("_s")), "left").select(*(f"`{c}`" for c in names), "_declared", "_hc", "_sc")
+    where = names.index(text)
+    kept = [i for i, c in enumerate(names) if not (drop_text and c == text)]
+
+    def decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in blocks(batches):
+            out: list[tuple[str, float, str | None]] = []
+            for t, said, hc, sc in zip(*(batch.column(i).to_pylist() for i in (where, len(names), len(names) + 1, len(names) + 2)), strict=True):
+                out.append(posterior(own, t, markup, said, hc, sc, overall))
+            arrays = [pa.array([o[0] for o in out], pa.string()), pa.array([o[1] for o in out], pa.float64()), pa.array([o[2] for o in out], pa.string())]
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in kept), *arrays], [*(names[i] for i in kept), "language", "confidence", "text_language"])
+
+    fields = ", ".join(f"`{names[i]}` {df.schema[names[i]].dataType.simpleString()}" for i in kept)
+    return short_batches(joined).mapInArrow(decide, fields + ", language string, confidence double, text_language string")
+
+
+def posterior(model: TextModel, text: str | None, markup: bool, said: str | None, by_host: list[float] | None, by_suffix: list[float] | None, overall: np.ndarray) -> tuple[str, float, str | None]:
+    """Language, its posterior, and the text's own choice; the row's own vote is taken out of the counts."""
+    grams_, ll = model.score(text, markup)
+    best = ll.index(0.0) if grams_ else None
+    prior = overall
+    for counts in (by_suffix, by_host):
+        if counts is not None:
+            c = np.array(counts)
+            if best is not None:
+                c[best] = max(c[best] - 1, 0)
+            prior = (c + SMOOTH * prior) / (c.sum() + SMOOTH)
+    log = np.log(prior) + TEMPER * np.array(ll)
+    known = said in model.languages
+    if known:
+        log += np.where(np.array(model.languages) == said, math.log(TRUST), math.log((1 - TRUST) / max(1, len(ll) - 1)))
+    odds = np.exp(log - log.max())
+    i = int(odds.argmax())
+    sure = round(float(odds[i] / odds.sum()), 9)
+    return model.languages[i] if (grams_ or known) and sure >= 0.5 else UNDETERMINED, sure, None if best is None else model.languages[best]
 
 
 def identify_corpus(docs: DataFrame, pages: DataFrame) -> DataFrame:
@@ -181,9 +190,9 @@ def identify_corpus(docs: DataFrame, pages: DataFrame) -> DataFrame:
     whether a language was found.
     """
     model = fit(docs)
-    from_docs = identify(docs.select("doc_id", "text", "source"), model, "text", "source")
+    from_docs = identify(docs.select("doc_id", "text", "source"), model, "text", "source", drop_text=True)
     own = pages.select("page_id", "html", declared_in(F.col("html")).alias("declared"), host_in(F.col("url")).alias("host")).withColumn("suffix", suffix_of(F.col("host")))
-    from_pages = identify(own, model, "html", "host", "suffix", "declared", True)
+    from_pages = identify(own, model, "html", "host", "suffix", "declared", True, True)
     null = lambda kind: F.lit(None).cast(kind)
     judged = lambda df, *first: df.select(*first, "language", "confidence", "text_language", (F.col("language") != UNDETERMINED).alias("kept"))
     return judged(from_docs, F.lit("documents").alias("origin"), "doc_id", null("bigint").alias("page_id"), F.col("source").alias("host"), null("string").alias("suffix"), null("string").alias("declared")).union(

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks
+from salvage.llm.common import blocks, short_batches
 
 #: ASCII letters and digits and everything beyond ASCII make words; A-Z become a-z.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -174,7 +174,7 @@ def scan_licenses(df: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
     kind = df.schema[id_col].dataType.simpleString()
     span, place = "struct<label:string,first:bigint,end:bigint,priority:int,confidence:double>", "struct<label:string,first:bigint>"
-    return df.select(id_col, text_col).mapInArrow(scan, f"`{id_col}` {kind}, n_words bigint, base array<{place}>, detections array<{span}>")
+    return short_batches(df.select(id_col, text_col)).mapInArrow(scan, f"`{id_col}` {kind}, n_words bigint, base array<{place}>, detections array<{span}>")
 
 
 def license_digest(docs: DataFrame) -> DataFrame:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks, checkpoint
+from salvage.llm.common import blocks, checkpoint, short_batches
 
 #: Remainders in a group of the first level, and groups that the next level joins.
 GROUP_ROWS, FAN_IN = 8192, 16
@@ -42,7 +42,9 @@ def encoder(ranks_path: str, json_path: str):
     def encode(text: str) -> np.ndarray:
         try:
             ids = fast.encode(text, allowed_special="all") if "<|endoftext|>" in text else fast.encode_ordinary(text)
-        except BaseException:  # the library's panics are not Exceptions
+        except BaseException as e:  # the library's panics are not Exceptions
+            if isinstance(e, (KeyboardInterrupt, SystemExit, GeneratorExit, MemoryError)):
+                raise
             if not slow:
                 from tokenizers import Tokenizer
 
@@ -86,7 +88,7 @@ def cut_pieces(docs: DataFrame, paths: tuple[str, str] | None = None, room: int
             yield pa.RecordBatch.from_arrays(arrays + [pa.array(kept, pa.list_(pa.uint32())).cast(pa.list_(pa.int64()))] * keep_ids, names)
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint" + ", ids array<bigint>" * keep_ids)
+    return short_batches(docs.select(id_col, text_col)).mapInArrow(run, f"`{id_col}` {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint" + ", ids array<bigint>" * keep_ids)
 
 
 def fullest(lengths: list[int], counts: dict[int, int], room: int) -> dict[int, int]:

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks, checkpoint
+from salvage.llm.common import blocks, checkpoint, short_batches
 
 SHINGLE, SEED, THRESHOLD = 3, 42, 2
 _BITS, _RADIUS, _GENERATOR = 23, 3, 0b101011100011  # fixed values of the Golay code
@@ -56,7 +56,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fp = np.array([text_fingerprint(t) for t in batch.column(1).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(fp.view(np.int64))], ["id", "h", "fp"])
 
-    return docs.select(id_col, text_col, F.xxhash64(text_col)).mapInArrow(run, f"id {docs.schema[id_col].dataType.simpleString()}, h bigint, fp bigint")
+    return short_batches(docs.select(id_col, text_col, F.xxhash64(text_col))).mapInArrow(run, f"id {docs.schema[id_col].dataType.simpleString()}, h bigint, fp bigint")
 
 
 @lru_cache(maxsize=1)

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks
+from salvage.llm.common import blocks, short_batches
 
 #: Bytes of a k-mer and of an inner s-mer (fixed at 8, one machine word), hashes in a fingerprint, bytes hashed at once.
 K, S, SKETCH, CHUNK = 16, 8, 48, 1 << 20
@@ -152,4 +152,4 @@ def fingerprint_digest(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     if docs.isEmpty():
         return docs.sparkSession.createDataFrame([], f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
     kind = docs.schema[id_col].dataType.simpleString()
-    return with_successors(docs, id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return short_batches(with_successors(docs, id_col, text_col)).mapInArrow(run, f"`{id_col}` {kind}, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")

@@ -367,6 +367,18 @@ def test_packing_round_trip(spark, docs, odd):
     assert wasted < 2 * 2048 + 0.01 * sum(filled)
 
 
+def test_ids_are_those_of_the_json_file():
+    from tokenizers import Tokenizer
+
+    ranks, json_path = packing.tokenizer_paths()
+    encode, whole = packing.encoder(ranks, json_path), Tokenizer.from_file(json_path)
+    rng = random.Random(11)
+    alphabet = "abc XYZ012\n\t\r\u00a0éß中文🙂\u200d'’.,!?<|endoftext|>#$ \u3000\x00\x7f"
+    texts = ["", " ", "  a  b   ", "a" * 5000, " " * 5000 + "x", "<|endoftext|>" * 3, "it's I'LL we've", "\u0301e\u0301", "🙂" * 300, "x\n" * 2000] + ["".join(rng.choice(alphabet) for _ in range(rng.randint(1, 200))) for _ in range(400)]
+    for text in texts:
+        assert encode(text).tolist() == whole.encode(text, add_special_tokens=False).ids, text[:80]
+
+
 def test_packing_nothing(none):
     assert packing.pack_documents(none).count() == 0
 
