@@ -122,7 +122,6 @@ def join_cross(spark, sf):
 def join_lateral(spark, sf):
     top = read(spark, sf, "lineitem").select("l_suppkey", "l_orderkey", "l_linenumber", "l_extendedprice")
     best = top.groupBy("l_suppkey").agg(F.expr("slice(array_sort(collect_list(struct(-l_extendedprice as p, l_orderkey as o, l_linenumber as n))), 1, 2)").alias("two"))
-    best.createOrReplaceTempView("salvage_best_lines")
     return read(spark, sf, "supplier").join(best, F.col("s_suppkey") == F.col("l_suppkey")).select("s_suppkey", F.inline("two")).select("s_suppkey", F.col("o").alias("l_orderkey"), F.col("n").alias("l_linenumber"))
 
 

@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from salvage.functions.keys import order_key_sql
-from salvage.functions.vectors import mean_vectors  # noqa: F401
 from salvage.plans import neighbors, pairing, representatives
 from salvage.plans.fixtures import PAIRS_SQL, given_vectors, text_vectors
 from salvage.plans.fuse import rules
