@@ -245,8 +245,8 @@ def drop_near_duplicates(docs: DataFrame) -> DataFrame:
     whose text's hash is least. A component without any id keeps the row whose text's hash is least."""
     found = near_duplicates(docs)
     rank = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").alias("i"), F.col("h").alias("h"))
-    kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(F.col("m.i").alias("_id"), F.col("m.h").alias("_h")).distinct()
-    hashed = docs.withColumn("_own", F.xxhash64("text"))
-    stay = hashed.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_h")), "left_semi")
-    nth = F.row_number().over(Window.partitionBy("doc_id", "_own").orderBy(F.lit(0)))
+    key = lambda i, h: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), h)  # noqa: E731  one column, so that the texts move once
+    kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(key(F.col("m.i"), F.col("m.h")).alias("_key")).distinct()
+    stay = docs.withColumn("_key", key(F.col("doc_id"), F.xxhash64("text"))).join(kept, "_key", "left_semi")
+    nth = F.row_number().over(Window.partitionBy("_key").orderBy(F.lit(0)))
     return stay.withColumn("_nth", nth).where("_nth = 1").select(*(f"`{c}`" for c in docs.columns))
