@@ -137,10 +137,9 @@ def mixed_documents(docs: DataFrame) -> DataFrame:
 
     Rows that agree in id, source and size are one to the mix; their copies are dealt in the order of the text's hash.
     """
-    own = ["doc_id", "source", "size"]
-    copies = mix(docs).groupBy(*own).agg(F.sort_array(F.collect_list("copies"), asc=False).alias("_copies")).select("_copies", *(F.col(c).alias(f"_{c}") for c in own))
-    sized = docs.withColumn("_words", word_count(F.col("text")))
-    nth = F.row_number().over(Window.partitionBy("doc_id", "source", "_words").orderBy(F.xxhash64("text")))
-    same = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("_words") == F.col("_size"))
-    joined = sized.withColumn("_nth", nth).join(copies, same).withColumn("_n", F.element_at("_copies", F.col("_nth")).cast("int"))
+    whole = lambda c: F.coalesce(F.concat(F.lit("+"), F.col(c).cast("string")), F.lit("-"))
+    key = lambda size: F.concat_ws("|", size, whole("doc_id"), whole("source")).alias("_key")  # noqa: E731  one column, so that the texts move once
+    copies = mix(docs).groupBy(key(F.col("size"))).agg(F.sort_array(F.collect_list("copies"), asc=False).alias("_copies"))
+    nth = F.row_number().over(Window.partitionBy("_key").orderBy(F.xxhash64("text")))
+    joined = docs.withColumn("_key", key(word_count(F.col("text")))).withColumn("_nth", nth).join(copies, "_key").withColumn("_n", F.element_at("_copies", F.col("_nth")).cast("int"))
     return joined.where("_n > 0").select(*(f"`{c}`" for c in docs.columns), F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("_i")).drop("_i")
