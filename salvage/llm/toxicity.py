@@ -19,11 +19,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from salvage.llm.common import blocks, checkpoint
+from salvage.llm.common import blocks, checkpoint, short_batches
 
-#: Labelled rows a class that fit the model; letters of a stem; least sample counts of a word and of a bigram with its
+#: Labelled rows a class that fit the model; how many times larger one class's sample may be; letters of a stem; least sample counts of a word and of a bigram with its
 #: own parameters; least count, in either class, of a left word that conditions what follows; expressions in the peak; discount; keys kept before a task hands on what it has.
-SAMPLE_ROWS, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 5, 2, 3, 30, 3, 0.75, 1 << 20
+SAMPLE_ROWS, RATIO, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 9, 5, 2, 3, 30, 3, 0.75, 1 << 20
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
 
@@ -96,7 +96,7 @@ def continuation_counts(docs: DataFrame, units: Units, text_col: str = "text") -
         return pa.table({"unit": pa.array(right, pa.int64()), "n": pa.array(count, pa.int64())})
 
     counts = np.zeros(size)
-    sent = docs.select(text_col).mapInArrow(collect, "range int, keys binary")
+    sent = short_batches(docs.select(text_col)).mapInArrow(collect, "range int, keys binary")
     for r in sent.groupBy("range").applyInArrow(merge, "unit bigint, n bigint").groupBy("unit").agg(F.sum("n").alias("n")).collect():
         counts[r["unit"]] = r["n"]
     return counts
@@ -151,7 +151,8 @@ def training_ids(labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str = "doc_
     usable = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).alias("y"), fold.alias("fold")).where("fold <> 0")
     usable = usable.groupBy("id").agg(F.max("y").alias("y"), F.first("fold").alias("fold"))
     found = {r["y"]: r["count"] for r in usable.groupBy("y").count().collect()}
-    n = min(rows, *(found.get(y, 0) for y in (0, 1)))
+    few = min(found.get(0, 0), found.get(1, 0))
+    n = min(rows, RATIO * few)
     picked = [r for y in (0, 1) for r in usable.where(F.col("y") == y).orderBy(F.xxhash64("id", F.lit(5)), "id").limit(n).collect()] if n else []
     return [(r["id"], r["y"], r["fold"] == 1) for r in picked], found.get(1, 0) / max(1, sum(found.values()))
 
@@ -285,7 +286,7 @@ def score_texts(df: DataFrame, model: Model | None, text_col: str = "text", drop
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in kept), *arrays], [*(names[i] for i in kept), *added])
 
     fields = ", ".join(f"`{names[i]}` {df.schema[names[i]].dataType.simpleString()}" for i in kept)
-    return df.select(*(f"`{c}`" for c in names)).mapInArrow(run, fields + ", n_words bigint, llr_mean double, llr_peak double, score double, predicted int")
+    return short_batches(df.select(*(f"`{c}`" for c in names))).mapInArrow(run, fields + ", n_words bigint, llr_mean double, llr_peak double, score double, predicted int")
 
 
 def toxicity_digest(docs: DataFrame, labels: DataFrame) -> DataFrame:
