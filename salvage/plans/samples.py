@@ -59,11 +59,12 @@ def take_quota(df: DataFrame, quota: int, seed: int = 42) -> DataFrame:
 
 def purge(df: DataFrame, text_col: str = "text") -> DataFrame:
     """``df`` with purged text and ``removed``, the hits by rule."""
-    text, counts = F.col(text_col), []
-    for name, pattern, repl in PURGE_RULES:
-        counts += [F.lit(name), F.regexp_count(text, F.lit(pattern))]
-        text = F.regexp_replace(text, pattern, repl)
-    return df.withColumn("removed", F.create_map(*counts)).withColumn(text_col, F.trim(F.regexp_replace(text, r"[ ]+", " ")))
+    out, counts = df, []
+    for i, (name, pattern, repl) in enumerate(PURGE_RULES):  # column by column: a text that is used twice is computed once
+        out = out.withColumn(f"_hits{i}", F.regexp_count(text_col, F.lit(pattern))).withColumn(text_col, F.regexp_replace(text_col, pattern, repl))
+        counts += [F.lit(name), F.col(f"_hits{i}")]
+    out = out.withColumn("removed", F.create_map(*counts)).withColumn(text_col, F.trim(F.regexp_replace(text_col, r"[ ]+", " ")))
+    return out.drop(*(f"_hits{i}" for i in range(len(PURGE_RULES))))
 
 
 def boilerplate(df: DataFrame, least: int = 5) -> DataFrame:
