@@ -6,6 +6,9 @@ So a fingerprint has one home anchor within the covering radius, and whoever lin
 in the two parts (d1 + d2 <= 2) lies within 3 + d1 and 3 + d2 of that anchor. Each fingerprint is sent to all anchors
 within those distances, about 61 of 16.7 million, and only the visitors and residents of one anchor are compared.
 Equal fingerprints are one node from the start, and an anchor gives a star for each component it sees, not pairs.
+
+Two bits are far stricter than a similarity of 0.8, so the pipeline's stage uses ``near_duplicates`` instead: texts
+whose sets of five-word shingles have a Jaccard index of at least 0.8, found by bands of minima and checked exactly.
 """
 
 from __future__ import annotations
@@ -26,6 +29,9 @@ SHINGLE, SEED, THRESHOLD = 3, 42, 2
 _BITS, _RADIUS, _GENERATOR = 23, 3, 0b101011100011  # fixed values of the Golay code
 #: Rows that are compared together, and pairs compared at once.
 CHUNK_ROWS, CHUNK_PAIRS = 1 << 19, 1 << 21
+#: Near duplicates: words of a shingle, the least Jaccard index (4 of 5), bands and minima of a band. A pair at exactly
+#: 0.8 shares no band with probability (1 - 0.8^5)^30 = 7e-6.
+WORDS, LEAST, BANDS, MINIMA = 5, (4, 5), 30, 5
 
 
 def text_fingerprint(text: str | None) -> int:
@@ -220,7 +226,7 @@ def connect(edges: DataFrame) -> DataFrame:
     return edges.select("u", F.col("v").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def anchored_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, h, fp, root, component_id) for each row: the text's hash, the fingerprint, the component's least fingerprint,
     and the smallest id among all rows reachable over links.
 
@@ -237,13 +243,105 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def near_duplicate_digest(docs: DataFrame) -> DataFrame:
-    return near_duplicates(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return anchored_duplicates(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def shingle_set(text: str | None) -> np.ndarray:
+    """Sorted distinct hashes of a text's five-word shingles; a shorter text is one shingle, one without words none."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if not words:
+        return np.empty(0, np.uint64)
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(b" ".join(words[i : i + WORDS]), SEED) for i in range(max(1, len(words) - WORDS + 1))], np.uint64))
+
+
+def band_keys(shingles: np.ndarray) -> list[int]:
+    """One signed long for each band of minima; all texts without words share theirs."""
+    rng = np.random.default_rng(SEED)
+    flip, times = rng.integers(0, 1 << 63, (2, BANDS * MINIMA), np.uint64)
+    least = np.full(BANDS * MINIMA, np.iinfo(np.uint64).max)
+    for at in range(0, len(shingles), 2048):
+        mixed = (shingles[at : at + 2048, None] ^ flip) * (times | np.uint64(1))
+        least = np.minimum(least, (mixed ^ (mixed >> np.uint64(32))).min(0))
+    keys = [xxhash.xxh64_intdigest(band.tobytes(), b) for b, band in enumerate(least.reshape(BANDS, MINIMA))]
+    return np.array(keys, np.uint64).view(np.int64).tolist()
+
+
+def _similar(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """The (a, b) of ``pairs`` whose texts are at least 0.8 alike; only the texts of pairs move."""
+
+    def to_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingle_set(t).tobytes() for t in batch.column(1).to_pylist()], pa.binary())], ["h", "s"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            near = []
+            for x, y in zip(batch.column("sa"), batch.column("sb"), strict=True):
+                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                near.append(both * LEAST[1] >= (len(x) + len(y) - both) * LEAST[0])
+            kept = batch.filter(pa.array(near, pa.bool_()))
+            yield pa.RecordBatch.from_arrays([kept.column("a"), kept.column("b")], ["a", "b"])
+
+    met = pairs.select(F.col("a").alias("h")).union(pairs.select("b")).distinct()
+    wanted = texts.join(met, "h", "left_semi").groupBy("h").agg(F.first("text").alias("text"))
+    sets = checkpoint(short_batches(wanted.select("h", "text")).mapInArrow(to_sets, "h bigint, s binary"))
+    side = lambda c: sets.select(F.col("h").alias(c), F.col("s").alias(f"s{c}"))
+    return pairs.join(side("b"), "b").join(side("a"), "a").mapInArrow(compare, "a bigint, b bigint")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, h, root, component_id) for each row: the text's hash, the least such hash in the component, and the smallest
+    id among all rows reachable over pairs of texts at least 0.8 alike. All texts without words are alike; null ids take
+    part but name no component.
+
+    Texts that share a band are compared, first of the band against all others, then the next two, four and so on: a
+    band ends when its texts are in one component or all have been compared. So a group of near copies costs a number of
+    comparisons linear in its texts, and no pair that shares a band and is not yet connected is left out.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            sets = [shingle_set(t) for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([len(s) for s in sets], pa.int32()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], ["id", "h", "n", "keys"])
+
+    id_type = docs.schema[id_col].dataType.simpleString()
+    marked = checkpoint(short_batches(docs.select(id_col, text_col, F.xxhash64(text_col))).mapInArrow(run, f"id {id_type}, h bigint, n int, keys array<bigint>"))
+    texts = docs.select(F.xxhash64(text_col).alias("h"), F.col(text_col).alias("text"))
+    nodes = marked.groupBy("h").agg(F.min("id").alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"))
+    nodes = checkpoint(nodes)
+    rows = nodes.select("h", "n", F.explode("keys").alias("key"))
+    roots, width, edges = None, 1, None
+    while True:
+        at = rows.withColumn("root", F.col("h")) if roots is None else rows.drop("root").join(roots.withColumnRenamed("u", "h"), "h", "left").withColumn("root", F.coalesce("root", "h"))
+        band = Window.partitionBy("key")
+        at = at.withColumn("low", F.min("root").over(band)).withColumn("high", F.max("root").over(band)).where("low <> high")
+        at = at.withColumn("place", F.row_number().over(band.orderBy("h")))
+        at = checkpoint(at.select("key", "h", "n", "root", "place"))
+        if at.isEmpty():
+            break
+        head = at.where(F.col("place") <= width).select("key", F.col("h").alias("a"), F.col("n").alias("m"), F.col("root").alias("r"), F.col("place").alias("p"))
+        size = (F.least("n", "m") * LEAST[1]) >= (F.greatest("n", "m") * LEAST[0])  # no pair of other sizes is alike
+        pairs = checkpoint(head.join(at, "key").where((F.col("p") < F.col("place")) & (F.col("r") != F.col("root")) & size).select("a", F.col("h").alias("b")).distinct())
+        found = checkpoint(_similar(pairs, texts).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")))
+        edges = found if edges is None else checkpoint(edges.union(found))
+        roots = connect(edges)
+        rows, width = at.where(F.col("place") > width).select("h", "n", "key"), 2 * width
+    if roots is None:
+        rooted = nodes.select("h", "least", F.col("h").alias("root"))
+    else:
+        rooted = nodes.join(roots.withColumnRenamed("u", "h"), "h", "left").select("h", "least", F.coalesce("root", "h").alias("root"))
+    named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
+    joined = marked.select("id", "h").join(rooted.select("h", "root").join(named, "root"), "h")
+    return joined.select(F.col("id").alias(id_col), "h", "root", "component_id")
 
 
-def drop_near_duplicates(docs: DataFrame) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, found: DataFrame | None = None) -> DataFrame:
     """One row of each component, with the columns of ``docs``: that with the smallest id, among rows of that id the one
-    whose text's hash is least. A component without any id keeps the row whose text's hash is least."""
-    found = near_duplicates(docs)
+    whose text's hash is least. A component without any id keeps the row whose text's hash is least. ``found`` has the
+    rows' components, by default those of fingerprints within two bits."""
+    found = anchored_duplicates(docs) if found is None else found
     rank = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").alias("i"), F.col("h").alias("h"))
     key = lambda i, h: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), h)  # noqa: E731  one column, so that the texts move once
     kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(key(F.col("m.i"), F.col("m.h")).alias("_key")).distinct()

@@ -453,6 +453,56 @@ def test_simhash_of_nothing(none):
     assert simhash.near_duplicate_digest(none).count() == 0
 
 
+def brute_alike(texts):
+    sets = []
+    for text in texts:
+        words = (text or "").encode().lower().split()
+        sets.append({b" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))} if words else set())
+    return [(i, j) for i, j in combinations(range(len(texts)), 2) if sets[i] == sets[j] or 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])]
+
+
+def test_near_copies_of_the_stage(spark, docs, odd):
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choices("abcdefghij", k=6))
+    texts = []
+    for _ in range(40):  # 0 to 6 replaced words of 60 to 200: Jaccard indexes on both sides of 0.8
+        base = [word() for _ in range(rng.randint(60, 200))]
+        for n in (0, 1, 2, 4, 6):
+            copy = list(base)
+            for at in rng.sample(range(len(copy)), n):
+                copy[at] = word()
+            texts.append(" ".join(copy))
+    chain = [word() for _ in range(100)]  # each is like the next one only
+    for i in range(40):
+        texts.append(" ".join(chain[: 100]))
+        chain = chain[5:] + [word() for _ in range(5)]
+    table = spark.createDataFrame([(1000000 + i, t, "en", "a", len(t)) for i, t in enumerate(texts)], DOCS).union(docs).union(odd)
+    rows = table.collect()
+    parent = list(range(len(rows)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    pairs = brute_alike([r["text"] for r in rows])
+    for i, j in pairs:
+        parent[find(j)] = find(i)
+    least = {}
+    for i, r in enumerate(rows):
+        if r["doc_id"] is not None:
+            least[find(i)] = min(least.get(find(i), r["doc_id"]), r["doc_id"])
+    expected = sorted((str(r["doc_id"]), str(least.get(find(i)))) for i, r in enumerate(rows))
+    found = simhash.near_duplicates(table)
+    assert sorted((str(r["doc_id"]), str(r["component_id"])) for r in found.collect()) == expected
+    kept = simhash.drop_near_duplicates(table, found)
+    assert kept.columns == table.columns and kept.count() == len({find(i) for i in range(len(rows))}) < simhash.drop_near_duplicates(table).count()
+
+
+def test_near_copies_of_nothing(none):
+    assert simhash.drop_near_duplicates(none, simhash.near_duplicates(none)).count() == 0
+
+
 # 10: sharding
 
 
