@@ -36,7 +36,8 @@ def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, Dat
     Cycle 1 drafts, audits and patches its prompt until the loss is 0 or the regenerations are used up; the version with
     the least loss (the earliest of equals) goes on. Cycle 2 checks the answer and revises it; the loss of a version
     drives the next prompt, so the best prompt is that of the round before. Each round is written before it is read
-    again, so no call is repeated; only open rows take part. Rows without an accepted version are kept as exhausted.
+    again, so no call is repeated; only open rows take part. All terms of both parents' clean sentences are audited, and
+    a patch asks for all that are missing. Rows without an accepted version are kept as exhausted.
     """
     text = lambda c: F.coalesce(F.col(c), F.lit(""))
     start = pairs.select("pair_id", "a", "b", rules.sentences(text("text_a")).alias("sa"), rules.sentences(text("text_b")).alias("sb"), rules.term_set(text("text_a")).alias("wa"), rules.term_set(text("text_b")).alias("wb"))
@@ -46,7 +47,7 @@ def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, Dat
     pick = F.element_at("offered", F.pmod(F.conv(F.substring(F.md5("pair_id"), 1, 6), 16, 10).cast("int"), F.lit(3)) + 1)
     start = start.join(F.broadcast(offered), "relation").withColumn("strategy", pick if options.strategies else F.lit("S1")).drop("offered")
     clean = (lambda s: F.filter(s, lambda x: ~rules.is_junk(x))) if options.purge else (lambda s: s)
-    wanted = F.slice(F.array_sort(rules.term_set(F.array_join(F.concat(F.filter("sa", lambda s: ~rules.is_junk(s)), F.filter("sb", lambda s: ~rules.is_junk(s))), " "))), 1, 40)
+    wanted = rules.term_set(F.array_join(F.concat(F.filter("sa", lambda s: ~rules.is_junk(s)), F.filter("sb", lambda s: ~rules.is_junk(s))), " "))
     question = F.concat_ws(" ", F.element_at(clean(F.concat("sa", F.array(F.lit("")))), 1), F.element_at(clean(F.concat("sb", F.array(F.lit("")))), 1))
     work = checkpoint(start.select("pair_id", "a", "b", "sa", "sb", "relation", "strategy", wanted.alias("wanted"), question.alias("question"), rules.first_prompt(F.col("strategy")).alias("prompt")))
     traces = [_trace(work, 0, 0, "relate", F.lit(0), _words(F.array_join(F.concat("sa", "sb"), " ")), F.lit(1))]
@@ -59,7 +60,7 @@ def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, Dat
         versions.append(drafted.select("pair_id", F.struct(F.col("loss.score").alias("score"), F.lit(i).alias("iter"), "answer", "prompt").alias("v")))
         if not options.cycle1:
             break
-        open_ = drafted.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"))).drop("answer", "loss")
+        open_ = drafted.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"), None)).drop("answer", "loss")
     best = versions[0]
     for v in versions[1:]:
         best = best.union(v)
@@ -74,7 +75,7 @@ def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, Dat
         finals.append(checked.select("pair_id", F.struct(F.col("loss.score").alias("score"), F.lit(i).alias("iter"), "answer", "prompt").alias("v")))
         if not options.cycle2 or i == options.max_regen:
             break
-        revised = checked.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss")))
+        revised = checked.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"), None))
         revised = checkpoint(revised.withColumn("answer", rules.revise_answer(F.col("prompt"), F.col("answer"), F.col("parents"))).drop("loss"))
         traces.append(_trace(revised, 2, i, "revise", F.lit(None).cast("int"), _words(F.array_join("parents", " ")), _words(F.array_join("answer", " "))))
         open_ = revised

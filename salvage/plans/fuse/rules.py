@@ -68,10 +68,12 @@ def audit(answer: Column, wanted: Column) -> Column:
     return F.struct(F.array_intersect(wanted, have).alias("keep"), noisy.alias("drop"), missing.alias("missing"), (F.size(missing) + F.size(noisy)).alias("score"))
 
 
-def patch(prompt: Column, loss: Column) -> Column:
-    """The next prompt: the loss's terms to keep and sentences to drop are added, the version goes up."""
+def patch(prompt: Column, loss: Column, step: int | None = STEP) -> Column:
+    """The next prompt: the loss's terms to keep (the first ``step``, or all) and sentences to drop are added, the version
+    goes up."""
+    asked = loss["missing"] if step is None else F.slice(loss["missing"], 1, step)
     return F.struct(
-        prompt["base_id"].alias("base_id"), F.array_union(prompt["must_keep"], F.slice(loss["missing"], 1, STEP)).alias("must_keep"), F.array_union(prompt["must_drop"], loss["drop"]).alias("must_drop"),
+        prompt["base_id"].alias("base_id"), F.array_union(prompt["must_keep"], asked).alias("must_keep"), F.array_union(prompt["must_drop"], loss["drop"]).alias("must_drop"),
         F.array_union(prompt["hints"], F.when(F.size(loss["drop"]) > 0, F.array(F.lit("remove noise"))).otherwise(F.array().cast("array<string>"))).alias("hints"), (prompt["version"] + 1).alias("version"),
     )
 

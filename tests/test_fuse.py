@@ -31,6 +31,14 @@ def test_loop_bounds_and_best_version(pairs):
     assert all(r["status"] == ("accepted" if r["loss1"] == r["loss2"] == 0 else "exhausted") for r in rows.values())
 
 
+def test_all_terms_are_audited(pairs):
+    row = fuse(pairs.where("pair_id = 'p4'"))[0].first()
+    texts = pairs.where("pair_id = 'p4'").first()
+    clean = [s for t in (texts["text_a"], texts["text_b"]) for s in t.split(". ") if "###" not in s]
+    terms = {w for s in clean for w in s.lower().strip(".").split() if len(w) >= 4}
+    assert len(terms) > 100 and row["loss1"] == 0 and terms <= set(row["assistant"].lower().replace(".", " ").split())
+
+
 def test_ablations_cost_fewer_calls(pairs):
     full, none = fuse(pairs)[1].count(), fuse(pairs, Options(cycle1=False, cycle2=False))[1].count()
     assert none < full
