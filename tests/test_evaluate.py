@@ -49,3 +49,11 @@ def test_learners_tell_languages_apart(spark, sf, learner):
     scores = {(r["method"], r["task"]): r["score"] for r in evaluate.compare(train, facts.where("test"), ["all", "english"], learner).collect()}
     assert scores["all", "T1"] > 90 and scores["all", "T1"] > scores["english", "T1"]  # a set of one language can't teach four
     assert set(t for _, t in scores) == {"T1", "T2", "T3", "T4", "T5"}
+
+
+def test_all_held_out_rows_are_scored(spark):
+    train = spark.createDataFrame([(["a"], "y" * 200 + " red fox"), (["a", "b"], "z" * 200 + " red")], "methods array<string>, text string")
+    test = spark.range(2500).select(F.col("id").alias("sample_id"), F.when(F.col("id") < 1000, "y" * 200 + " red fox").otherwise("z" * 200 + " red").alias("text"))
+    got = {r["method"]: (r["n"], r["score"]) for r in evaluate.nearest_texts(train, test, ["a", "b"]).collect()}
+    assert got == {"a": (2500, 100.0), "b": (2500, round(100 * (1000 * 2 / 3 + 1500) / 2500, 1))}
+    assert evaluate.nearest_texts(train, test.limit(0), ["a", "b"]).count() == 0
