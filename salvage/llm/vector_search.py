@@ -2,9 +2,9 @@
 
 Vectors are dealt to shards of bounded size; each shard becomes one KD-tree, kept as one binary row: median splits on
 the widest dimension, leaves as contiguous rows, and a tight bounding box per node. The best score a box can hold bounds
-its node, so a query descends only into boxes whose bound reaches its kth score and visits leaves best first. Queries
-are the stated set and come in blocks. Each block first searches one home shard; the kth scores found there are
-propagated to its searches of the other shards, most of whose boxes then fall away.
+its node. A query first runs down to its most promising leaf; the kth score of that leaf closes all boxes below it, and
+the leaves left open are visited best first. Queries are the stated set and come in blocks. A block searches one home
+shard, then the next shard, the next two, four and so on; each round starts from the kth score of all rounds before it.
 """
 
 from __future__ import annotations
@@ -19,11 +19,12 @@ from pyspark.sql import functions as F
 from salvage.llm.common import checkpoint
 
 SHARD_ROWS, BLOCK_QUERIES, LEAF_ROWS = 16384, 4096, 256
-_LOW = np.iinfo(np.int64).min
+_LOW, _HIGH = np.iinfo(np.int64).min, np.iinfo(np.int64).max
 
 
 def scaled(vector: Column) -> Column:
-    """floor(64 * x) per component, or null if the vector is null or holds a null or a non-finite component."""
+    """floor(64 * x) per component, or null if the vector is null or holds a null or a non-finite component. A component
+    beyond the range of a long is the nearest long."""
     x = vector.cast("array<double>")
     fit = F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf"))))
     return F.when(fit, F.transform(x, lambda v: F.floor(v * 64)))
@@ -63,6 +64,8 @@ class Tree:
         """(row of query, id, score) of up to k best rows each that reach ``floor``; rows with the id ``own`` are left out.
 
         A score and a position share one integer key, so the greatest keys are the answer with ties to smaller ids.
+        Scores are exact, in Python's integers where 53 bits don't hold them; one beyond the range of a long is returned
+        as the nearest long.
         """
         n = len(queries)
         limit = float(np.abs(queries).max(initial=0)) * max(np.abs(self.low).max(initial=0), np.abs(self.high).max(initial=0)) * queries.shape[1]
@@ -78,6 +81,30 @@ class Tree:
         twice = len(np.unique(self.ids)) < len(self.ids)
         tree, self_low, self_high = self.points.astype(kind), self.low, self.high
         self.low, self.high = self_low.astype(kind), self_high.astype(kind)
+
+        def keys_of(rows: np.ndarray, node: int) -> np.ndarray:
+            a, b = self.spans[node]
+            where = self.position[a:b]
+            keys = (q[rows] @ tree[a:b].T).astype(wide) * unit + (last - where)
+            if twice:
+                keys[self.ids[where][None, :] == own[rows][:, None]] = lowest
+            else:
+                keys[where[None, :] == skip[rows][:, None]] = lowest
+            return keys
+
+        at = np.zeros(n, np.int64)  # the most promising leaf of each query: its kth score closes boxes from the start
+        while len(down := np.flatnonzero(self.kids[at] >= 0)):
+            for node in np.unique(at[down]):
+                rows = down[at[down] == node]
+                kids = np.array([self.kids[node], self.kids[node] + 1])
+                at[rows] = kids[self.bounds(q[rows], kids).astype(np.float64).argmax(1)]
+        for node in np.unique(at):
+            rows = np.flatnonzero(at == node)
+            keys = keys_of(rows, node)
+            if keys.shape[1] > k:
+                kth = np.sort(keys, 1)[:, -k] if wide is object else np.partition(keys, -k, 1)[:, -k]
+                full = kth > lowest
+                reach[rows[full]] = np.maximum(reach[rows[full]], (kth[full] // unit).astype(np.float64))
         level, leaves = np.array([0]), []
         open_ = np.ones((n, 1), bool)
         while len(level):  # down the tree, with boxes that no query can use left out
@@ -101,15 +128,7 @@ class Tree:
                 live = live[np.argsort(pick[live], kind="stable")]
                 cuts = np.flatnonzero(np.diff(pick[live])) + 1
                 for rows in np.split(live, cuts):
-                    a, b = self.spans[nodes[pick[rows[0]]]]
-                    where = self.position[a:b]
-                    score = (q[rows] @ tree[a:b].T).astype(wide)
-                    keys = score * unit + (last - where)
-                    if twice:
-                        keys[self.ids[where][None, :] == own[rows][:, None]] = lowest
-                    else:
-                        keys[where[None, :] == skip[rows][:, None]] = lowest
-                    both = np.concatenate([best[rows], keys], 1)
+                    both = np.concatenate([best[rows], keys_of(rows, nodes[pick[rows[0]]])], 1)
                     both = np.partition(both, both.shape[1] - k, 1)[:, -k:] if wide is np.int64 else np.sort(both, 1)[:, -k:]
                     best[rows] = both
                     least = both.min(1)
@@ -119,6 +138,8 @@ class Tree:
         row, col = np.nonzero(best > lowest)
         key = best[row, col]
         score = key // unit
+        if wide is object:
+            score = np.clip(score, _LOW, _HIGH)
         keep = score >= floor[row]
         row, key, score = row[keep], key[keep], score[keep]
         return row, self.ids[(last - key % unit).astype(np.int64)], score.astype(np.int64)
@@ -133,7 +154,8 @@ def top_k(points: DataFrame, queries: DataFrame, k: int, id_col: str = "vec_id",
 
     ``vector_col`` is an array of longs; null vectors and null ids take no part, vectors are compared with those of
     the same length only, and rows that repeat an id are candidates each. Fewer than k candidates give fewer rows; an
-    empty table gives none. One tree and one block of queries are in memory at a time.
+    empty table gives none; equal scores go to smaller ids; other columns are not read. One tree and one block of
+    queries are in memory at a time.
     """
     spark = points.sparkSession
     base = lambda df: df.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<bigint>").alias("v")).where("id is not null and v is not null and size(v) > 0").withColumn("dim", F.size("v"))
@@ -178,16 +200,19 @@ def top_k(points: DataFrame, queries: DataFrame, k: int, id_col: str = "vec_id",
         return run
 
     trees = checkpoint(trees)
-    home = trees.join(blocks.withColumn("shard", F.col("home")), ["dim", "shard"]).select("dim", "tree", "q").mapInArrow(search(False), out)
-    home = checkpoint(home)
-    several = max(n for n, _ in sizes.values()) > shard_rows
-    found = home
-    if several:
-        kth = home.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).otherwise(F.lit(_LOW)).alias("floor"))
+    found = checkpoint(trees.join(blocks.withColumn("shard", F.col("home")), ["dim", "shard"]).select("dim", "tree", "q").mapInArrow(search(False), out))
+    most, begin = max(-(-n // shard_rows) for n, _ in sizes.values()), 1
+    while begin < most:  # the next shard, the next two, four ... of each block, from its home on
+        best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+        top = found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+        kth = top.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).otherwise(F.lit(_LOW)).alias("floor"))
         asked = blocks.select("dim", "block", "home", F.explode("q").alias("x")).join(kth.withColumnRenamed("query_id", "x_id"), F.col("x.id") == F.col("x_id"), "left")
-        asked = asked.groupBy("dim", "block", "home").agg(F.collect_list(F.struct(F.col("x.id").alias("id"), F.col("x.v").alias("v"), F.coalesce("floor", F.lit(_LOW)).alias("floor"))).alias("q"))
-        others = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), shards.cast("int") - 1))).where("shard <> home")
-        found = home.union(trees.join(others, ["dim", "shard"]).repartition("shard", "block").select("dim", "tree", "q").mapInArrow(search(True), out))
+        one = F.struct(F.col("x.id").alias("id"), F.col("x.v").alias("v"), F.coalesce("floor", F.lit(_LOW)).alias("floor"))
+        asked = asked.groupBy("dim", "block", "home").agg(F.collect_list(one).alias("q"))  # at most block_queries
+        step = F.explode(F.sequence(F.lit(begin), F.lit(2 * begin - 1))).alias("step")
+        others = asked.select("dim", "block", "q", step, "home").where(F.col("step") < shards).withColumn("shard", F.pmod(F.col("home") + F.col("step"), shards).cast("int"))
+        more = trees.join(others, ["dim", "shard"]).repartition("shard", "block").select("dim", "tree", "q").mapInArrow(search(True), out)
+        found, begin = checkpoint(top.select("query_id", "vec_id", "score").union(more)), 2 * begin
     ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
