@@ -5,7 +5,9 @@ for bits 0-22 and one for bits 23-45. That code covers every 23-bit word within
 So a fingerprint has one home anchor within the covering radius, and whoever links to it with d1 and d2 differing bits
 in the two parts (d1 + d2 <= 2) lies within 3 + d1 and 3 + d2 of that anchor. Each fingerprint is sent to all anchors
 within those distances, about 61 of 16.7 million, and only the visitors and residents of one anchor are compared.
-Equal fingerprints are one node from the start, and an anchor gives a star for each component it sees, not pairs.
+Equal fingerprints are one node from the start, and an anchor gives a star for each component it sees, not pairs. An
+anchor with very many visitors is split by further bits: two fingerprints that differ in two bits at most agree in one
+of three thirds of their 64 bits, so only rows that agree in a third are compared there.
 
 Two bits are far stricter than a similarity of 0.8, so the pipeline's stage uses ``near_duplicates`` instead: texts
 whose sets of five-word shingles have a Jaccard index of at least 0.8, found by bands of minima and checked exactly.
@@ -27,8 +29,8 @@ from salvage.llm.common import blocks, checkpoint, short_batches
 
 SHINGLE, SEED, THRESHOLD = 3, 42, 2
 _BITS, _RADIUS, _GENERATOR = 23, 3, 0b101011100011  # fixed values of the Golay code
-#: Rows that are compared together, and pairs compared at once.
-CHUNK_ROWS, CHUNK_PAIRS = 1 << 19, 1 << 21
+#: Rows that are compared together, pairs compared at once, and pairs from which an anchor is split by further bits.
+CHUNK_ROWS, CHUNK_PAIRS, SPLIT_PAIRS = 1 << 19, 1 << 21, 1 << 16
 #: Near duplicates: words of a shingle, the least Jaccard index (4 of 5), bands and minima of a band. A pair at exactly
 #: 0.8 shares no band with probability (1 - 0.8^5)^30 = 7e-6.
 WORDS, LEAST, BANDS, MINIMA = 5, (4, 5), 30, 5
@@ -139,10 +141,10 @@ def components(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes, nodes[label]
 
 
-def _linked(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Stars of the links between visitors and residents of each anchor; rows are sorted by anchor."""
-    resident, lived = fp[home], anchor[home]
-    low, high = np.searchsorted(lived, anchor, "left"), np.searchsorted(lived, anchor, "right")
+def _near(group: np.ndarray, fp: np.ndarray, home: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Stars of the links between visitors and residents of each group; rows are sorted by group."""
+    resident, lived = fp[home], group[home]
+    low, high = np.searchsorted(lived, group, "left"), np.searchsorted(lived, group, "right")
     met = high - low
     ends = np.cumsum(met)
     stars: list[tuple[np.ndarray, np.ndarray]] = []
@@ -158,6 +160,21 @@ def _linked(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray) -> tuple[np.nd
             if near.any():
                 stars.append(components(left[near], right[near]))
         at = to
+    return stars
+
+
+def _linked(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Stars of the links between visitors and residents of each anchor; rows are sorted by anchor."""
+    names, number, size = np.unique(anchor, return_inverse=True, return_counts=True)
+    hot = (size * np.bincount(number, home, len(names)) > SPLIT_PAIRS)[number]
+    stars = _near(anchor[~hot], fp[~hot], home[~hot]) if not hot.all() else []
+    if hot.any():
+        number, word, own = number[hot], fp[hot], home[hot]
+        for shift, bits in ((0, 21), (21, 21), (42, 22)):
+            third = (word.view(np.uint64) >> np.uint64(shift)).astype(np.int64) & ((1 << bits) - 1)
+            group = number << 22 | third
+            order = np.argsort(group, kind="stable")
+            stars += _near(group[order], word[order], own[order])
     if not stars:
         return np.empty(0, np.int64), np.empty(0, np.int64)
     node, root = components(*(np.concatenate(x) for x in zip(*stars, strict=True)))
@@ -174,25 +191,31 @@ def links(distinct: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(anchor.astype(np.int32)), pa.array(fp[row]), pa.array(home)], ["anchor", "fp", "home"])
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list[np.ndarray]] = []
-
-        def flush(final: bool) -> pa.RecordBatch | None:
-            nonlocal held
-            columns = [np.concatenate(c) for c in zip(*held, strict=True)]
-            cut = len(columns[0]) if final else int(np.searchsorted(columns[0], columns[0][-1], "left"))
-            held = [[c[cut:] for c in columns]]
-            if not cut:
-                return None
-            node, root = _linked(*(c[:cut] for c in columns))
+        held: list[list[np.ndarray]] = []  # parts of whole anchors, and of one that goes on; joined once, when compared
+        rows = 0
+
+        def flush() -> pa.RecordBatch:
+            node, root = _linked(*(np.concatenate(c) for c in zip(*held, strict=True)))
+            held.clear()
             return pa.RecordBatch.from_arrays([pa.array(node), pa.array(root)], ["u", "v"])
 
         for batch in batches:
-            if batch.num_rows:
-                held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in ("anchor", "fp", "home")])
-            if sum(len(h[0]) for h in held) >= CHUNK_ROWS and (out := flush(False)) is not None:
-                yield out
-        if held and (out := flush(True)) is not None:
-            yield out
+            if not batch.num_rows:
+                continue
+            columns = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("anchor", "fp", "home")]
+            rows += batch.num_rows
+            cut = int(np.searchsorted(columns[0], columns[0][-1], "left"))  # the last anchor may go on
+            goes_on = not cut and held and held[-1][0][-1] == columns[0][0]
+            if rows >= CHUNK_ROWS and not goes_on:
+                if cut:
+                    held.append([c[:cut] for c in columns])
+                if held:
+                    yield flush()
+                columns = [c[cut:] for c in columns]
+                rows = len(columns[0])
+            held.append(columns)
+        if held:
+            yield flush()
 
     sent = distinct.select("fp").mapInArrow(send, "anchor int, fp bigint, home boolean")
     return sent.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(compare, "u bigint, v bigint")
@@ -231,7 +254,8 @@ def anchored_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     and the smallest id among all rows reachable over links.
 
     Equal fingerprints are linked; so are all texts without words, whose fingerprint is 0. A row with a null id takes
-    part but names no component: a component without any id has a null component_id.
+    part but names no component: a component without any id has a null component_id. Repeated rows are rows of one
+    component; long texts are read whole; an empty table gives an empty result; other columns are not read.
     """
     marked = checkpoint(fingerprints(docs, id_col, text_col))
     nodes = checkpoint(marked.groupBy("fp").agg(F.min("id").alias("least")))
@@ -343,8 +367,9 @@ def drop_near_duplicates(docs: DataFrame, found: DataFrame | None = None) -> Dat
     rows' components, by default those of fingerprints within two bits."""
     found = anchored_duplicates(docs) if found is None else found
     rank = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").alias("i"), F.col("h").alias("h"))
-    key = lambda i, h: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), h)  # noqa: E731  one column, so that the texts move once
-    kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(key(F.col("m.i"), F.col("m.h")).alias("_key")).distinct()
-    stay = docs.withColumn("_key", key(F.col("doc_id"), F.xxhash64("text"))).join(kept, "_key", "left_semi")
-    nth = F.row_number().over(Window.partitionBy("_key").orderBy(F.lit(0)))
-    return stay.withColumn("_nth", nth).where("_nth = 1").select(*(f"`{c}`" for c in docs.columns))
+    key = lambda i, h: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), h).alias("key")  # noqa: E731  one column, so that the texts move once
+    kept = found.groupBy("root").agg(F.min(rank).alias("m")).select(key(F.col("m.i"), F.col("m.h"))).distinct()
+    own = docs.select(F.struct(*(f"`{c}`" for c in docs.columns)).alias("d"))  # apart from the names used here
+    stay = own.select("d", key(F.col("d.doc_id"), F.xxhash64("d.text"))).join(kept, "key", "left_semi")
+    nth = F.row_number().over(Window.partitionBy("key").orderBy(F.lit(0)))
+    return stay.withColumn("nth", nth).where("nth = 1").select("d.*")
