@@ -1,12 +1,17 @@
 """Toxicity by class-conditional Kneser-Ney models.
 
-Two bigram models over words, one of toxic and one of ordinary texts, are learned from a bounded, balanced sample of
-labelled rows. Each is an absolute-discount chain: bigram, then word, then the stem class of the word (its first letters,
-for rare forms of an expression), then continuation counts that both classes share. The shared counts are the numbers of
-distinct left neighbours of a unit over all texts, labelled or not. A text's evidence is the difference of the two
-log-likelihoods per word, over the whole text and over its most toxic expressions; a logistic curve fitted on sampled
-rows that the counts left out turns it into a score. Bigrams count the texts that hold them; words and stems count their
-distinct left neighbours, so that neither a text that repeats itself nor a group of copies passes for support.
+Two bigram models over words, one of toxic and one of ordinary texts, are learned from a bounded sample of labelled rows,
+with up to RATIO times as many rows of the commoner class. Each is an absolute-discount chain: bigram, then word, then
+the stem class of the word (its first letters, for rare forms of an expression), then continuation counts that both
+classes share. What a level discounts, or leaves out for being too rare, goes to the level below it, so that each
+distribution adds up to 1. How much a left word leaves to the level below is estimated from both classes together, so
+that a word that was merely not seen after it says nothing by that; a left word conditions what follows once both
+classes have seen it, and before that both back off. The shared counts are the numbers of distinct left units of a unit
+over all texts, labelled or not; left words that the sample does not know count by their stem. Of a word that is not in
+the sample only the stem counts as evidence, not how large the sample of a class was. A text's evidence is the difference of the two log-likelihoods per word, over the whole text
+and over its most toxic expressions; a logistic curve fitted on sampled rows that the counts left out turns it into a
+score. Bigrams count the texts that hold them; words and stems count their distinct left neighbours, so that neither a
+text that repeats itself nor a group of copies passes for support.
 """
 
 from __future__ import annotations
@@ -21,9 +26,12 @@ from pyspark.sql import functions as F
 
 from salvage.llm.common import blocks, checkpoint, short_batches
 
-#: Labelled rows a class that fit the model; how many times larger one class's sample may be; letters of a stem; least sample counts of a word and of a bigram with its
-#: own parameters; least count, in either class, of a left word that conditions what follows; expressions in the peak; discount; keys kept before a task hands on what it has.
-SAMPLE_ROWS, RATIO, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 9, 5, 2, 3, 30, 3, 0.75, 1 << 20
+#: Labelled rows a class that fit the model; how many times larger one class's sample may be; letters of a stem; least
+#: sample counts of a word and of a bigram with its own parameters; least discounted count, in each class, of a left word
+#: that conditions what follows; expressions in the peak; discount; keys kept before a task hands on what it has.
+SAMPLE_ROWS, RATIO, STEM, WORD_COUNT, PAIR_COUNT, LEFT_COUNT, PEAK, DISCOUNT, FLUSH = 4000, 9, 5, 2, 3, 5, 3, 0.75, 1 << 20
+#: Weights of the curve (constant, ratio per word, expressions of the peak) where there is nothing to fit them on.
+PLAIN = (-3.0, 1.0) + (1 / PEAK,) * PEAK
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
 
@@ -31,6 +39,11 @@ def words_of(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").translate(_FOLD).split()
 
 
+def stem_of(word: bytes) -> bytes:
+    """The first letters of a word, whole code points."""
+    return word[:STEM] if word.isascii() else word.decode("utf-8", "replace")[:STEM].encode()
+
+
 class Units:
     """Numbers for the known words, the stems of words, and 0 for the rest."""
 
@@ -41,7 +54,7 @@ class Units:
 
     def of(self, words: list[bytes]) -> np.ndarray:
         word, stem = self.word.get, self.stem.get
-        return np.array([word(w) or stem(w[:STEM], 0) for w in words], np.int64)
+        return np.array([word(w) or stem(stem_of(w), 0) for w in words], np.int64)
 
 
 def _pack(keys: np.ndarray) -> bytes:
@@ -105,9 +118,9 @@ def continuation_counts(docs: DataFrame, units: Units, text_col: str = "text") -
 class Model:
     """Log-likelihood ratios (toxic over ordinary) of units and of counted bigrams, and the curve to a score."""
 
-    def __init__(self, units: Units, unit_ratio: np.ndarray, left_ratio: np.ndarray, pairs: np.ndarray, pair_ratio: np.ndarray):
-        self.units, self.unit_ratio, self.left_ratio, self.pairs, self.pair_ratio = units, unit_ratio, left_ratio, pairs, pair_ratio
-        self.weights = np.zeros(3 + PEAK)
+    def __init__(self, units: Units, unit_ratio: np.ndarray, pairs: np.ndarray, pair_ratio: np.ndarray):
+        self.units, self.unit_ratio, self.pairs, self.pair_ratio = units, unit_ratio, pairs, pair_ratio
+        self.weights = np.array(PLAIN)
 
     def features(self, text: str | None) -> tuple[int, float, list[float]]:
         """Words, the ratio per word of the whole text, and the ratios of its PEAK most toxic expressions."""
@@ -117,7 +130,6 @@ class Model:
             return 0, 0.0, [0.0] * PEAK
         ratio = self.unit_ratio[ids]
         if n > 1:
-            ratio[1:] += self.left_ratio[ids[:-1]]
             key = ids[:-1] * self.units.size + ids[1:]
             if len(self.pairs):
                 at = np.minimum(np.searchsorted(self.pairs, key), len(self.pairs) - 1)
@@ -128,7 +140,8 @@ class Model:
         return n, float(ratio.mean()), top + [0.0] * (PEAK - len(top))
 
     def score(self, n: int, mean: float, top: list[float]) -> float:
-        z = float(np.dot(self.weights, [1.0, math.log1p(n), mean, *top]))
+        """The chance of label 1; ``n``, the number of words, has no part in it beyond the mean."""
+        z = float(np.dot(self.weights, [1.0, mean, *top]))
         return 1 / (1 + math.exp(-max(-700.0, min(700.0, z))))
 
 
@@ -145,8 +158,8 @@ def _curve(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> np.ndarray:
 
 
 def training_ids(labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[tuple], float]:
-    """(id, label, for the curve) of the sample, equally many of each class, and the share of toxic rows among labelled
-    ones. Rows whose id has crc32 of 0 modulo 5 are never used; those of 1 are kept for the curve."""
+    """(id, label, for the curve) of the sample, at most ``rows`` of each class and RATIO times as many as of the other,
+    and the share of toxic rows among labelled ones. An id labelled both ways is toxic. Rows whose id has crc32 of 0 modulo 5 are never used; those of 1 are kept for the curve."""
     fold = F.crc32(F.col(id_col).cast("string")) % 5
     usable = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).alias("y"), fold.alias("fold")).where("fold <> 0")
     usable = usable.groupBy("id").agg(F.max("y").alias("y"), F.first("fold").alias("fold"))
@@ -165,7 +178,7 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
     if not picked:
         return None
     chosen = F.broadcast(spark.createDataFrame(picked, "pick bigint, y int, curve boolean"))
-    sample = checkpoint(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(chosen, F.col("id") == F.col("pick")).select("text", "y", "curve").dropDuplicates(["text"]))
+    sample = checkpoint(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(chosen, F.col("id") == F.col("pick")).groupBy("text").agg(F.max("y").alias("y"), F.max("curve").alias("curve")))  # a text labelled both ways is toxic
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally: dict[tuple[bytes, bytes], list[int]] = {}
@@ -193,13 +206,14 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
     sums = [F.sum(f"n{y}").alias(f"n{y}") for y in (0, 1)]
     whole = words_of_sample.agg(*sums).first()
     by_word = {bytes(r["w"]): (r["n0"], r["n1"]) for r in words_of_sample.where(often(WORD_COUNT)).toLocalIterator()}
-    by_stem = words_of_sample.groupBy(F.substring("w", 1, STEM).alias("w")).agg(*sums)
+    by_stem = words_of_sample.groupBy(F.substring(F.col("w").cast("string"), 1, STEM).cast("binary").alias("w")).agg(*sums)
     stem_counts = {bytes(r["w"]): (r["n0"], r["n1"]) for r in by_stem.where(often(WORD_COUNT)).toLocalIterator()}
     units = Units(sorted(by_word), sorted(stem_counts))
-    lefts = both.where("length(v) > 0").groupBy("v").agg(*sums, *(F.sum((F.col(f"n{y}") > 0).cast("int")).alias(f"t{y}") for y in (0, 1)))
-    lefts = lefts.where(F.least("n0", "n1") >= LEFT_COUNT)
-    left_facts = lefts.collect()
-    pairs = both.where(often(PAIR_COUNT)).join(lefts.select("v"), "v", "left_semi").collect()
+    told = both.where(often(PAIR_COUNT)).join(words_of_sample.where(often(WORD_COUNT)).select("w"), "w", "left_semi")
+    kept = told.groupBy("v").agg(*(F.sum(F.greatest(F.col(f"n{y}") - DISCOUNT, F.lit(0.0))).alias(f"k{y}") for y in (0, 1)))
+    lefts = both.where("length(v) > 0").groupBy("v").agg(*sums).join(kept.where(F.least("k0", "k1") >= LEFT_COUNT), "v")
+    left_facts = lefts.toArrow().to_pylist()
+    pairs = told.join(lefts.select("v"), "v", "left_semi").toArrow()
 
     shared = continuation_counts(docs, units, text_col) + 1.0
     words = len(units.word)
@@ -207,11 +221,11 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
     unit_counts = np.zeros((2, units.size))
     for w, i in units.word.items():
         unit_counts[:, i] = by_word[w]
-    stem_of = np.zeros(units.size, np.int64)
+    stems = np.zeros(units.size, np.int64)
     for w, i in units.word.items():
-        stem_of[i] = units.stem.get(w[:STEM], 0)
+        stems[i] = units.stem.get(stem_of(w), 0)
     stem_share = np.zeros(units.size)  # shared counts of a stem's words and of its other forms
-    np.add.at(stem_share, stem_of[1 : 1 + words], shared[1 : 1 + words])
+    np.add.at(stem_share, stems[1 : 1 + words], shared[1 : 1 + words])
     stem_share[1 + words :] += shared[1 + words :]
     stem_share[0] = shared[0]
     in_all = stem_share / stem_share.sum()
@@ -225,30 +239,29 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
         class_stem[y] = kept + (1 - kept.sum()) * in_all
         kept = np.maximum(unit_counts[y] - DISCOUNT, 0) / total[y]
         own = np.zeros(units.size)
-        own[1 : 1 + words] = class_stem[y][stem_of[1 : 1 + words]] * shared[1 : 1 + words] / np.where(stem_of[1 : 1 + words] > 0, stem_share[stem_of[1 : 1 + words]], shared[0])
+        own[1 : 1 + words] = class_stem[y][stems[1 : 1 + words]] * shared[1 : 1 + words] / np.where(stems[1 : 1 + words] > 0, stem_share[stems[1 : 1 + words]], shared[0])
+        own[1 + words :] = class_stem[y][1 + words :] * shared[1 + words :] / stem_share[1 + words :]
+        loose = (stems == 0) & (np.arange(units.size) > 0) & (np.arange(units.size) <= words)  # known words without a stem class
+        own[0] = class_stem[y][0] - own[loose].sum()
         class_unit[y] = kept + (1 - kept.sum()) * own
-        class_unit[y][1 + words :] = class_stem[y][1 + words :]
-        class_unit[y][0] = class_stem[y][0]
     unit_ratio = np.log(class_unit[1] / class_unit[0])
-    rest = np.ones((2, units.size))  # what a left word leaves for words that were not counted after it
-    left_total = np.zeros((2, units.size))
+    unit_ratio[1 + words :] = np.log(class_stem[1][1 + words :] / class_stem[0][1 + words :])
+    unit_ratio[0] = math.log(class_stem[1][0] / class_stem[0][0])
+    rest = np.ones(units.size)  # what a left word leaves, in either class, for words without a parameter of their own after it
+    mass = np.ones((2, units.size))  # its discounted counts
     for r in left_facts:
-        if i := units.word.get(bytes(r["v"])):
-            for y in (0, 1):
-                left_total[y, i] = r[f"n{y}"]
-                rest[y, i] = DISCOUNT * r[f"t{y}"] / r[f"n{y}"] if r[f"n{y}"] else 1.0
-    left_ratio = np.log(rest[1] / rest[0])
-    told = (left_total >= LEFT_COUNT).all(0)
-    left_ratio[~told] = 0.0
-    keys, ratios = [], []
-    for r in pairs:
-        v, w = units.word.get(bytes(r["v"]), 0), units.word.get(bytes(r["w"]), 0)
-        if v and w and told[v]:
-            p = [max(r[f"n{y}"] - DISCOUNT, 0) / max(left_total[y, v], 1) + rest[y, v] * class_unit[y, w] for y in (0, 1)]
-            keys.append(v * units.size + w)
-            ratios.append(math.log(p[1] / p[0]))
-    order = np.argsort(np.array(keys, np.int64))
-    model = Model(units, unit_ratio, left_ratio, np.array(keys, np.int64)[order], np.array(ratios)[order])
+        if i := units.word.get(r["v"]):
+            rest[i] = 1 - (r["k0"] + r["k1"]) / (r["n0"] + r["n1"])
+            mass[:, i] = r["k0"], r["k1"]
+    word = units.word.get
+    v, w = (np.array([word(x, 0) for x in pairs.column(c).to_pylist()], np.int64) for c in ("v", "w"))
+    known = (v > 0) & (w > 0)
+    v, w = v[known], w[known]
+    p = [(1 - rest[v]) * np.maximum(pairs.column(f"n{y}").to_numpy()[known] - DISCOUNT, 0) / mass[y, v] + rest[v] * class_unit[y, w] for y in (0, 1)]
+    keys = v * units.size + w
+    order = np.argsort(keys)
+    model = Model(units, unit_ratio, keys[order], np.log(p[1] / p[0])[order])
+    model.distributions = class_unit, rest, [x[order] for x in p]  # for tests; some numbers a unit and a bigram
 
     own_model = spark.sparkContext.broadcast(model)
 
@@ -259,18 +272,17 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, id_col: str
 
     held = sample.where("curve").select("text", "y").mapInArrow(measure, "y int, n bigint, mean double, top array<double>").orderBy("y", "n", "mean", "top").collect()
     if {r["y"] for r in held} == {0, 1}:
-        x = np.array([[1.0, math.log1p(r["n"]), r["mean"], *r["top"]] for r in held])
+        x = np.array([[1.0, r["mean"], *r["top"]] for r in held])
         y = np.array([float(r["y"]) for r in held])
         weight = np.where(y == 1, toxic_share / y.mean(), (1 - toxic_share) / (1 - y.mean()))
         model.weights = _curve(x, y, weight)
-    else:
-        model.weights = np.array([-3.0, 0.0, 0.0] + [1 / PEAK] * PEAK)  # nothing to fit the curve on
     return model
 
 
 def score_texts(df: DataFrame, model: Model | None, text_col: str = "text", drop_text: bool = False) -> DataFrame:
     """``df`` with n_words, llr_mean, llr_peak, score and predicted (1 from a score of a half on); columns of these names
-    are replaced. A null text is an empty one, whose evidence is nil. Without a model every score is 0."""
+    are replaced. A null text is an empty one, whose evidence is nil; repeated rows and equal texts have equal scores;
+    long texts are read whole; an empty table gives an empty result. Without a model every score is 0."""
     added = ["n_words", "llr_mean", "llr_peak", "score", "predicted"]
     names = [c for c in df.columns if c not in added]
     where = names.index(text_col)
@@ -290,6 +302,7 @@ def score_texts(df: DataFrame, model: Model | None, text_col: str = "text", drop
 
 
 def toxicity_digest(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """One row a document: held_out (false for a null id), score, predicted and the evidence; see score_texts."""
     scored = score_texts(docs.select("doc_id", "text"), fit(docs, labels), drop_text=True)
     held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     return scored.select("doc_id", held_out.alias("held_out"), "score", "predicted", "n_words", "llr_mean", "llr_peak")
