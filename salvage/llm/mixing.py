@@ -4,8 +4,9 @@ A document of a source with target T and size S should appear T/S times: the who
 probability. Pivotal rounding takes two fractional documents at a time and moves mass between them, in words, until one
 of them is 0 or 1; the move is random and keeps both expectations, and it keeps the pair's expected words exactly. What
 a block of a source leaves open is one document, which goes up a reduction tree: blocks of blocks, until a source is one
-block. Hence the words taken from a source miss its target by less than one document. Blocks and their order depend on
-the ids alone, so reruns agree.
+block; the documents that sources leave open are paired last. Hence the words taken from a source miss its target by less
+than one document, and so do those of the whole mix. Blocks and their order depend on
+ids and texts alone, so reruns agree.
 """
 
 from __future__ import annotations
@@ -76,8 +77,8 @@ def pivot(p: np.ndarray, size: np.ndarray, key: np.ndarray, seed: int) -> np.nda
     return np.array(p)
 
 
-def _round_blocks(df: DataFrame, last: bool, seed: int) -> DataFrame:
-    """One level of the tree: ``p`` rounded inside each (source, block); the last level also decides what is left open."""
+def _round_blocks(df: DataFrame, by: tuple[str, ...], last: bool, seed: int) -> DataFrame:
+    """One level of the tree: ``p`` rounded inside each group; the last level also decides what is left open."""
 
     def run(rows: pa.Table) -> pa.Table:
         key, size = rows.column("key").to_numpy(), rows.column("size").to_numpy()
@@ -89,17 +90,19 @@ def _round_blocks(df: DataFrame, last: bool, seed: int) -> DataFrame:
         p[order] = done
         return rows.set_column(rows.schema.get_field_index("p"), "p", pa.array(p, pa.float64()))
 
-    return df.groupBy("source", "block").applyInArrow(run, df.schema)
+    return df.groupBy(*by).applyInArrow(run, df.schema)
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 42, block_rows: int = BLOCK_ROWS, fan_in: int = FAN_IN) -> DataFrame:
     """(id, source, size, source_size, target, copies), a row for each row of ``docs``.
 
     ``copies`` is a whole number of at most ``most`` rounded up. A null text has size 0 and gets no copies, as has every
-    empty text. Rows that repeat an id are documents of their own; a null source is a source. The sources' sizes are one
-    row a source on the driver. An empty table gives an empty result.
+    empty text. Rows that repeat an id are documents of their own; a null source is a source. Blocks follow from id and
+    text, so null or repeated ids are spread like others. The sources' sizes are one row a source on the driver. An
+    empty table gives an empty result.
     """
-    rows = checkpoint(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")))
+    size = word_count(F.col(text_col))
+    rows = checkpoint(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), size.alias("size"), F.xxhash64(id_col, text_col, F.lit(seed)).alias("key")))
     sizes = rows.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("rows")).collect()
     target = source_targets([(r["source"], r["n"]) for r in sizes], weights, share, most)
     blocks = {r["source"]: max(1, -(-r["rows"] // block_rows)) for r in sizes}
@@ -107,20 +110,19 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     per_source = F.broadcast(rows.sparkSession.createDataFrame(facts, "_source string, source_size long, target double, blocks long"))
     dealt = rows.join(per_source, F.col("source").eqNullSafe(F.col("_source")), "left").drop("_source")
     times = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    key = F.coalesce(F.xxhash64("id", F.lit(seed)), F.lit(0))
-    dealt = dealt.withColumn("key", key).withColumn("whole", F.when(F.col("size") > 0, F.floor(times)).otherwise(0)).withColumn("p", F.when(F.col("size") > 0, times - F.floor(times)).otherwise(0.0))
+    dealt = dealt.withColumn("whole", F.when(F.col("size") > 0, F.floor(times)).otherwise(0)).withColumn("p", F.when(F.col("size") > 0, times - F.floor(times)).otherwise(0.0))
     level = dealt.withColumn("block", F.pmod("key", "blocks"))
     most_blocks, parts = max(blocks.values(), default=1), []
     settled = F.col("p").isin(0.0, 1.0)
     while True:
-        last = most_blocks == 1
-        level = checkpoint(_round_blocks(level, last, seed))
-        if last:
-            parts.append(level)
-            break
+        level = checkpoint(_round_blocks(level, ("source", "block"), False, seed))
         parts.append(level.where(settled))
+        if most_blocks == 1:
+            break
         most_blocks = -(-most_blocks // fan_in)
         level = level.where(~settled).withColumn("block", F.floor(F.col("block") / fan_in))
+    open_ = level.where(~settled).withColumn("block", F.lit(0).cast(level.schema["block"].dataType))  # one row a source at most
+    parts.append(checkpoint(_round_blocks(open_, ("block",), True, seed)))
     done = parts[0]
     for part in parts[1:]:
         done = done.union(part)
@@ -138,8 +140,10 @@ def mixed_documents(docs: DataFrame) -> DataFrame:
     Rows that agree in id, source and size are one to the mix; their copies are dealt in the order of the text's hash.
     """
     whole = lambda c: F.coalesce(F.concat(F.lit("+"), F.col(c).cast("string")), F.lit("-"))
-    key = lambda size: F.concat_ws("|", size, whole("doc_id"), whole("source")).alias("_key")  # noqa: E731  one column, so that the texts move once
-    copies = mix(docs).groupBy(key(F.col("size"))).agg(F.sort_array(F.collect_list("copies"), asc=False).alias("_copies"))
-    nth = F.row_number().over(Window.partitionBy("_key").orderBy(F.xxhash64("text")))
-    joined = docs.withColumn("_key", key(word_count(F.col("text")))).withColumn("_nth", nth).join(copies, "_key").withColumn("_n", F.element_at("_copies", F.col("_nth")).cast("int"))
-    return joined.where("_n > 0").select(*(f"`{c}`" for c in docs.columns), F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("_i")).drop("_i")
+    key = lambda size, doc, source: F.concat_ws("|", size, whole(doc), whole(source)).alias("key")  # noqa: E731  one column, so that the texts move once
+    copies = mix(docs).groupBy(key(F.col("size"), "doc_id", "source")).agg(F.sort_array(F.collect_list("copies"), asc=False).alias("copies"))
+    own = docs.select(F.struct(*(f"`{c}`" for c in docs.columns)).alias("d"))  # apart from the names used here
+    nth = F.row_number().over(Window.partitionBy("key").orderBy(F.xxhash64("d.text")))
+    joined = own.withColumn("key", key(word_count(F.col("d.text")), "d.doc_id", "d.source")).withColumn("nth", nth).join(copies, "key")
+    times = joined.withColumn("n", F.element_at("copies", F.col("nth")).cast("int")).where("n > 0")
+    return times.select("d", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("i")).select("d.*")
