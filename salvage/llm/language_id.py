@@ -12,6 +12,7 @@ declaration, or a posterior below a half) are undetermined.
 
 from __future__ import annotations
 
+import json
 import math
 import re
 from collections.abc import Iterator
@@ -25,8 +26,8 @@ from salvage.llm.common import blocks, checkpoint, short_batches
 
 #: Labelled rows a language that fit the text models; buckets of hashed trigrams; power of the text likelihood; chance
 #: that a declaration is true; pseudo-counts of the suffix's and the overall prior; rows of the prior table that may be
-#: broadcast; languages told apart.
-SAMPLE_ROWS, BUCKETS, TEMPER, TRUST, SMOOTH, BROADCAST_ROWS, LANGUAGES = 500, 1 << 15, 0.3, 0.9, 20.0, 20_000, 64
+#: broadcast; languages whose counts a task holds before it hands them on.
+SAMPLE_ROWS, BUCKETS, TEMPER, TRUST, SMOOTH, BROADCAST_ROWS, HELD = 500, 1 << 15, 0.3, 0.9, 20.0, 20_000, 64
 UNDETERMINED = "und"
 _TAG = re.compile(r"<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>", re.S | re.I)
 
@@ -65,34 +66,46 @@ class TextModel:
 
 
 def fit(docs: DataFrame, lang_col: str = "lang", id_col: str = "doc_id", text_col: str = "text", rows_per_language: int = SAMPLE_ROWS) -> TextModel:
-    """Text models from at most ``rows_per_language`` labelled rows of each of the LANGUAGES most frequent languages.
+    """Text models of every labelled language, each from at most ``rows_per_language`` of its rows.
 
-    The rows with the least id hashes are taken; only their trigram counts (languages x BUCKETS numbers) are collected.
+    The rows with the least id hashes are taken; rows with a null label or a null text add nothing. Only trigram counts
+    (languages x BUCKETS numbers at most) are collected; a model takes 128 KB a language.
     """
     spark = docs.sparkSession
-    sizes = docs.where(F.col(lang_col).isNotNull()).groupBy(lang_col).count().orderBy(F.desc("count"), lang_col).limit(LANGUAGES).collect()
-    languages = sorted(r[0] for r in sizes)
+    sizes = docs.where(F.col(lang_col).isNotNull()).groupBy(F.col(lang_col).alias("lang")).count()
+    languages = sorted(r["lang"] for r in sizes.select("lang").collect())  # one row a language
     if not languages:
         return TextModel([], np.zeros((0, BUCKETS)))
-    share = F.lit(0.0)
-    for r in sizes:
-        share = F.when(F.col("lang") == r[0], min(1.0, 3 * rows_per_language / r["count"] + 0.01)).otherwise(share)
+    number = {name: i for i, name in enumerate(languages)}
     order = F.xxhash64("id", F.lit(11))
-    chosen = docs.select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id")).where(F.pmod(order, F.lit(1 << 20)) < share * (1 << 20))
-    chosen = chosen.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy(order, "id"))).where(F.col("n") <= rows_per_language)
-    ids = [r["id"] for r in chosen.select("id").distinct().collect()]  # at most languages x rows_per_language
-    picked = docs.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text")).join(F.broadcast(spark.createDataFrame([(i,) for i in ids], f"pick {docs.schema[id_col].dataType.simpleString()}")), F.col("id").eqNullSafe(F.col("pick")), "left_semi").where(F.col("lang").isin(languages))
+    share = F.least(F.lit(1.0), 3 * rows_per_language / F.col("count") + 0.01)  # about three times what is wanted goes to the exact cut
+    few = docs.select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id")).join(F.broadcast(sizes), "lang").where(F.pmod(order, F.lit(1 << 20)) < share * (1 << 20))
+    nth = F.row_number().over(Window.partitionBy("lang").orderBy(order, "id"))
+    chosen = few.withColumn("n", nth).where(F.col("n") <= rows_per_language)
+    pairs = [(r["lang"], r["id"]) for r in chosen.select("lang", "id").distinct().collect()]  # at most languages x rows_per_language
+    picks = F.broadcast(spark.createDataFrame(pairs, f"pick_lang string, pick {docs.schema[id_col].dataType.simpleString()}"))
+    own = docs.select(F.col(id_col).alias("id"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"))
+    picked = own.join(picks, F.col("id").eqNullSafe(F.col("pick")) & (F.col("lang") == F.col("pick_lang")), "left_semi")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((len(languages), BUCKETS), np.int64)
+        total: dict[int, np.ndarray] = {}
+
+        def flush() -> pa.RecordBatch:
+            parts = [(i, np.flatnonzero(c), c[c > 0]) for i, c in total.items()]
+            total.clear()
+            columns = [np.concatenate([np.full(len(b), i) for i, b, _ in parts] or [[]]), np.concatenate([b for _, b, _ in parts] or [[]]), np.concatenate([c for _, _, c in parts] or [[]])]
+            return pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)) for c in columns], ["l", "b", "n"])
+
         for batch in blocks(batches):
             for lang, text in zip(batch.column("lang").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                total[languages.index(lang)] += np.bincount(grams(text), minlength=BUCKETS)
-        lang, bucket = np.nonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(lang), pa.array(bucket), pa.array(total[lang, bucket])], ["l", "b", "n"])
+                found = np.bincount(grams(text), minlength=BUCKETS)
+                total[number[lang]] = total.get(number[lang], 0) + found
+                if len(total) > HELD:
+                    yield flush()
+        yield flush()
 
     counts = np.zeros((len(languages), BUCKETS))
-    for r in picked.select("lang", "text").mapInArrow(count, "l bigint, b bigint, n bigint").groupBy("l", "b").agg(F.sum("n").alias("n")).collect():
+    for r in short_batches(picked.select("lang", "text")).mapInArrow(count, "l bigint, b bigint, n bigint").groupBy("l", "b").agg(F.sum("n").alias("n")).collect():
         counts[r["l"], r["b"]] = r["n"]
     return TextModel(languages, counts)
 
@@ -111,12 +124,25 @@ def suffix_of(host: Column) -> Column:
     return F.nullif(F.regexp_extract(host, r"\.([^.]+)$", 1), F.lit(""))
 
 
-def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None, suffix: str | None = None, declared: str | None = None, markup: bool = False, drop_text: bool = False) -> DataFrame:
+def _salts(votes: DataFrame, parts: int):
+    """Functions from host and text to a salt, and from host to its number of salts: one for each partition's worth of
+    rows. Fewer than ``parts`` hosts can have more than one, and those are constants of the plan."""
+    total = votes.agg(F.coalesce(F.sum("count"), F.lit(0)).alias("n")).first()["n"]
+    worth = max(1, total // parts)
+    hot = votes.where("_host is not null").groupBy("_host").agg(F.sum("count").alias("n")).where(F.col("n") > worth).collect()
+    known = F.from_json(F.lit(json.dumps({r["_host"]: -(-r["n"] // worth) for r in hot})), "map<string,int>")
+    number = lambda host: F.coalesce(F.element_at(known, host), F.lit(1))
+    return (lambda host, text: F.pmod(F.xxhash64(text), number(host)).cast("int")), number
+
+
+def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None, suffix: str | None = None, declared: str | None = None, markup: bool = False, drop_text: bool = False, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """``df`` with ``language``, ``confidence`` and ``text_language``; the arguments name its columns of evidence.
 
     Null or empty evidence is no evidence. Columns of ``df`` with these three names are replaced. Rows are never dropped;
-    repeated rows are judged alike. The text is scored twice, once for the priors and once for the result, so that it is
-    never moved; the table of priors is broadcast if it has few rows and joined over an exchange otherwise.
+    repeated rows are judged alike; equal posteriors go to the first language in order; long texts are read whole; an
+    empty table gives an empty result. The text is scored twice, once for the priors and once for the result, so that it
+    is not moved: the table of priors is broadcast if it has few rows. Beyond that it is joined over an exchange, with
+    the rows of each host that has more than its share dealt to several salts.
     """
     names = [c for c in df.columns if c not in ("language", "confidence", "text_language")]
     languages, n = model.languages, len(model.languages)
@@ -142,10 +168,18 @@ def identify(df: DataFrame, model: TextModel, text: str, host: str | None = None
     by_suffix = votes.where("_suffix is not null").groupBy("_suffix").agg(counts.alias("_sc"))
     by_host = votes.where("_host is not null").groupBy("_host", "_suffix").agg(counts.alias("_hc"))
     table = by_host.join(by_suffix, "_suffix", "left").select(F.col("_host").alias("_h"), F.col("_suffix").alias("_s"), "_hc", "_sc")
-    if table.count() <= BROADCAST_ROWS:
+    salt = salted = None
+    if table.count() <= broadcast_rows:
         table = F.broadcast(table)
+    else:
+        salt, salted = _salts(votes, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+        table = table.withColumn("_t", F.explode(F.sequence(F.lit(0), salted(F.col("_h")) - 1)))
     full = df.select(*(f"`{c}`" for c in names), column(host).cast("string").alias("_host"), column(suffix).cast("string").alias("_suffix"), F.lower(column(declared).cast("string")).alias("_declared"))
-    joined = full.join(table, (F.col("_host") == F.col("_h")) & F.col("_suffix").eqNullSafe(F.col("_s")), "left").select(*(f"`{c}`" for c in names), "_declared", "_hc", "_sc")
+    same = (F.col("_host") == F.col("_h")) & F.col("_suffix").eqNullSafe(F.col("_s"))
+    if salt is not None:
+        full = full.withColumn("_salt", salt(F.col("_host"), F.col(f"`{text}`")))
+        same = same & (F.col("_salt") == F.col("_t"))
+    joined = full.join(table, same, "left").select(*(f"`{c}`" for c in names), "_declared", "_hc", "_sc")
     where = names.index(text)
     kept = [i for i, c in enumerate(names) if not (drop_text and c == text)]
 
@@ -201,6 +235,7 @@ def identify_corpus(docs: DataFrame, pages: DataFrame) -> DataFrame:
 
 
 def documents_in_a_language(docs: DataFrame) -> DataFrame:
-    """The documents whose language was found, with the columns of ``docs``."""
-    found = identify(docs, fit(docs), "text", "source")
-    return found.where(F.col("language") != UNDETERMINED).select(*(f"`{c}`" for c in docs.columns))
+    """The documents whose language was found, with the columns and values of ``docs``, whatever their names."""
+    own = docs.withColumnsRenamed({c: f"d_{c}" for c in docs.columns})
+    found = identify(own, fit(docs), "d_text", "d_source")
+    return found.where(F.col("language") != UNDETERMINED).select(*(F.col(f"`d_{c}`").alias(c) for c in docs.columns))
