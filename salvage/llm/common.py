@@ -44,3 +44,10 @@ def blocks(batches: Iterator[pa.RecordBatch], rows: int = BLOCK_ROWS) -> Iterato
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
             yield batch.slice(at, rows)
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder in whatever store Spark writes it to."""
+    jvm = spark._jvm
+    place = jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)

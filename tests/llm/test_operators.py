@@ -67,6 +67,26 @@ def test_top_k_of_nothing(spark):
     assert sorted(map(tuple, vector_search.embedding_neighbours(bad).collect())) == [(60, 1, 3, 3072), (60, 2, 3, 3072)]
 
 
+def test_huge_components_saturate(spark):
+    rows = [(0, [1e9, 1.0]), (1, [1e30, 1.0]), (2, [-1e30, 0.5]), (3, [1e9, -1.0]), (20, [1e30, 1e30]), (4, [0.0, 0.0])]
+    low, high = -(2**63), 2**63 - 1
+    whole = {i: [max(low, min(high, int(np.floor(64 * x)))) for x in v] for i, v in rows}
+    expected = []
+    for q in (0, 20):
+        scored = sorted((-max(low, min(high, sum(a * b for a, b in zip(whole[q], whole[i])))), i) for i in whole if i != q)
+        expected += [(q, r + 1, i, -s) for r, (s, i) in enumerate(scored)]
+    got = vector_search.embedding_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    assert sorted((r["query_id"], r["score"]) for r in got.collect()) == sorted((q, s) for q, _, _, s in expected)
+
+
+def test_thresholds_travel_through_many_shards(spark):
+    rng = np.random.default_rng(7)
+    rows = [(i, rng.integers(-64, 65, 6).tolist()) for i in range(700)]
+    frame = spark.createDataFrame(rows, "vec_id long, v array<long>")
+    found = vector_search.top_k(frame, frame.where("vec_id % 9 = 0"), 4, shard_rows=40, block_queries=10)
+    assert sorted(map(tuple, found.collect())) == brute_top(rows, [r for r in rows if r[0] % 9 == 0], 4)
+
+
 def test_tree_boxes_are_tight_and_bound_scores():
     rng = np.random.default_rng(1)
     points = rng.integers(-64, 64, (2000, 8))
@@ -121,6 +141,75 @@ def test_toxicity_without_labels_or_rows(spark, toxic, none):
     assert kept.columns == toxic[0].columns and kept.where("text like '%horrid%nastybad%'").count() == 0
 
 
+def test_likelihoods_by_brute_force(toxic):
+    """The chain of distributions, worked out again with dictionaries from the texts."""
+    docs, labels = toxic
+    model = toxicity.fit(docs, labels)
+    words = {r["doc_id"]: toxicity.words_of(r["text"]) for r in docs.collect()}
+    picked, _ = toxicity.training_ids(labels)
+    pair = [{}, {}]
+    for text, y in {tuple(words[i]): y for i, y, curve in picked if not curve and i in words}.items():
+        for key in set(zip((b"", *text), text)):
+            pair[y][key] = pair[y].get(key, 0) + 1
+    left = [{w: len({v for v, x in p if x == w}) for w in {x for _, x in p}} for p in pair]
+    known = sorted(w for w in set(left[0]) | set(left[1]) if left[0].get(w, 0) + left[1].get(w, 0) >= toxicity.WORD_COUNT)
+    stem = [{s: sum(n for w, n in x.items() if toxicity.stem_of(w) == s) for s in map(toxicity.stem_of, x)} for x in left]
+    stems = sorted(s for s in set(stem[0]) | set(stem[1]) if stem[0].get(s, 0) + stem[1].get(s, 0) >= toxicity.WORD_COUNT)
+    unit = lambda w: ("w", w) if w in known else ("s", toxicity.stem_of(w)) if toxicity.stem_of(w) in stems else ("0", b"")
+    before = {}
+    for text in words.values():
+        for a, b in zip(text, text[1:]):
+            before.setdefault(unit(b), set()).add(unit(a))
+    n_left = lambda u: len(before.get(u, ())) + 1
+    units = [("0", b"")] + [("w", w) for w in known] + [("s", s) for s in stems]
+    home = lambda u: u if u[0] != "w" else ("s", toxicity.stem_of(u[1])) if toxicity.stem_of(u[1]) in stems else None
+    group = {u: sum(n_left(x) for x in units if home(x) == u) for u in units if u[0] != "w"}
+    prob = []
+    for y in (0, 1):
+        total = sum(left[y].values())
+        counts = {("s", s): stem[y].get(s, 0) for s in stems}
+        counts["0", b""] = total - sum(counts.values())
+        keep = {u: max(n - 0.75, 0) / total for u, n in counts.items()}
+        by_stem = {u: keep[u] + (1 - sum(keep.values())) * group[u] / sum(group.values()) for u in counts}
+        keep = {("w", w): max(left[y].get(w, 0) - 0.75, 0) / total for w in known}
+        prob.append({u: keep.get(u, 0) + (1 - sum(keep.values())) * by_stem[home(u)] * n_left(u) / group[home(u)] for u in units})
+    number = {u: i for i, u in enumerate(units)}
+    got, rest, counted = model.distributions
+    for y in (0, 1):
+        assert sum(prob[y].values()) == pytest.approx(1) and got[y].sum() == pytest.approx(1)
+        assert all(got[y][number[u]] == pytest.approx(x) for u, x in prob[y].items())
+    told = {k for k in set(pair[0]) | set(pair[1]) if pair[0].get(k, 0) + pair[1].get(k, 0) >= toxicity.PAIR_COUNT and k[1] in known}
+    size, seen = model.units.size, 0
+    for v in known:
+        kept = [{w: max(pair[y].get((x, w), 0) - 0.75, 0) for x, w in told if x == v} for y in (0, 1)]
+        if min(sum(k.values()) for k in kept) >= toxicity.LEFT_COUNT:
+            n = [sum(c for (x, _), c in pair[y].items() if x == v) for y in (0, 1)]
+            share = 1 - sum(sum(k.values()) for k in kept) / sum(n)
+            assert rest[number["w", v]] == pytest.approx(share)
+            own = model.pairs // size == number["w", v]
+            for y in (0, 1):
+                want = {number["w", w]: (1 - share) * k / sum(kept[y].values()) + share * prob[y]["w", w] for w, k in kept[y].items()}
+                assert dict(zip((model.pairs[own] % size).tolist(), counted[y][own].tolist())) == pytest.approx(want)
+                assert sum(want.values()) + share * (1 - sum(prob[y]["w", w] for w in kept[y])) == pytest.approx(1)
+            seen += 1
+    assert seen > 5
+    text = b" ".join(known[:30]).decode()
+    ids = [number["w", w] for w in known[:30]]
+    ratio = [np.log(got[1][i] / got[0][i]) for i in ids]
+    at = {k: i for i, k in enumerate(model.pairs.tolist())}
+    for j in range(1, 30):
+        if (i := at.get(ids[j - 1] * size + ids[j])) is not None:
+            ratio[j] = np.log(counted[1][i] / counted[0][i])
+    assert model.features(text)[:2] == (30, pytest.approx(np.mean(ratio)))
+
+
+def test_texts_labelled_both_ways_are_toxic(spark, toxic):
+    docs = toxic[0].union(spark.createDataFrame([(2000 + i, "nastybad same text", "en", "a", 1) for i in range(12)], DOCS))
+    labels = toxic[1].union(spark.createDataFrame([(2000 + i, 1, i % 2) for i in range(12)], toxic[1].schema))
+    runs = [sorted((str(r["doc_id"]), r["score"]) for r in toxicity.toxicity_digest(docs.repartition(n), labels.repartition(n)).collect()) for n in (2, 5)]
+    assert runs[0] == runs[1]
+
+
 def test_continuation_counts_are_exact(spark, odd):
     units = toxicity.Units([b"hello", b"on", b"the", b"and", b"long"], [b"small", b"nothi"])
     seen = set()
@@ -172,6 +261,43 @@ def test_license_suppression_by_containment():
         assert rule.keyword
 
 
+def brute_detect(text):
+    words = license_scan.words_of(text)
+    hits = []
+    for rule in license_scan.signatures():
+        pattern = re.compile(rb"(?<= )(?:" + rule.pattern.encode() + rb")(?= )")
+        for m in pattern.finditer(words):
+            first = words.count(b" ", 0, m.start()) - 1
+            hits.append((rule.label, first, first + 1 + m.group().count(b" "), rule.priority, rule.confidence))
+    taken = []
+    for h in sorted(hits, key=lambda h: (-h[3], h[1] - h[2], h[1], h[0])):
+        if not any(a <= h[1] and h[2] <= b for _, a, b, _, _ in taken):
+            taken.append(h)
+    return sorted(taken, key=lambda h: (h[1], h[2], h[0]))
+
+
+LICENCES = "This program is under the GNU General Public License version 2 or later, the Mozilla Public License, v. 2.0 and CC BY-SA 4.0. Licensed under the Apache License, Version 2.0. All rights reserved. (c) Copyright 2001 2004 by X. SPDX-License-Identifier: MIT. Permission is hereby granted, free of charge, to any person obtaining a copy. "
+
+
+def test_license_detections_by_brute_force(docs):
+    for text in [LICENCES, LICENCES * 7, "", None, "cc by", *[r["text"] for r in docs.collect()]]:
+        assert license_scan.detect(license_scan.words_of(text)) == brute_detect(text)
+    labels = {d[0] for d in license_scan.detect(license_scan.words_of(LICENCES))}
+    assert {"mpl-2.0", "gpl-2.0-or-later", "apache-2.0", "cc-by-sa-4.0", "mit"} <= labels
+    row = license_scan.license_digest(docs.limit(1).withColumn("text", F.lit(LICENCES))).first()
+    chance = 1 - 0.9 * np.prod([1 - d[4] for d in brute_detect(LICENCES)])  # a base phrase is there
+    assert row["score"] == pytest.approx(chance, abs=1e-9) and row["labels"] == ",".join(sorted(labels | {"gpl", "reserved"}))
+
+
+def test_long_licence_texts_take_linear_time():
+    import time
+
+    text = LICENCES * (10_000_000 // len(LICENCES))
+    began = time.time()
+    found = license_scan.detect(license_scan.words_of(text))
+    assert len(found) > 200_000 and time.time() - began < 40  # some 8 s on an idle core; squared growth would be hours
+
+
 # 4: urls
 
 
@@ -192,6 +318,29 @@ def test_url_plan_has_no_python(spark, sf):
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
 
 
+def test_thousands_of_rules_by_table_and_by_join(spark):
+    rng = random.Random(4)
+    tokens = [f"t{i}" for i in range(4000)]
+    rules = [url_filter.UrlRule(f"r{i}", "block" if i % 3 else "allow", rf"(?:^|[^a-z0-9]){a}(?:[^a-z0-9]+[a-z0-9]+)*[^a-z0-9]+{b}(?:[^a-z0-9]|$)", (a, b), rng.randint(1, 5), i % 2 == 0) for i, (a, b) in enumerate(rng.sample(tokens, 2) for _ in range(6000))]
+    urls = [None, "no scheme", "http://"]
+    for _ in range(600):
+        a, b = rng.choice(rules).tokens if rng.random() < 0.6 else rng.sample(tokens, 2)
+        urls.append(f"https://{a}.example/{rng.choice(tokens)}/{b}.html?x=1")
+    df = spark.createDataFrame([(i, u) for i, u in enumerate(urls)], "page_id long, url string")
+    expected, compiled = {}, [re.compile(r.pattern) for r in rules]
+    for i, u in enumerate(urls):
+        m = re.match(r"(?s)^.*?://([^/?#]*)([^?#]*)", u or "")
+        address = m.group(1).lower() + m.group(2) if m else ""
+        best = max(((r.rank, r.name, r.action, r.listed) for r, p in zip(rules, compiled) if p.search(address)), default=None)
+        expected[i] = (best[1] if best and best[3] else None, best[2] if best else "allow", best[1] if best and not best[3] else None)
+    for limit in (10_000, 100):
+        got = {r["page_id"]: (r["rule"], r["verdict"], r["pattern_rule"]) for r in url_filter.judge_urls(df, rules=rules, plan_rules=limit).collect()}
+        assert got == expected
+    assert sum(e[0] is not None or e[2] is not None for e in expected.values()) > 100
+    index = {r["token"] for r in url_filter.filed_rules(df.select(F.lower("url").alias("address")), rules)[0].collect()}
+    assert index <= set(tokens)
+
+
 # 5: mixing
 
 
@@ -281,6 +430,29 @@ def test_fingerprints_follow_the_next_document(spark, docs, odd, parts):
     assert single[0]["near_next"] == 1.0
 
 
+def test_documents_without_ids_are_split(spark, monkeypatch):
+    monkeypatch.setattr(syncmers, "RANGE_BYTES", 500)
+    rng = random.Random(6)
+    texts = ["".join(rng.choice("abcdefgh ") for _ in range(60)) for _ in range(150)]
+    table = spark.createDataFrame([(None if i < 100 else 7, t, "guest", 1) for i, t in enumerate(texts)], "doc_id long, text string, bucket string, guest int")
+    sent = syncmers.with_successors(table, "doc_id", "text")
+    assert sent.where("not guest").count() == 150 and max(r["count"] for r in sent.groupBy("bucket").count().collect()) < 75
+    found = {(str(r["doc_id"]), r["edited_sha256"]) for r in syncmers.fingerprint_digest(table).collect()}
+    rows = [(r["doc_id"], r["text"]) for r in table.orderBy(F.desc_nulls_last("doc_id"), F.xxhash64("text")).collect()]
+    assert found == {(str(d), hashlib.sha256(syncmers.edited(t, rows[(i + 1) % 150][1]).encode()).hexdigest()) for i, (d, t) in enumerate(rows)}
+
+
+def test_likeness_asks_for_matching_positions():
+    rng = random.Random(8)
+    text = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    a, b, c = text(1500), text(1500), text(30)
+    same, moved, half = syncmers.likeness(*map(syncmers.sketch, (a, c + a))), syncmers.likeness(*map(syncmers.sketch, (a, b + a))), syncmers.likeness(*map(syncmers.sketch, (a, a[:750] + b[:750])))
+    assert same > 0.85 and 0.3 < moved < 0.75 and 0.1 < half < 0.6  # all anchors, those of one of two halves
+    parts = [text(400) for _ in range(8)]
+    mixed = syncmers.likeness(*map(syncmers.sketch, ("".join(parts), "".join(reversed(parts)))))
+    assert mixed < 0.5 < syncmers.likeness(*map(syncmers.sketch, ("".join(parts), "".join(parts) + c)))
+
+
 def test_fingerprints_of_nothing(none):
     assert syncmers.fingerprint_digest(none).count() == 0
 
@@ -301,6 +473,50 @@ def test_language_of_documents_and_pages(spark, docs, odd, sf):
     assert language_id.documents_in_a_language(docs).columns == docs.columns
 
 
+def test_posterior_by_brute_force(docs):
+    model = language_id.fit(docs)
+    overall, n = np.array([0.4, 0.3, 0.2, 0.1]), len(model.languages)
+    for said, host, suffix in ((None, None, None), ("fr", [3.0, 9.0, 0.0, 1.0], None), ("xx", [0.0, 0.0, 30.0, 0.0], [5.0, 5.0, 50.0, 0.0]), ("de", None, [1.0, 0.0, 0.0, 2.0])):
+        for text in [r["text"] for r in docs.limit(12).collect()] + ["", None, "12 34"]:
+            g = language_id.grams(text)
+            like = [sum(float(model.log[x, i]) for x in g) for i in range(n)]
+            best = max(range(n), key=lambda i: like[i]) if len(g) else None
+            prior = [float(x) for x in overall]
+            for counts in (suffix, host):
+                if counts:
+                    c = [max(x - (i == best), 0) for i, x in enumerate(counts)]
+                    prior = [(c[i] + 20 * prior[i]) / (sum(c) + 20) for i in range(n)]
+            known = said in model.languages
+            logs = [np.log(prior[i]) + 0.3 * like[i] + (0 if not known else np.log(0.9) if model.languages[i] == said else np.log(0.1 / (n - 1))) for i in range(n)]
+            odds = np.exp(np.array(logs) - max(logs))
+            i = int(odds.argmax())
+            sure = odds[i] / odds.sum()
+            got = language_id.posterior(model, text, False, said, host, suffix, overall)
+            assert got[0] == (model.languages[i] if (len(g) or known) and sure >= 0.5 else "und") and got[1] == pytest.approx(sure, abs=1e-4)
+
+
+def test_every_labelled_language_has_a_model(spark):
+    rng = random.Random(12)
+    rows = []
+    for k in range(90):
+        alphabet = [chr(0x4E00 + 40 * k + i) for i in range(12)]
+        rows += [(100 * k + j, " ".join("".join(rng.choices(alphabet, k=5)) for _ in range(30)), f"l{k:02}", "s", f"v{k}") for j in range(3 if k else 30)]
+    table = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, language string")
+    model = language_id.fit(table)
+    assert len(model.languages) == 90
+    judged = language_id.identify(table.drop("language"), model, "text")
+    assert judged.where("lang = language").count() > 0.98 * len(rows)
+    kept = language_id.documents_in_a_language(table)
+    assert kept.columns == table.columns and {r["language"] for r in kept.collect()} <= {f"v{k}" for k in range(90)}
+
+
+def test_many_hosts_are_joined_with_salts(spark, docs):
+    model = language_id.fit(docs)
+    table = docs.withColumn("host", F.when(F.col("doc_id") % 3 == 0, "hot").otherwise(F.concat(F.lit("h"), F.col("doc_id") % 40)))
+    judge = lambda rows: sorted((r["doc_id"], r["language"], r["confidence"]) for r in language_id.identify(table, model, "text", "host", broadcast_rows=rows).collect())
+    assert judge(0) == judge(10**6)
+
+
 def test_host_prior_decides_doubtful_rows(spark, docs):
     model = language_id.fit(docs)
     french = [r["text"] for r in docs.where("lang = 'fr'").limit(12).collect()]
@@ -339,7 +555,7 @@ def test_packing_round_trip(spark, docs, odd):
     from tokenizers import Tokenizer
 
     table = docs.union(odd).union(spark.createDataFrame([(95, "a <|endoftext|> b", "en", "a", 1)], DOCS))
-    tokenizer = Tokenizer.from_file(packing.tokenizer_paths()[1])
+    tokenizer = Tokenizer.from_file(packing.tokenizer_path())
     expected = sorted((str(r["doc_id"]), zlib.crc32(np.array([*tokenizer.encode(r["text"] or "", add_special_tokens=False).ids, 1], "<u4").tobytes())) for r in table.collect())
     pieces = packing.cut_pieces(table, keep_ids=True)
     rows = packing.pack_pieces(pieces, group_rows=64, fan_in=2).collect()
@@ -370,8 +586,8 @@ def test_packing_round_trip(spark, docs, odd):
 def test_ids_are_those_of_the_json_file():
     from tokenizers import Tokenizer
 
-    ranks, json_path = packing.tokenizer_paths()
-    encode, whole = packing.encoder(ranks, json_path), Tokenizer.from_file(json_path)
+    json_path = packing.tokenizer_path()
+    encode, whole = packing.encoder(json_path), Tokenizer.from_file(json_path)
     rng = random.Random(11)
     alphabet = "abc XYZ012\n\t\r\u00a0éß中文🙂\u200d'’.,!?<|endoftext|>#$ \u3000\x00\x7f"
     texts = ["", " ", "  a  b   ", "a" * 5000, " " * 5000 + "x", "<|endoftext|>" * 3, "it's I'LL we've", "\u0301e\u0301", "🙂" * 300, "x\n" * 2000] + ["".join(rng.choice(alphabet) for _ in range(rng.randint(1, 200))) for _ in range(400)]
@@ -379,6 +595,17 @@ def test_ids_are_those_of_the_json_file():
         assert encode(text).tolist() == whole.encode(text, add_special_tokens=False).ids, text[:80]
 
 
+@pytest.mark.parametrize("length,each", [(1500, 1), (1000, 2), (1024, 2), (3, 682)])
+def test_equal_lengths_never_reach_one_task(spark, length, each):
+    rows = spark.range(3000).select("id", F.lit(length).cast("long").alias("length"))
+    packed = packing.pack_pieces(rows, group_rows=256, fan_in=4)
+    by = packed.groupBy("sequence_id").agg(F.count("*").alias("n"), F.sum("length").alias("filled")).collect()
+    assert sum(r["n"] for r in by) == 3000 and max(r["n"] for r in by) <= each
+    assert len(by) <= 3000 / each * 1.5 + 4
+    sequence, _ = packing.pack_lengths(np.full(8192, length), 2048, hand_up=512)
+    assert 0 < (sequence < 0).sum() <= 512 or length == 1024
+
+
 def test_packing_nothing(none):
     assert packing.pack_documents(none).count() == 0
 
@@ -444,6 +671,20 @@ def test_links_in_a_dense_group(spark):
     assert {a: b for a, b in zip(node.tolist(), root.tolist()) if a != b} == roots
 
 
+def test_hot_anchors_are_split(monkeypatch):
+    rng = np.random.default_rng(5)
+    base = int(rng.integers(0, 2**62))
+    group = np.array(sorted({base ^ (1 << int(i)) ^ (1 << int(j)) ^ (1 << int(k)) for i, j, k in rng.integers(0, 62, (900, 3))}), np.int64)
+    row, anchor, home = simhash.visits(group.view(np.uint64))
+    order = np.argsort(anchor, kind="stable")
+    args = anchor[order], group[row][order], home[order]
+    whole = [dict(zip(*(x.tolist() for x in simhash.components(*simhash._linked(*args)))))]
+    for limit in (0, 50):
+        monkeypatch.setattr(simhash, "SPLIT_PAIRS", limit)
+        whole.append(dict(zip(*(x.tolist() for x in simhash.components(*simhash._linked(*args))))))
+    assert whole[0] == whole[1] == whole[2] and len(whole[0]) > 500
+
+
 def test_long_chains_connect(spark):
     chain = spark.createDataFrame([(i + 1, i) for i in range(200)] + [(500, 400)], "u long, v long")
     assert {r["u"]: r["root"] for r in simhash.connect(chain).collect()} == {i: 0 for i in range(1, 201)} | {500: 400}
@@ -499,6 +740,15 @@ def test_near_copies_of_the_stage(spark, docs, odd):
     assert kept.columns == table.columns and kept.count() == len({find(i) for i in range(len(rows))}) < simhash.drop_near_duplicates(table).count()
 
 
+def test_stages_keep_columns_of_any_name(spark, docs):
+    names = ["key", "nth", "copies", "n", "i", "d", "h", "root", "score", "predicted", "language", "_n", "_key"]
+    table = docs.limit(60).select("*", *(F.lit(f"own {c}").alias(c) for c in names))
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    for kept in (simhash.drop_near_duplicates(table, simhash.near_duplicates(table)), mixing.mixed_documents(table), toxicity.drop_toxic(table, labels), language_id.documents_in_a_language(table)):
+        rows = kept.collect()
+        assert kept.columns == table.columns and rows and all(r[c] == f"own {c}" for r in rows for c in names)
+
+
 def test_near_copies_of_nothing(none):
     assert simhash.drop_near_duplicates(none, simhash.near_duplicates(none)).count() == 0
 
