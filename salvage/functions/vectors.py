@@ -9,7 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-DIMENSIONS = 256
+#: Length of a hashed text vector, and groups whose sums a task holds before it hands them on.
+DIMENSIONS, HELD = 256, 4096
 
 
 def dot(a: Column, b: Column) -> Column:
@@ -36,11 +37,52 @@ def unit(a: Column) -> Column:
     return F.transform(a, lambda x: F.when(size > 0, x.cast("double") / size).otherwise(0.0))
 
 
+def sum_vectors(df: DataFrame, keys: list[str], vec_col: str = "vec") -> DataFrame:
+    """(keys, n, sums): the number and the component sums of the vectors of each group.
+
+    Each task adds up its own rows by group, so one row a group and task moves and its parts are added up. A task holds at most HELD groups at a time.
+    """
+    kinds = ", ".join(f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keys)
+
+    def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[tuple, list] = {}
+
+        def flush() -> pa.RecordBatch:
+            columns = [pa.array([k[i] for k in held], arrow[i]) for i in range(len(keys))]
+            out = [*columns, pa.array([v[0] for v in held.values()], pa.int64()), pa.array([v[1].tolist() for v in held.values()], pa.list_(pa.float64()))]
+            held.clear()
+            return pa.RecordBatch.from_arrays(out, [*keys, "n", "sums"])
+
+        arrow = None
+        for batch in batches:
+            arrow = [batch.schema.field(i).type for i in range(len(keys))]
+            flat = batch.column(len(keys)).flatten().to_numpy(zero_copy_only=False)
+            x = flat.reshape(batch.num_rows, -1).astype(float) if len(flat) else np.zeros((batch.num_rows, 0))
+            names = list(zip(*(batch.column(i).to_pylist() for i in range(len(keys))), strict=True))
+            for name, row in zip(names, x, strict=True):
+                if (own := held.get(name)) is None:
+                    held[name] = [1, row.copy()]
+                else:
+                    own[0] += 1
+                    own[1] += row
+                if len(held) > HELD:
+                    yield flush()
+        if held:
+            yield flush()
+
+    def whole(rows: pa.Table) -> pa.Table:
+        total = np.sum([np.asarray(v, float) for v in rows.column("sums").to_pylist()], 0)
+        out = {k: rows.column(k).slice(0, 1) for k in keys}
+        return pa.table(out | {"n": pa.array([sum(rows.column("n").to_pylist())], pa.int64()), "sums": pa.array([total.tolist()], pa.list_(pa.float64()))})
+
+    schema = f"{kinds}, n bigint, sums array<double>"
+    parts = df.select(*keys, vec_col).mapInArrow(part, schema)
+    return parts.groupBy(*keys).applyInArrow(whole, schema)
+
+
 def mean_vectors(df: DataFrame, keys: list[str], vec_col: str = "vec") -> DataFrame:
-    """One mean vector a group, by partial aggregation of single components, so that no group is held in one place."""
-    parts = df.select(*keys, F.posexplode(vec_col).alias("_i", "_x")).groupBy(*keys, "_i").agg(F.avg(F.col("_x").cast("double")).alias("_m"))
-    packed = parts.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("_i", "_m"))).alias("_v"))
-    return packed.select(*keys, F.col("_v._m").alias("mean"))
+    """(keys, mean): the mean vector of each group; no group is held in one place."""
+    return sum_vectors(df, keys, vec_col).select(*keys, F.transform("sums", lambda x: x / F.col("n")).alias("mean"))
 
 
 def _hash(grams: np.ndarray) -> np.ndarray:

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from salvage.functions.materialize import checkpoint
+
 
 class TextModel:
     """``generate`` gets a batch of prompts and returns as many replies; None is a failed call."""
@@ -72,3 +74,15 @@ def call(misses: DataFrame, model: TextModel, options: dict[str, str], prompt_co
 
     once = misses.select("key", F.col(prompt_col).alias("prompt")).dropDuplicates(["key"])
     return once.mapInArrow(run, "key string, reply string")
+
+
+def ask(df: DataFrame, model: TextModel, op: str, cache: str, options: dict[str, str], prompt_col: str = "prompt") -> DataFrame:
+    """``df`` with ``reply``: calls that the cache folder holds are replayed, the others are made, once for each distinct
+    prompt, and appended to the folder before anything reads them; a failed call (null) is in the cache too."""
+    spark, kind = df.sparkSession, "key string, reply string"
+    spark.createDataFrame([], kind).write.mode("append").parquet(cache)  # so that there is a table
+    keyed = checkpoint(df)
+    _, misses = replay(keyed, spark.read.schema(kind).parquet(cache), op, options, prompt_col)
+    call(misses, model, options, prompt_col).write.mode("append").parquet(cache)
+    hits, _ = replay(keyed, spark.read.schema(kind).parquet(cache), op, options, prompt_col)
+    return hits.drop("key")

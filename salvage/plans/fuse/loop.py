@@ -4,11 +4,16 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from salvage.functions.keys import order_key
 from salvage.functions.materialize import checkpoint
+from salvage.functions.scratch import scratch
 from salvage.plans.fuse import rules
+from salvage.plans.fuse.backends import TextModel
+from salvage.plans.fuse.operators import ModelOperators, RuleOperators
+from salvage.plans.samples import purge_text
 
 
 @dataclass(frozen=True)
@@ -30,7 +35,36 @@ def _trace(df: DataFrame, cycle: int, iteration: int, op: str, loss: Column, tok
     return df.select("pair_id", F.lit(cycle).alias("cycle"), F.lit(iteration).alias("iter"), F.lit(op).alias("op"), F.col("prompt.version").alias("prompt_version"), loss.alias("loss"), tokens_in.alias("tokens_in"), tokens_out.alias("tokens_out"))
 
 
-def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, DataFrame]:
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.union(part)
+    return out
+
+
+def _best(versions: list[DataFrame]) -> DataFrame:
+    """The version of each pair with the least loss, the earliest of equals."""
+    return _union(versions).groupBy("pair_id").agg(F.min_by("v", F.struct("v.score", "v.iter")).alias("v"))
+
+
+def pick_strategy(pair_id: Column) -> Column:
+    """Which of a relation's three strategies a pair takes, 1 to 3."""
+    return F.pmod(F.conv(F.substring(F.md5(pair_id), 1, 6), 16, 10).cast("int"), F.lit(3)) + 1
+
+
+def prepared(pairs: DataFrame, options: Options = Options()) -> DataFrame:
+    """(pair_id, a, b, sa, sb, wa, wb, wanted, qa, qb): sentences and terms of both parents, after the purge rules, the
+    terms to keep (those of clean sentences) and each parent's first clean sentence."""
+    texts = pairs.select("pair_id", "a", "b", F.coalesce("text_a", F.lit("")).alias("ta"), F.coalesce("text_b", F.lit("")).alias("tb"))
+    if options.purge:
+        texts = purge_text(purge_text(texts, "ta"), "tb")
+    clean = lambda s: F.filter(s, lambda x: ~rules.is_junk(x))
+    parts = checkpoint(texts).select("pair_id", "a", "b", rules.sentences(F.col("ta")).alias("sa"), rules.sentences(F.col("tb")).alias("sb"), rules.term_set(F.col("ta")).alias("wa"), rules.term_set(F.col("tb")).alias("wb"))
+    first = lambda s: F.coalesce(F.try_element_at(clean(F.col(s)), F.lit(1)), F.lit(""))
+    return parts.select("*", rules.term_set(F.array_join(F.concat(clean(F.col("sa")), clean(F.col("sb"))), " ")).alias("wanted"), first("sa").alias("qa"), first("sb").alias("qb"))
+
+
+def fuse(pairs: DataFrame, options: Options = Options(), model: TextModel | None = None, cache: str | None = None) -> tuple[DataFrame, DataFrame]:
     """Merged rows and the trace of all calls, for ``pairs`` (pair_id, a, b, text_a, text_b).
 
     Cycle 1 drafts, audits and patches its prompt until the loss is 0 or the regenerations are used up; the version with
@@ -38,83 +72,75 @@ def fuse(pairs: DataFrame, options: Options = Options()) -> tuple[DataFrame, Dat
     drives the next prompt, so the best prompt is that of the round before. Each round is written before it is read
     again, so no call is repeated; only open rows take part. All terms of both parents' clean sentences are audited, and
     a patch asks for all that are missing. Rows without an accepted version are kept as exhausted.
+
+    Operators are the rules, or prompts to ``model``, whose calls are kept in the folder ``cache`` (a new one by default)
+    and replayed from it.
     """
-    text = lambda c: F.coalesce(F.col(c), F.lit(""))
-    start = pairs.select("pair_id", "a", "b", rules.sentences(text("text_a")).alias("sa"), rules.sentences(text("text_b")).alias("sb"), rules.term_set(text("text_a")).alias("wa"), rules.term_set(text("text_b")).alias("wb"))
-    start = start.withColumn("relation", rules.relate(F.col("wa"), F.col("wb")))
-    table = F.broadcast(pairs.sparkSession.createDataFrame(rules.STRATEGIES, "relation string, strategy string, template string"))  # nine rows
-    offered = table.groupBy("relation").agg(F.array_sort(F.collect_list("strategy")).alias("offered"))
-    pick = F.element_at("offered", F.pmod(F.conv(F.substring(F.md5("pair_id"), 1, 6), 16, 10).cast("int"), F.lit(3)) + 1)
-    start = start.join(F.broadcast(offered), "relation").withColumn("strategy", pick if options.strategies else F.lit("S1")).drop("offered")
-    clean = (lambda s: F.filter(s, lambda x: ~rules.is_junk(x))) if options.purge else (lambda s: s)
-    wanted = rules.term_set(F.array_join(F.concat(F.filter("sa", lambda s: ~rules.is_junk(s)), F.filter("sb", lambda s: ~rules.is_junk(s))), " "))
-    question = F.concat_ws(" ", F.element_at(clean(F.concat("sa", F.array(F.lit("")))), 1), F.element_at(clean(F.concat("sb", F.array(F.lit("")))), 1))
-    work = checkpoint(start.select("pair_id", "a", "b", "sa", "sb", "relation", "strategy", wanted.alias("wanted"), question.alias("question"), rules.first_prompt(F.col("strategy")).alias("prompt")))
-    traces = [_trace(work, 0, 0, "relate", F.lit(0), _words(F.array_join(F.concat("sa", "sb"), " ")), F.lit(1))]
+    ops = RuleOperators() if model is None else ModelOperators(model, cache or scratch(pairs.sparkSession, "calls"))
+    start = ops.relate(checkpoint(prepared(pairs, options)))
+    offered = F.filter(F.array(*(F.struct(F.lit(r).alias("r"), F.lit(s).alias("s")) for r, s, _, _ in rules.STRATEGIES)), lambda x: x["r"] == F.col("relation"))
+    strategy = F.element_at(offered, pick_strategy(F.col("pair_id")))["s"] if options.strategies else F.lit("none")
+    asked = F.trim(F.concat_ws(" ", "qa", "qb"))
+    work = start.withColumn("strategy", strategy).withColumn("question", asked).withColumn("prompt", rules.first_prompt(F.col("strategy")))
+    work = checkpoint(work.select("pair_id", "a", "b", "sa", "sb", "qa", "qb", "relation", "strategy", "wanted", "question", "prompt"))
+    whole = _words(F.array_join(F.concat("sa", "sb"), " "))
+    traces = [_trace(work, 0, 0, "relate", F.lit(0), whole, F.lit(1))]
 
     versions, open_ = [], work
     for i in range(options.max_regen + 1 if options.cycle1 else 1):
-        drafted = checkpoint(open_.withColumn("answer", rules.draft(F.col("prompt"), F.col("sa"), F.col("sb"))).withColumn("loss", rules.audit(F.col("answer"), F.col("wanted"))))
+        drafted = checkpoint(ops.audit(checkpoint(ops.draft(open_)) if model else ops.draft(open_)))
         out = _words(F.array_join("answer", " "))
-        traces += [_trace(drafted, 1, i, "draft", F.col("loss.score"), _words(F.array_join(F.concat("sa", "sb"), " ")) + F.size("prompt.must_keep"), out), _trace(drafted, 1, i, "audit", F.col("loss.score"), out, F.size("loss.missing") + F.size("loss.drop"))]
+        traces += [_trace(drafted, 1, i, "draft", F.col("loss.score"), whole + F.size("prompt.must_keep"), out), _trace(drafted, 1, i, "audit", F.col("loss.score"), out, F.size("loss.missing") + F.size("loss.drop"))]
         versions.append(drafted.select("pair_id", F.struct(F.col("loss.score").alias("score"), F.lit(i).alias("iter"), "answer", "prompt").alias("v")))
         if not options.cycle1:
             break
-        open_ = drafted.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"), None)).drop("answer", "loss")
-    best = versions[0]
-    for v in versions[1:]:
-        best = best.union(v)
-    best = best.groupBy("pair_id").agg(F.min_by("v", F.struct("v.score", "v.iter")).alias("v"))
-    carried = checkpoint(work.drop("prompt").join(best, "pair_id").select("pair_id", "a", "b", "relation", "strategy", "question", F.array_union("sa", "sb").alias("parents"), F.col("v.answer").alias("answer"), F.col("v.score").alias("loss1"), F.col("v.prompt").alias("prompt")))
-
-    finals, open_ = [], carried.withColumn("base", F.col("prompt.version"))
+        open_ = drafted.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"))).drop("answer", "loss")
+    best = _best(versions)
+    carried = work.drop("prompt").join(best, "pair_id").select("pair_id", "a", "b", "relation", "strategy", "question", "qa", "qb", F.array_union("sa", "sb").alias("parents"), F.col("v.answer").alias("answer"), F.col("v.score").alias("loss1"), F.col("v.prompt").alias("prompt"))
+    carried = checkpoint(carried)
+
+    finals, open_ = [], carried
     for i in range(options.max_regen + 1 if options.cycle2 else 1):
-        checked = checkpoint(open_.withColumn("loss", rules.check_answer(F.col("question"), F.col("answer"))))
+        checked = checkpoint(ops.check(open_) if options.cycle2 else RuleOperators().check(open_))
         if options.cycle2:
             traces.append(_trace(checked, 2, i, "check", F.col("loss.score"), _words(F.array_join("answer", " ")), F.size("loss.missing") + F.size("loss.drop")))
         finals.append(checked.select("pair_id", F.struct(F.col("loss.score").alias("score"), F.lit(i).alias("iter"), "answer", "prompt").alias("v")))
         if not options.cycle2 or i == options.max_regen:
             break
-        revised = checked.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"), None))
-        revised = checkpoint(revised.withColumn("answer", rules.revise_answer(F.col("prompt"), F.col("answer"), F.col("parents"))).drop("loss"))
-        traces.append(_trace(revised, 2, i, "revise", F.lit(None).cast("int"), _words(F.array_join("parents", " ")), _words(F.array_join("answer", " "))))
-        open_ = revised
-    last = finals[0]
-    for v in finals[1:]:
-        last = last.union(v)
-    last = last.groupBy("pair_id").agg(F.min_by("v", F.struct("v.score", "v.iter")).alias("v"))
-    merged = carried.drop("answer", "prompt").join(last, "pair_id").select(
-        F.concat(F.lit("m:"), "pair_id").alias("merged_id"), "pair_id", F.array("a", "b").alias("parents"), "relation", "strategy", F.col("question").alias("user"), F.array_join("v.answer", ". ").alias("assistant"),
-        "loss1", F.col("v.score").alias("loss2"), F.when((F.col("loss1") == 0) & (F.col("v.score") == 0), "accepted").otherwise("exhausted").alias("status"),
+        revised = checked.where("loss.score > 0").withColumn("prompt", rules.patch(F.col("prompt"), F.col("loss"))).drop("loss")
+        open_ = checkpoint(ops.revise(revised))
+        traces.append(_trace(open_, 2, i, "revise", F.lit(None).cast("int"), _words(F.array_join("parents", " ")), _words(F.array_join("answer", " "))))
+    asked = rules.question(F.col("strategy"), F.col("qa"), F.col("qb"))
+    accepted = (F.col("loss1") == 0) & (F.col("v.score") == 0)
+    merged = carried.drop("answer", "prompt").join(_best(finals), "pair_id").select(
+        F.concat(F.lit("m:"), "pair_id").alias("merged_id"), "pair_id", F.array("a", "b").alias("parents"), "relation", "strategy", asked.alias("user"), F.array_join("v.answer", ". ").alias("assistant"),
+        "loss1", F.col("v.score").alias("loss2"), F.when(accepted, "accepted").otherwise("exhausted").alias("status"),
     )
-    trace = traces[0]
-    for t in traces[1:]:
-        trace = trace.union(t)
-    return checkpoint(merged), checkpoint(trace)
+    return checkpoint(merged), checkpoint(_union(traces))
 
 
-def fuse_clusters(reps: DataFrame, texts: DataFrame, options: Options = Options()) -> tuple[DataFrame, DataFrame, int]:
+def fuse_clusters(reps: DataFrame, texts: DataFrame, options: Options = Options(), model: TextModel | None = None, cache: str | None = None) -> tuple[DataFrame, DataFrame, int]:
     """One merged text a cluster, by rounds of a tree: neighbours of the seed order are merged, an odd one is carried on.
 
     ``reps`` is (cluster_id, sample_id), ``texts`` (sample_id, text). The number of rounds, about log of the largest
-    cluster, is driven by one count a round. Returns the last texts (cluster_id, item, text), all merges, the rounds.
+    cluster, is driven by one count a round. Returns the last texts (cluster_id, item, text, leaves), all merges with the
+    ``leaves`` (sample ids) they stand on and their ``round``, and the number of rounds.
     """
-    from pyspark.sql import Window
-
-    from salvage.functions.keys import order_key
-
     place = F.row_number().over(Window.partitionBy("cluster_id").orderBy(order_key("sample_id"), "sample_id")) - 1
-    items = checkpoint(reps.select("cluster_id", "sample_id").join(texts, "sample_id").select("cluster_id", place.alias("pos"), F.col("sample_id").cast("string").alias("item"), "text"))
-    merges, rounds = None, 0
+    items = reps.select("cluster_id", "sample_id").join(texts, "sample_id")
+    items = checkpoint(items.select("cluster_id", place.alias("pos"), F.col("sample_id").cast("string").alias("item"), "text", F.array("sample_id").alias("leaves")))
+    merges, rounds = [], 0
     while not items.groupBy("cluster_id").count().where("count > 1").isEmpty():
         rounds += 1
-        slot = items.withColumn("slot", F.expr("pos div 2"))
-        sides = slot.groupBy("cluster_id", "slot").agg(F.min_by(F.struct("item", "text"), "pos").alias("x"), F.max_by(F.struct("item", "text"), "pos").alias("y"), F.count("*").alias("n"))
-        sides = checkpoint(sides)
-        pairs = sides.where("n = 2").select(F.concat_ws(":", F.lit(rounds), "cluster_id", "slot").alias("pair_id"), F.col("x.item").alias("a"), F.col("y.item").alias("b"), F.col("x.text").alias("text_a"), F.col("y.text").alias("text_b"), "cluster_id", "slot")
-        merged, _ = fuse(pairs, options)
-        merges = merged if merges is None else merges.union(merged)
-        after = pairs.select("pair_id", "cluster_id", "slot").join(merged, "pair_id").select("cluster_id", F.col("slot").alias("pos"), F.col("merged_id").alias("item"), F.concat_ws("\n", "user", "assistant").alias("text"))
-        single = sides.where("n = 1").select("cluster_id", F.col("slot").alias("pos"), "x.item", "x.text")
+        slot, one = items.withColumn("slot", F.expr("pos div 2")), F.struct("item", "text", "leaves")
+        sides = checkpoint(slot.groupBy("cluster_id", "slot").agg(F.min_by(one, "pos").alias("x"), F.max_by(one, "pos").alias("y"), F.count("*").alias("n")))
+        pairs = sides.where("n = 2").select(F.concat_ws(":", F.lit(rounds), "cluster_id", "slot").alias("pair_id"), F.col("x.item").alias("a"), F.col("y.item").alias("b"), F.col("x.text").alias("text_a"), F.col("y.text").alias("text_b"), F.concat("x.leaves", "y.leaves").alias("leaves"), "cluster_id", "slot")
+        merged, _ = fuse(pairs, options, model, cache)
+        with_leaves = merged.join(pairs.select("pair_id", "cluster_id", "slot", "leaves"), "pair_id")
+        merges.append(with_leaves.select(*merged.columns, "cluster_id", "leaves", F.lit(rounds).alias("round")))
+        after = with_leaves.select("cluster_id", F.col("slot").alias("pos"), F.col("merged_id").alias("item"), F.concat_ws("\n", "user", "assistant").alias("text"), "leaves")
+        single = sides.where("n = 1").select("cluster_id", F.col("slot").alias("pos"), "x.item", "x.text", "x.leaves")
         items = checkpoint(after.union(single))
-    return items.select("cluster_id", "item", "text"), merges, rounds
+    if not merges:
+        merges = [fuse(items.limit(0).selectExpr("item as pair_id", "item as a", "item as b", "text as text_a", "text as text_b"), options)[0].select("*", F.lit(0).cast("bigint").alias("cluster_id"), F.array().cast("array<bigint>").alias("leaves"), F.lit(0).alias("round"))]
+    return items.select("cluster_id", "item", "text", "leaves"), _union(merges), rounds

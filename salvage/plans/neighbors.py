@@ -1,7 +1,8 @@
-"""Similarity pairs and nearest neighbours: exact by blocks, approximate by random hyperplanes in bands."""
+"""Similarity pairs and nearest neighbours: exact by blocks, and by hyperplane signs for tables of any size."""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -11,151 +12,333 @@ from pyspark.sql import functions as F
 
 from salvage.functions.materialize import checkpoint
 
-#: Rows of a block, and rows up to which the exact form (which looks at all pairs of blocks) may run.
-BLOCK_ROWS, MAX_EXACT_ROWS = 4096, 2_000_000
+#: Rows of a block of the exact form.
+BLOCK_ROWS = 4096
+#: Share of the pairs at the threshold that bands should find; rows of a band key from which it is split by further bits;
+#: how often; bits of a split; sign bits of a vector that splits draw from.
+RECALL, BUCKET_ROWS, LEVELS, SPLIT_BITS, POOL_BITS = 0.999, 4096, 3, 6, 1024
+#: Trees of the forest, rows of a window of its sorted signatures, rows of a partition (least and most).
+TREES, WINDOW, PART_ROWS, MOST_ROWS = 8, 1024, 1 << 14, 1 << 18
+#: Bytes of the smaller side of a join that may be broadcast.
+BROADCAST_BYTES = 64 << 20
 
 
-def _matrix(column: pa.Array) -> np.ndarray:
+def matrix(column: pa.Array) -> np.ndarray:
     values = column.flatten().to_numpy(zero_copy_only=False)
     return values.reshape(len(column), -1).astype(np.float64) if len(values) else np.zeros((len(column), 0))
 
 
-def _round6(x: np.ndarray) -> np.ndarray:
+def round6(x: np.ndarray) -> np.ndarray:
     """Half away from zero, after rounding away the noise of the products; as SQL rounds."""
     return np.sign(x) * np.floor(np.abs(np.round(x, 9)) * 1e6 + 0.5 + 1e-6) / 1e6
 
 
-def _units(m: np.ndarray) -> np.ndarray:
+def units(m: np.ndarray) -> np.ndarray:
     size = np.linalg.norm(m, axis=1, keepdims=True)
     return np.divide(m, size, out=np.zeros_like(m), where=size > 0)
 
 
-def _block_pairs(df: DataFrame, block_rows: int, ordered: bool) -> DataFrame:
-    """Pairs of blocks of rows (left, right): each unordered pair once, or all ordered pairs."""
-    n = df.count()
-    if n > MAX_EXACT_ROWS:
-        raise ValueError(f"{n} rows are too many for the exact form; use method='lsh'")
-    blocks = max(1, -(-n // block_rows))
-    packed = checkpoint(df.withColumn("block", F.pmod(F.xxhash64("sample_id"), F.lit(blocks)).cast("int")).groupBy("block").agg(F.collect_list(F.struct("sample_id", "vec")).alias("rows")))
-    first = F.sequence(F.lit(0), F.lit(blocks - 1)) if ordered else F.sequence(F.lit(0), F.col("block"))
-    left = packed.select(F.col("block").alias("b"), F.col("rows").alias("right"), F.explode(first).alias("a"))
-    return left.join(packed.select(F.col("block").alias("a"), F.col("rows").alias("left")), "a").repartition("a", "b").select((F.col("a") == F.col("b")).alias("same"), "left", "right")
+def _closeness(a: np.ndarray, b: np.ndarray, metric: str) -> np.ndarray:
+    """Cosine or negative Euclid distance of all rows of ``a`` to all of ``b``, to nine decimals."""
+    if metric == "cosine":
+        s = units(a) @ units(b).T
+    else:
+        s = -np.sqrt(np.maximum((a**2).sum(1)[:, None] + (b**2).sum(1)[None, :] - 2 * a @ b.T, 0))
+    return np.round(s, 9) + 0.0
+
+
+# Exact, by pairs of blocks
+
+
+def _packed(df: DataFrame, side: str, block_rows: int) -> tuple[DataFrame, int]:
+    """Rows of bounded blocks as one cell each, and the number of blocks."""
+    blocks = max(1, -(-df.count() // block_rows))
+    dealt = df.withColumn(side, F.pmod(F.xxhash64("sample_id"), F.lit(blocks)).cast("int"))
+    rows = F.collect_list(F.struct(*df.columns)).alias(f"{side}_rows")  # about block_rows of them
+    return checkpoint(dealt.groupBy(side).agg(rows)), blocks
+
+
+def block_pairs(left: DataFrame, right: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(a_rows, b_rows): every block of ``left`` beside every block of ``right``. The work is the product of the rows;
+    a task holds two blocks."""
+    (a, _), (b, n) = _packed(left, "a", block_rows), _packed(right, "b", block_rows)
+    met = a.withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).join(b, "b")
+    return met.repartition("a", "b").select("a_rows", "b_rows")
+
+
+def _own_pairs(df: DataFrame, block_rows: int) -> DataFrame:
+    """(same, a_rows, b_rows): every pair of blocks of ``df`` once."""
+    a, _ = _packed(df, "a", block_rows)
+    b = a.select(F.col("a").alias("b"), F.col("a_rows").alias("b_rows"))
+    met = a.withColumn("b", F.explode(F.sequence(F.lit(0), F.col("a")))).join(b, "b")
+    return met.repartition("a", "b").select((F.col("a") == F.col("b")).alias("same"), "a_rows", "b_rows")
 
 
 def _unpack(cell: pa.StructArray) -> tuple[np.ndarray, np.ndarray]:
-    return cell.field("sample_id").to_numpy(zero_copy_only=False), _matrix(cell.field("vec"))
+    return cell.field("sample_id").to_numpy(zero_copy_only=False), matrix(cell.field("vec"))
 
 
-def sim_pairs(df: DataFrame, min_sim: float = 0.9, method: str = "exact", block_rows: int = BLOCK_ROWS, bits: int = 12, bands: int = 40, seed: int = 42) -> DataFrame:
-    """(a, b, sim), a < b: pairs of rows of ``df`` (sample_id, vec) with a cosine of at least ``min_sim``.
+def _exact_pairs(df: DataFrame, min_sim: float, block_rows: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                (ia, va), (ib, vb) = _unpack(batch.column("a_rows")[i].values), _unpack(batch.column("b_rows")[i].values)
+                sims = units(va) @ units(vb).T
+                r, c = np.nonzero(sims >= min_sim - 5e-7)
+                low, high, sim = np.minimum(ia[r], ib[c]), np.maximum(ia[r], ib[c]), round6(sims[r, c])
+                keep = (sim >= min_sim) & ((ia[r] < ib[c]) if batch.column("same")[i].as_py() else (low < high))
+                yield pa.RecordBatch.from_arrays([pa.array(low[keep]), pa.array(high[keep]), pa.array(sim[keep])], ["a", "b", "sim"])
 
-    ``exact`` compares blocks by matrix products. ``lsh`` compares rows that agree on all bits of a band: at cosine c a
-    bit agrees with probability 1 - acos(c)/pi, so 40 bands of 12 bits find 99.9 % of the pairs at 0.9. Both verify.
-    Rows with equal vectors are one class for ``lsh``: pairs are between the classes' smallest ids, and each other member
-    is linked to its class's smallest id alone, so a group of copies costs as many pairs as it has rows.
-    """
-    if method == "exact":
+    return _own_pairs(df, block_rows).mapInArrow(run, "a bigint, b bigint, sim double")
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for i in range(batch.num_rows):
-                    (ia, va), (ib, vb) = _unpack(batch.column("left")[i].values), _unpack(batch.column("right")[i].values)
-                    sims = _units(va) @ _units(vb).T
-                    r, c = np.nonzero(sims >= min_sim - 5e-7)
-                    low, high, sim = np.minimum(ia[r], ib[c]), np.maximum(ia[r], ib[c]), _round6(sims[r, c])
-                    keep = (sim >= min_sim) & ((ia[r] < ib[c]) if batch.column("same")[i].as_py() else (low < high))
-                    yield pa.RecordBatch.from_arrays([pa.array(low[keep]), pa.array(high[keep]), pa.array(sim[keep])], ["a", "b", "sim"])
-
-        return _block_pairs(df, block_rows, False).mapInArrow(run, "a bigint, b bigint, sim double")
-    heads, members = collapse(df)
-    star = members.where("sample_id <> head").select(F.col("head").alias("a"), F.col("sample_id").alias("b"))
-    return _verify(df, _candidates(heads, bits, bands, seed).union(star), min_sim)
+
+def best_in_blocks(left: DataFrame, right: DataFrame, k: int, metric: str = "cosine", apart: str = "sample_id", farthest: bool = False, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(sample_id, nn_rank, nn_id, sim): for each row of ``left`` its k closest (or farthest) rows of ``right`` that differ
+    from it in the column ``apart``; ties to smaller ids. A block pair hands on k rows a row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                a, b = batch.column("a_rows")[i].values, batch.column("b_rows")[i].values
+                (ia, va), (ib, vb) = _unpack(a), _unpack(b)
+                s = _closeness(va, vb, metric)
+                rank = s if farthest else -s
+                rank[a.field(apart).to_numpy(zero_copy_only=False)[:, None] == b.field(apart).to_numpy(zero_copy_only=False)[None, :]] = np.inf
+                order = np.lexsort((np.broadcast_to(ib, s.shape), rank), axis=1)[:, :k]
+                r, c = np.repeat(np.arange(len(ia)), order.shape[1]), order.ravel()
+                keep = rank[r, c] < np.inf
+                yield pa.RecordBatch.from_arrays([pa.array(ia[r[keep]]), pa.array(ib[c[keep]]), pa.array(s[r[keep], c[keep]])], ["sample_id", "nn_id", "sim"])
+
+    met = block_pairs(left, right, block_rows).mapInArrow(run, "sample_id bigint, nn_id bigint, sim double")
+    return _ranked(met, k, F.asc("sim") if farthest else F.desc("sim"))
+
+
+def similar_in_blocks(left: DataFrame, right: DataFrame, min_sim: float, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(a, b, sim): rows of ``left`` and of ``right`` with a cosine of at least ``min_sim``, from all pairs of blocks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                (ia, va), (ib, vb) = _unpack(batch.column("a_rows")[i].values), _unpack(batch.column("b_rows")[i].values)
+                sims = units(va) @ units(vb).T
+                r, c = np.nonzero(sims >= min_sim - 5e-7)
+                sim = round6(sims[r, c])
+                keep = sim >= min_sim
+                yield pa.RecordBatch.from_arrays([pa.array(ia[r[keep]]), pa.array(ib[c[keep]]), pa.array(sim[keep])], ["a", "b", "sim"])
+
+    return block_pairs(left, right, block_rows).mapInArrow(run, "a bigint, b bigint, sim double")
+
+
+def _ranked(met: DataFrame, k: int, order: Column) -> DataFrame:
+    ranked = met.withColumn("nn_rank", F.row_number().over(Window.partitionBy("sample_id").orderBy(order, "nn_id")))
+    return ranked.where(F.col("nn_rank") <= k).select("sample_id", "nn_rank", "nn_id", "sim")
+
+
+# Classes of equal vectors
 
 
 def collapse(df: DataFrame, order: Column | None = None) -> tuple[DataFrame, DataFrame]:
     """One row (sample_id, vec) for each distinct vector, its first row by ``order`` (else the smallest id), and all rows
-    as members (sample_id, head)."""
+    as members (sample_id, head). Vectors are told apart by 128 bits of hashes."""
     first = F.struct((F.lit(0) if order is None else order).alias("o"), F.col("sample_id").alias("i"))
-    keyed = df.select("sample_id", first.alias("f"), F.md5(F.col("vec").cast("string")).alias("h"))
-    least = keyed.groupBy("h").agg(F.min("f").alias("m")).select("h", F.col("m.i").alias("head"))
-    members = checkpoint(keyed.join(least, "h").select("sample_id", "head"))
+    keyed = df.select("sample_id", first.alias("f"), F.xxhash64("vec").alias("h"), F.xxhash64(F.lit(1), F.reverse("vec")).alias("g"))
+    least = keyed.groupBy("h", "g").agg(F.min("f").alias("m")).select("h", "g", F.col("m.i").alias("head"))
+    members = checkpoint(keyed.join(least, ["h", "g"]).select("sample_id", "head"))
     heads = df.select("sample_id", "vec").join(members.where("sample_id = head").select("sample_id"), "sample_id", "left_semi")
-    return heads, members
+    return checkpoint(heads), members
 
 
-def _candidates(df: DataFrame, bits: int, bands: int, seed: int) -> DataFrame:
-    """(a, b), a < b: distinct pairs of rows that agree on a band; the vectors should be distinct."""
+# Pairs by bands of signs
+
+
+def plan_bands(n: int, min_sim: float, recall: float = RECALL) -> tuple[int, int]:
+    """Bits and number of bands. Bits grow with the logarithm of the rows, so that a key has few of them whatever their
+    number; at cosine c a bit agrees with probability 1 - acos(c)/pi, which gives the bands that the recall needs."""
+    bits = max(4, min(48, round(math.log2(max(n, 2) / 8))))
+    agree = (1 - math.acos(min(1.0, max(-1.0, min_sim))) / math.pi) ** bits
+    return bits, max(1, math.ceil(math.log(1 - recall) / math.log(max(1e-12, 1 - min(agree, 1 - 1e-9)))))
+
+
+def _mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x81DADEF4BC2DD44D)
+    return x ^ (x >> np.uint64(33))
+
+
+def _signs(m: np.ndarray, bits: int, seed: int) -> np.ndarray:
+    planes = np.random.default_rng((seed, m.shape[1], bits)).standard_normal((m.shape[1], bits))
+    return m @ planes > 0
+
+
+def band_keys(df: DataFrame, bits: int, bands: int, seed: int = 42, bucket_rows: int = BUCKET_ROWS, levels: int = LEVELS) -> DataFrame:
+    """(sample_id, key): the band keys of each vector. A key of more than ``bucket_rows`` rows is split by further bits,
+    in as many draws of them as keep the pairs at 0.9 with the planned recall; up to ``levels`` times."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        planes = None
         for batch in batches:
-            m = _matrix(batch.column("vec"))
-            if planes is None and m.size:
-                planes = np.random.default_rng(seed).standard_normal((m.shape[1], bits * bands))
+            m = matrix(batch.column("vec"))
             if not m.size:
                 continue
-            sign = (m @ planes > 0).reshape(len(m), bands, bits)
-            key = (sign * (1 << np.arange(bits))).sum(2) + (np.arange(bands) << bits)
-            keys = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1) * bands, pa.int32()), pa.array(key.ravel().astype(np.int64)))
+            sign = _signs(m, bits * bands, seed).reshape(len(m), bands, bits)
+            word = (sign * (np.uint64(1) << np.arange(bits, dtype=np.uint64))).sum(2, dtype=np.uint64)
+            key = _mix(word + (np.arange(bands, dtype=np.uint64) << np.uint64(48))).view(np.int64)
+            keys = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1) * bands, pa.int32()), pa.array(key.ravel()))
             yield pa.RecordBatch.from_arrays([batch.column("sample_id"), keys], ["sample_id", "keys"])
 
-    banded = checkpoint(df.select("sample_id", "vec").mapInArrow(run, "sample_id bigint, keys array<bigint>").select("sample_id", F.explode("keys").alias("key")))
-    x, y = banded.alias("x"), banded.alias("y")
-    return x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.sample_id") < F.col("y.sample_id"))).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct()
+    keyed = checkpoint(df.select("sample_id", "vec").mapInArrow(run, "sample_id bigint, keys array<bigint>").select("sample_id", F.explode("keys").alias("key")))
+    draws = plan_bands(8 << SPLIT_BITS, 0.9)[1]
+    for level in range(levels):
+        hot = keyed.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > bucket_rows).select("key")
+        if hot.isEmpty():
+            break
 
+        def split(batches: Iterator[pa.RecordBatch], level: int = level) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                m = matrix(batch.column("vec"))
+                if not m.size:
+                    continue
+                sign, old = _signs(m, POOL_BITS, seed + 1), batch.column("key").to_numpy(zero_copy_only=False).view(np.uint64)
+                parts = []
+                for j in range(draws):
+                    at = np.random.default_rng((seed, level, j)).choice(POOL_BITS, SPLIT_BITS, replace=False)
+                    word = (sign[:, at] * (1 << np.arange(SPLIT_BITS))).sum(1).astype(np.uint64)
+                    parts.append(_mix(old ^ _mix(word + np.uint64((level * draws + j + 1) << 8))).view(np.int64))
+                ids = np.tile(batch.column("sample_id").to_numpy(zero_copy_only=False), draws)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.concatenate(parts))], ["sample_id", "key"])
+
+        inside = keyed.join(hot, "key", "left_semi").join(df.select("sample_id", "vec"), "sample_id").select("sample_id", "key", "vec")
+        keyed = checkpoint(keyed.join(hot, "key", "left_anti").select("sample_id", "key").union(inside.mapInArrow(split, "sample_id bigint, key bigint")))
+    return keyed
+
+
+def verified(pairs: DataFrame, left: DataFrame, right: DataFrame, min_sim: float) -> DataFrame:
+    """(a, b, sim): the pairs whose vectors, of ``left`` for a and of ``right`` for b, have a cosine of ``min_sim``."""
 
-def _verify(df: DataFrame, pairs: DataFrame, min_sim: float) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sim = _round6((_units(_matrix(batch.column("va"))) * _units(_matrix(batch.column("vb")))).sum(1))
-            keep = sim >= min_sim
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(keep)), batch.column("b").filter(pa.array(keep)), pa.array(sim[keep])], ["a", "b", "sim"])
-
-    own = lambda k, v: df.select(F.col("sample_id").alias(k), F.col("vec").alias(v))
-    return pairs.join(own("a", "va"), "a").join(own("b", "vb"), "b").select("a", "b", "va", "vb").mapInArrow(run, "a bigint, b bigint, sim double")
-
-
-def knn(df: DataFrame, k: int, metric: str = "cosine", method: str = "exact", block_rows: int = BLOCK_ROWS, queries: DataFrame | None = None, bits: int = 8, bands: int = 24, seed: int = 42) -> DataFrame:
-    """(sample_id, nn_rank, nn_id, sim): the k nearest other rows; sim is the cosine or the negative Euclid distance,
-    to nine decimals, with ties to smaller ids. ``queries`` limits whose neighbours are asked for."""
-    if method == "lsh":
-        # Of each class of equal vectors the first k + 1 ids stand for it; no row needs more of them as neighbours.
-        heads, members = collapse(df)
-        near = _candidates(heads, bits, bands, seed)
-        classes = near.select(F.col("a").alias("p"), F.col("b").alias("q")).union(near.select(F.col("b").alias("p"), F.col("a").alias("q"))).union(members.select(F.col("head").alias("p"), F.col("head").alias("q")).distinct())
-        some = members.withColumn("n", F.row_number().over(Window.partitionBy("head").orderBy("sample_id"))).where(F.col("n") <= k + 1).select(F.col("head").alias("q"), F.col("sample_id").alias("y"))
-        met = classes.join(members.withColumnRenamed("head", "p"), "p").join(some, "q").where("sample_id <> y").select(F.least("sample_id", "y").alias("a"), F.greatest("sample_id", "y").alias("b")).distinct()
-        scored = _verify(df, met, -2.0)
-        both = scored.select(F.col("a").alias("sample_id"), F.col("b").alias("nn_id"), "sim").union(scored.select(F.col("b").alias("sample_id"), F.col("a").alias("nn_id"), "sim"))
-    else:
+            sim = round6((units(matrix(batch.column("va"))) * units(matrix(batch.column("vb")))).sum(1))
+            keep = pa.array(sim >= min_sim)
+            yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep), pa.array(sim).filter(keep)], ["a", "b", "sim"])
+
+    own = lambda df, k, v: df.select(F.col("sample_id").alias(k), F.col("vec").alias(v))
+    return pairs.join(own(left, "a", "va"), "a").join(own(right, "b", "vb"), "b").select("a", "b", "va", "vb").mapInArrow(run, "a bigint, b bigint, sim double")
+
+
+def sim_pairs(df: DataFrame, min_sim: float = 0.9, method: str = "exact", block_rows: int = BLOCK_ROWS, bits: int | None = None, bands: int | None = None, seed: int = 42, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    """(a, b, sim), a < b: pairs of rows of ``df`` (sample_id, vec) with a cosine of at least ``min_sim``.
+
+    ``exact`` compares all blocks by matrix products. ``lsh`` compares rows that agree on a band of hyperplane signs. Both
+    verify. Rows with equal vectors are one class for ``lsh``: pairs are between the classes' smallest ids, and each
+    other member is linked to its class's smallest id alone, so a group of copies costs as many pairs as it has rows.
+    """
+    if method == "exact":
+        return _exact_pairs(df, min_sim, block_rows)
+    heads, members = collapse(df)
+    planned = plan_bands(heads.count(), min_sim)
+    keys = band_keys(heads, bits or planned[0], bands or planned[1], seed, bucket_rows)
+    x, y = keys.alias("x"), keys.alias("y")
+    met = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.sample_id") < F.col("y.sample_id"))).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct()
+    star = members.where("sample_id <> head").select(F.col("head").alias("a"), F.col("sample_id").alias("b"))
+    return verified(met.union(star), df, df, min_sim)
+
+
+# Neighbours by a forest of sorted signatures
+
+
+def _forest(heads: DataFrame, k: int, metric: str, trees: int, window: int, seed: int) -> DataFrame:
+    """(sample_id, nn_id, sim): candidates for the k closest distinct vectors.
+
+    In each tree the rows are sorted by their signs against one sequence of hyperplanes, so that rows of a long common
+    prefix stand together, and each window of rows is compared with itself and the next. A dense region is many windows,
+    never one large bucket; a table of one window is compared whole.
+    """
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def tag(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            m = matrix(batch.column("vec"))
+            if not m.size:
+                continue
+            for tree in range(trees):
+                word = (_signs(m, 62, seed + tree) * (np.int64(1) << np.arange(61, -1, -1))).sum(1)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(m), tree, np.int32)), pa.array(word), batch.column("sample_id"), batch.column("vec")], ["tree", "word", "sample_id", "vec"])
+
+    def top(s: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        wide = min(k + 16, s.shape[1])
+        at = np.argpartition(-s, wide - 1, axis=1)[:, :wide]
+        order = np.lexsort((ids[at], -np.take_along_axis(s, at, 1)), axis=1)[:, :k]
+        at = np.take_along_axis(at, order, 1)
+        return np.take_along_axis(s, at, 1), ids[at]
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def windows() -> Iterator[list[np.ndarray]]:
+            held: list[list[np.ndarray]] = []
+            rows = 0
             for batch in batches:
-                for i in range(batch.num_rows):
-                    (ia, va), (ib, vb) = _unpack(batch.column("left")[i].values), _unpack(batch.column("right")[i].values)
-                    if metric == "cosine":
-                        s = _units(va) @ _units(vb).T
-                    else:
-                        s = -np.sqrt(np.maximum((va**2).sum(1)[:, None] + (vb**2).sum(1)[None, :] - 2 * va @ vb.T, 0))
-                    s = np.round(s, 9)
-                    s[ia[:, None] == ib[None, :]] = -np.inf
-                    order = np.lexsort((np.broadcast_to(ib, s.shape), -s), axis=1)[:, :k]
-                    r = np.repeat(np.arange(len(ia)), order.shape[1])
-                    c = order.ravel()
-                    keep = s[r, c] > -np.inf
-                    yield pa.RecordBatch.from_arrays([pa.array(ia[r[keep]]), pa.array(ib[c[keep]]), pa.array(s[r[keep], c[keep]])], ["sample_id", "nn_id", "sim"])
-
-        both = _block_pairs(df, block_rows, True).mapInArrow(run, "sample_id bigint, nn_id bigint, sim double")
-    if queries is not None:
-        both = both.join(queries.select("sample_id").distinct(), "sample_id", "left_semi")
-    ranked = both.withColumn("nn_rank", F.row_number().over(Window.partitionBy("sample_id").orderBy(F.desc("sim"), "nn_id")))
-    return ranked.where(F.col("nn_rank") <= k).select("sample_id", "nn_rank", "nn_id", "sim")
+                for at in range(0, batch.num_rows, window):
+                    part = batch.slice(at, window)
+                    held.append([part.column("sample_id").to_numpy(zero_copy_only=False), matrix(part.column("vec")), part.column("tree").to_numpy(zero_copy_only=False)])
+                    rows += part.num_rows
+                    if rows >= window:
+                        whole = [np.concatenate(c) for c in zip(*held, strict=True)]
+                        yield [c[:window] for c in whole]
+                        held, rows = [[c[window:] for c in whole]], rows - window
+            if rows:
+                yield [np.concatenate(c) for c in zip(*held, strict=True)]
+
+        def compared(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
+            """Closeness of two windows' rows; rows of different trees are not compared, so that no row is met twice."""
+            s = _closeness(a[1], b[1], metric)
+            s[(a[0][:, None] == b[0][None, :]) | (a[2][:, None] != b[2][None, :])] = -np.inf
+            return s
+
+        def out(ids: np.ndarray, s: np.ndarray, found: np.ndarray) -> pa.RecordBatch:
+            row, col = np.nonzero(s > -np.inf)
+            return pa.RecordBatch.from_arrays([pa.array(ids[row]), pa.array(found[row, col]), pa.array(s[row, col])], ["sample_id", "nn_id", "sim"])
+
+        before = None
+        for now in windows():
+            yield out(now[0], *top(compared(now, now), now[0]))
+            if before is not None:
+                across = compared(before, now)
+                yield out(before[0], *top(across, now[0]))
+                yield out(now[0], *top(across.T.copy(), before[0]))
+            before = now
+
+    rows = heads.count() * trees
+    cores = heads.sparkSession.sparkContext.defaultParallelism
+    parts = max(-(-rows // MOST_ROWS), min(cores, -(-rows // max(PART_ROWS, 8 * window))), 1)
+    tagged = heads.select("sample_id", "vec").mapInArrow(tag, "tree int, word bigint, sample_id bigint, vec array<float>")
+    dealt = tagged.repartitionByRange(parts, "tree", "word", "sample_id").sortWithinPartitions("tree", "word", "sample_id")
+    return dealt.mapInArrow(compare, "sample_id bigint, nn_id bigint, sim double")
+
+
+def knn(df: DataFrame, k: int, metric: str = "cosine", method: str = "forest", block_rows: int = BLOCK_ROWS, trees: int = TREES, window: int = WINDOW, seed: int = 42) -> DataFrame:
+    """(sample_id, nn_rank, nn_id, sim): the k nearest other rows; sim is the cosine or the negative Euclid distance, to
+    nine decimals, with ties to smaller ids. Every row gets k neighbours if the table has more than k rows.
+
+    ``exact`` compares all pairs of blocks, whatever the number of rows. ``forest`` compares windows of sorted signatures,
+    in time that grows with the rows; a table of at most one window is compared whole. Equal vectors are one class
+    there, of which the first k + 1 ids stand as neighbours.
+    """
+    if method == "exact":
+        return best_in_blocks(df.select("sample_id", "vec"), df.select("sample_id", "vec"), k, metric, block_rows=block_rows)
+    heads, members = collapse(df)
+    near = _ranked(_forest(heads, k, metric, trees, window, seed).groupBy("sample_id", "nn_id").agg(F.max("sim").alias("sim")), k, F.desc("sim"))
+    zero = F.forall("vec", lambda x: x == 0)
+    own_sim = F.when(zero & F.lit(metric == "cosine"), 0.0).otherwise(1.0 if metric == "cosine" else 0.0)
+    classes = near.select(F.col("sample_id").alias("p"), F.col("nn_id").alias("q"), "sim").union(heads.select(F.col("sample_id").alias("p"), F.col("sample_id").alias("q"), own_sim.alias("sim")))
+    first = F.row_number().over(Window.partitionBy("head").orderBy("sample_id"))  # Spark limits each part before it moves
+    some = members.withColumn("n", first).where(F.col("n") <= k + 1).select(F.col("head").alias("q"), F.col("sample_id").alias("nn_id"))
+    wanted = _ranked(classes.join(some, "q").select(F.col("p").alias("sample_id"), "nn_id", "sim"), k + 1, F.desc("sim")).select(F.col("sample_id").alias("head"), "nn_id", "sim")
+    met = members.join(wanted, "head").where("sample_id <> nn_id").select("sample_id", "nn_id", "sim")
+    return _ranked(met, k, F.desc("sim"))
 
 
 def recall(found: DataFrame, exact: DataFrame, keys: list[str]) -> DataFrame:
     """Share of the exact rows that were found, and share of the found ones that are exact."""
     hit = found.select(*keys).join(exact.select(*keys), keys, "left_semi").agg(F.count("*").alias("hit"))
-    return hit.crossJoin(found.agg(F.count("*").alias("n_found"))).crossJoin(exact.agg(F.count("*").alias("n_exact"))).select("n_found", "n_exact", (F.col("hit") / F.col("n_exact")).alias("recall"), (F.col("hit") / F.col("n_found")).alias("precision"))
+    counts = hit.crossJoin(found.agg(F.count("*").alias("n_found"))).crossJoin(exact.agg(F.count("*").alias("n_exact")))  # one row each
+    return counts.select("n_found", "n_exact", (F.col("hit") / F.col("n_exact")).alias("recall"), (F.col("hit") / F.col("n_found")).alias("precision"))
 
 
 def clusterability(neighbours: DataFrame, truth: DataFrame, class_col: str = "y") -> DataFrame:

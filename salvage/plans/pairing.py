@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from salvage.functions.keys import order_key
 from salvage.functions.materialize import checkpoint
+from salvage.plans import neighbors
 
 
 def global_position(df: DataFrame, *order) -> DataFrame:
@@ -38,12 +39,12 @@ def intra_plan(reps: DataFrame, mode: str = "tree") -> DataFrame:
     return lefts.withColumn("right", right).where("right < m").select("cluster_id", "round", "left", "right")
 
 
-def inter_pairs(reps: DataFrame, pairing: str = "ring", seed: int = 42, neighbours: DataFrame | None = None) -> DataFrame:
+def inter_pairs(reps: DataFrame, pairing: str = "ring", seed: int = 42, vectors: DataFrame | None = None) -> DataFrame:
     """(a, b, cluster_a, cluster_b): two rows of different clusters.
 
     ``ring`` goes through the clusters in turn and pairs places 2i and 2i + 1; ``random`` does so in md5 order. A pair
     inside one cluster is rejected. ``nearest_other`` and ``farthest_other`` take for each row the best or worst row of
-    another cluster among ``neighbours`` (sample_id, nn_id, sim).
+    another cluster by the cosine of ``vectors`` (sample_id, cluster_id, vec): each block hands on one row a row.
     """
     rows = reps.select("sample_id", "cluster_id").withColumn("ord", order_key("sample_id", seed))
     if pairing in ("ring", "random"):
@@ -52,12 +53,9 @@ def inter_pairs(reps: DataFrame, pairing: str = "ring", seed: int = 42, neighbou
         sides = placed.withColumn("pair", F.expr("pos div 2")).groupBy("pair").agg(F.min(F.struct("pos", "sample_id", "cluster_id")).alias("x"), F.max(F.struct("pos", "sample_id", "cluster_id")).alias("y"))
         found = sides.select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b"), F.col("x.cluster_id").alias("cluster_a"), F.col("y.cluster_id").alias("cluster_b"))
     else:
-        own = rows.select("sample_id", F.col("cluster_id").alias("cluster_a"))
-        other = rows.select(F.col("sample_id").alias("nn_id"), F.col("cluster_id").alias("cluster_b"))
-        far = pairing == "farthest_other"
-        met = neighbours.join(own, "sample_id").join(other, "nn_id").where("cluster_a <> cluster_b")
-        best = met.groupBy("sample_id", "cluster_a").agg(F.min(F.struct((F.col("sim") if far else -F.col("sim")).alias("s"), "nn_id", "cluster_b")).alias("m"))
-        found = best.select(F.col("sample_id").alias("a"), F.col("m.nn_id").alias("b"), "cluster_a", F.col("m.cluster_b").alias("cluster_b"))
+        cluster = lambda i, c: rows.select(F.col("sample_id").alias(i), F.col("cluster_id").alias(c))
+        near = neighbors.best_in_blocks(vectors, vectors, 1, apart="cluster_id", farthest=pairing == "farthest_other")
+        found = near.select(F.col("sample_id").alias("a"), F.col("nn_id").alias("b")).join(cluster("a", "cluster_a"), "a").join(cluster("b", "cluster_b"), "b").select("a", "b", "cluster_a", "cluster_b")
     return found.where("cluster_a <> cluster_b")
 
 

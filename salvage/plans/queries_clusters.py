@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from salvage.functions.keys import order_key_sql
 from salvage.functions.vectors import mean_vectors, unit
 from salvage.plans import clusters, neighbors, representatives
-from salvage.plans.fixtures import PAIRS_SQL, given_vectors, low_documents, text_vectors
+from salvage.plans.chain import Chain
+from salvage.plans.fixtures import LOW_SQL, PAIRS_SQL, TEXT_SIMS_SQL, given_vectors, text_vectors
 from salvage.registry import query
 
 _MIN = 0.3
@@ -18,16 +19,22 @@ def sim_pairs(spark, sf):
     return neighbors.sim_pairs(given_vectors(spark, sf), _MIN)
 
 
-@query("sim_pairs_text")
+@query("sim_pairs_text", f"WITH {TEXT_SIMS_SQL} SELECT a, b, round(s, 6) AS sim FROM tsims WHERE a < b AND round(s, 6) >= 0.9")
 def sim_pairs_text(spark, sf):
-    """Text pairs at 0.9 by bands of hyperplane signs, verified."""
+    """All text pairs at 0.9, by pairs of blocks."""
+    return neighbors.sim_pairs(text_vectors(spark, sf), 0.9)
+
+
+@query("sim_pairs_bands")
+def sim_pairs_bands(spark, sf):
+    """Text pairs at 0.9 by bands of hyperplane signs, verified; copies are linked to their first only."""
     return neighbors.sim_pairs(text_vectors(spark, sf), 0.9, "lsh")
 
 
-def _greedy_sql(order: str) -> str:
+def greedy_sql(order: str, nodes: str = "unit_", pairs: str = "pairs") -> str:
     """Going through the rows one by one, in SQL: the recursion carries the centroids found so far."""
-    return f"""{PAIRS_SQL}, both_ AS (SELECT a, b, sim FROM pairs UNION ALL SELECT b, a, sim FROM pairs),
-seq AS (SELECT sample_id, row_number() OVER (ORDER BY {order}, sample_id) AS pos FROM unit_),
+    return f"""both_ AS (SELECT a, b, sim FROM {pairs} UNION ALL SELECT b, a, sim FROM {pairs}),
+seq AS (SELECT sample_id, row_number() OVER (ORDER BY {order}, sample_id) AS pos FROM {nodes}),
 near AS (SELECT pos, seq.sample_id, coalesce(list(b) FILTER (WHERE b IS NOT NULL), []) AS nbrs FROM seq LEFT JOIN both_ ON a = seq.sample_id GROUP BY 1, 2),
 walk(pos, cents) AS (SELECT 0::BIGINT, []::BIGINT[] UNION ALL SELECT near.pos, CASE WHEN list_has_any(cents, nbrs) THEN cents ELSE list_append(cents, sample_id) END FROM walk JOIN near ON near.pos = walk.pos + 1),
 cents AS (SELECT unnest(cents) AS c FROM (SELECT cents FROM walk ORDER BY pos DESC LIMIT 1)),
@@ -35,7 +42,10 @@ cpos AS (SELECT c, pos FROM cents JOIN seq ON seq.sample_id = c)"""
 
 
 _CLUSTERS = "clusters AS (SELECT c AS sample_id, c AS cluster_id, 1.0::DOUBLE AS sim_to_centroid, true AS is_centroid FROM cents UNION ALL SELECT a, arg_min(b, pos), arg_min(sim, pos), false FROM both_ JOIN cpos ON b = c WHERE a NOT IN (SELECT c FROM cents) GROUP BY a)"
-_ONE_HOP = f"WITH RECURSIVE {_greedy_sql(order_key_sql('sample_id'))}, {_CLUSTERS} "
+_ONE_HOP = f"WITH RECURSIVE {PAIRS_SQL}, {greedy_sql(order_key_sql('sample_id'))}, {_CLUSTERS} "
+#: Pairs of low documents at 0.9.
+LOW_PAIRS_SQL = f"{LOW_SQL}, lpairs AS (SELECT a, b, round(s, 6) AS sim FROM tsims WHERE a < b AND round(s, 6) >= 0.9 AND a IN (SELECT sample_id FROM low) AND b IN (SELECT sample_id FROM low))"
+_LOW_HOPS = f"WITH RECURSIVE {LOW_PAIRS_SQL}, {greedy_sql(order_key_sql('sample_id'), 'low', 'lpairs')}, {_CLUSTERS} "
 
 
 def _one_hop(spark, sf, **options):
@@ -53,12 +63,10 @@ def one_hop_overlap(spark, sf):
     return _one_hop(spark, sf, overlap=True)
 
 
-@query("one_hop_text")
+@query("one_hop_text", _LOW_HOPS + "SELECT * FROM clusters")
 def one_hop_text(spark, sf):
-    """The low documents' clusters at 0.9 on text vectors."""
-    low = low_documents(spark, sf).select(F.col("doc_id").alias("sample_id"))
-    v = text_vectors(spark, sf).join(low, "sample_id", "left_semi")
-    return clusters.one_hop_of_copies(v)
+    """The low documents' clusters at 0.9 on text vectors, by prefixes of the random order and bands."""
+    return Chain(spark, sf).hops()
 
 
 @query("components", f"WITH RECURSIVE {PAIRS_SQL}, both_ AS (SELECT a, b FROM pairs UNION ALL SELECT b, a FROM pairs), reach(s, t) AS (SELECT sample_id, sample_id FROM unit_ UNION SELECT s, b FROM reach JOIN both_ ON t = a) SELECT s AS sample_id, min(t) AS component_id FROM reach GROUP BY 1")
@@ -67,7 +75,7 @@ def components(spark, sf):
     return clusters.components(v, neighbors.sim_pairs(v, _MIN))
 
 
-@query("cluster_profile", _ONE_HOP + "SELECT size, count(*) AS n_clusters, round(min(low), 6) AS min_sim, round(avg(mean), 6) AS mean_sim FROM (SELECT cluster_id, count(*) AS size, min(sim_to_centroid) AS low, avg(sim_to_centroid) AS mean FROM clusters GROUP BY 1) GROUP BY 1")
+@query("cluster_profile", _ONE_HOP + "SELECT size, count(*) AS n_clusters, min(low) AS min_micro, (sum(total) // (count(*) * size))::BIGINT AS mean_micro FROM (SELECT cluster_id, count(*) AS size, min(m) AS low, sum(m) AS total FROM (SELECT cluster_id, round(sim_to_centroid * 1000000)::BIGINT AS m FROM clusters) GROUP BY 1) GROUP BY 1")
 def cluster_profile(spark, sf):
     return clusters.cluster_profile(_one_hop(spark, sf))
 
@@ -160,7 +168,14 @@ def rep_alpha_sweep(spark, sf):
     return out
 
 
-@query("mmr_greedy")
+#: Greedy choice of four rows a cell: each step takes the best against all chosen, whose ids the recursion carries.
+_GREEDY = f"""{_REL}, lists AS (SELECT cluster_id, sub_id, list({{'i': sample_id, 'v': v, 'r': relevance}} ORDER BY sample_id) AS rows FROM rel GROUP BY 1, 2),
+steps(cluster_id, sub_id, n, picked) AS (SELECT cluster_id, sub_id, 1, [sample_id] FROM firsts UNION ALL
+  SELECT s.cluster_id, s.sub_id, n + 1, list_append(picked, (SELECT arg_max(x.i, (x.m, -x.i)) FROM (SELECT r.i, round(0.2::DOUBLE * r.r - 0.8::DOUBLE * list_max(list_transform(list_filter(l.rows, lambda o: list_contains(s.picked, o.i)), lambda o: list_cosine_similarity(r.v, o.v))), 9) AS m FROM (SELECT unnest(l.rows) AS r) WHERE NOT list_contains(s.picked, r.i)) x))
+  FROM steps s JOIN lists l USING (cluster_id, sub_id) WHERE n < 4 AND n < len(l.rows))"""
+
+
+@query("mmr_greedy", f"WITH RECURSIVE {_GREEDY} SELECT cluster_id, sub_id, picked[n] AS sample_id, (n - 1)::INT AS rep_rank FROM steps")
 def mmr_greedy(spark, sf):
     return representatives.greedy(representatives.relevance(*_cells(spark, sf)), n_rep=4)
 
@@ -187,10 +202,22 @@ def rep_coverage(spark, sf):
 @query("step2_text")
 def step2_text(spark, sf):
     """All of the second step on the low documents: pairs, one-hop clusters, cells, representatives."""
-    hop = one_hop_text(spark, sf)
-    v = text_vectors(spark, sf)
-    cells = clusters.subcluster(hop, v)
-    return representatives.choose(cells.select("sample_id", "cluster_id", "sub_id"), v)
+    return Chain(spark, sf).reps()
+
+
+@query("chain_reps", _LOW_HOPS + "SELECT (SELECT count(*) FROM low) AS low, (SELECT count(*) FROM cents) AS clusters, count(*) AS clustered, true AS every_cluster_has_one, true AS chosen_are_members FROM clusters")
+def chain_reps(spark, sf):
+    """The account of the second step: rows, clusters, and that each cluster has representatives, all of them members."""
+    c = Chain(spark, sf)
+    hops, reps = c.hops(), c.reps()
+    one = lambda df, *aggs: df.agg(*aggs)
+    chosen = reps.select("cluster_id").distinct().agg(F.count("*").alias("with_reps"))
+    inside = reps.join(hops.select("sample_id", "cluster_id"), ["sample_id", "cluster_id"]).agg(F.count("*").alias("inside"))
+    total = one(reps, F.count("*").alias("reps"))
+    hop = one(hops, F.count("*").alias("clustered"), F.count_if("is_centroid").alias("clusters"))
+    low = one(c.tier("low"), F.count("*").alias("low"))
+    all_ = low.crossJoin(hop).crossJoin(chosen).crossJoin(inside).crossJoin(total)  # one row each
+    return all_.select("low", "clusters", "clustered", (F.col("clusters") == F.col("with_reps")).alias("every_cluster_has_one"), (F.col("inside") == F.col("reps")).alias("chosen_are_members"))
 
 
 @query("sweep_threshold", "SELECT t AS min_sim, (WITH " + PAIRS_SQL.replace(">= 0.3", ">= 0.2") + " SELECT count(*) FROM pairs WHERE sim >= t) AS n_pairs FROM (VALUES (0.25::DOUBLE), (0.3), (0.35), (0.4), (0.9)) x(t)")
@@ -199,3 +226,25 @@ def sweep_threshold(spark, sf):
     pairs = neighbors.sim_pairs(given_vectors(spark, sf), 0.2)
     grid = spark.createDataFrame([(t,) for t in (0.25, 0.3, 0.35, 0.4, 0.9)], "min_sim double")
     return grid.join(pairs, F.col("sim") >= F.col("min_sim"), "left").groupBy("min_sim").agg(F.count("sim").alias("n_pairs"))
+
+
+_TEXT_T = (0.8, 0.85, 0.9, 0.95)
+
+
+@query("sweep_threshold_text", f"WITH RECURSIVE {LOW_SQL}, lsims AS (SELECT round(s, 6) AS s FROM tsims WHERE a < b AND a IN (SELECT sample_id FROM low) AND b IN (SELECT sample_id FROM low)) SELECT t AS min_sim, (SELECT count(*) FROM lsims WHERE s >= t) AS n_pairs FROM (VALUES " + ", ".join(f"({t}::DOUBLE)" for t in _TEXT_T) + ") x(t)")
+def sweep_threshold_text(spark, sf):
+    """Pairs of low documents at several thresholds."""
+    pairs = neighbors.sim_pairs(Chain(spark, sf).low_vectors(), min(_TEXT_T))
+    grid = spark.createDataFrame([(t,) for t in _TEXT_T], "min_sim double")
+    return grid.join(pairs, F.col("sim") >= F.col("min_sim"), "left").groupBy("min_sim").agg(F.count("sim").alias("n_pairs"))
+
+
+@query("sweep_cells")
+def sweep_cells(spark, sf):
+    """The largest number of cells tried, from 2 to 8: cells made and mean silhouette of the clusters that were split."""
+    c, out = Chain(spark, sf), None
+    for most in (2, 4, 8):
+        cells = clusters.subcluster(c.hops(), c.low_vectors(), k_max=most).select("cluster_id", "sub_id", "k", "silhouette").distinct()
+        row = cells.agg(F.lit(most).alias("k_max"), F.count("*").alias("cells"), F.round(F.avg(F.when(F.col("k") > 1, F.col("silhouette"))), 6).alias("silhouette"))
+        out = row if out is None else out.union(row)
+    return out

@@ -7,16 +7,47 @@ from pyspark.sql import functions as F
 
 from salvage.plans import correction as c
 from salvage.plans import neighbors
-from salvage.plans.fixtures import K, NEIGHBOURS_SQL, P6, P6_SQL, RATINGS_SQL, T6, T6_SQL, given_vectors, ratings6, text_vectors, truth6
-from salvage.plans.rating import rubric
+from salvage.functions.scratch import scratch
+from salvage.plans.chain import Chain
+from salvage.plans.fixtures import K, LIKELIHOOD_SQL, NEIGHBOURS_SQL, P6, P6_SQL, RATINGS_SQL, SCORED_SQL, T6, T6_SQL, TEXT_KNN_SQL, TRIPLES_SQL, bayes_sql, given_vectors, ratings6, text_neighbours, text_triples, text_vectors, truth6
+from salvage.plans.fuse.backends import TextModel
+from salvage.plans.rating import grade_sql, rate, rubric
 from salvage.registry import query, read
 
 
-@query("rate_rubric", "WITH w AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS t FROM documents), tf AS (SELECT doc_id, t, count(*) AS tf FROM w GROUP BY 1, 2), d AS (SELECT t, count(*) AS df FROM tf GROUP BY 1), f AS (SELECT doc_id, sum(tf * ln((SELECT count(*) FROM documents) / df)) / sum(tf) AS idf, count(*) / sum(tf) AS variety, count(*) AS uniq FROM tf JOIN d USING (t) GROUP BY 1), x AS (SELECT doc_id, text, coalesce(idf, 0) AS idf, coalesce(variety, 0) AS variety, coalesce(uniq, 0) AS uniq, len(regexp_extract_all(text, '[#*%&$!|]')) AS noise FROM documents LEFT JOIN f USING (doc_id)), s AS (SELECT doc_id, least(5, greatest(0, floor(idf)))::INT AS rarity, least(5, greatest(0, floor(variety * 6)))::INT AS complexity, CASE WHEN uniq - noise < 10 THEN 0 WHEN uniq - noise < 50 THEN 1 WHEN uniq - noise < 100 THEN 2 WHEN uniq - noise < 200 THEN 3 WHEN uniq - noise < 400 THEN 4 ELSE 5 END AS informativeness FROM x) SELECT *, round((rarity + complexity + informativeness) / 3.0)::INT AS raw_score FROM s")
+RUBRIC_SQL = f"""w AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS t FROM documents),
+tf AS (SELECT doc_id, t, count(*) AS tf FROM w GROUP BY 1, 2), d AS (SELECT t, count(*) AS df FROM tf GROUP BY 1),
+facts AS (SELECT doc_id, sum(tf * ln((SELECT count(*) FROM documents) / df)) / sum(tf) AS idf, count(*) / sum(tf) AS variety, count(*) AS uniq FROM tf JOIN d USING (t) GROUP BY 1),
+x AS (SELECT doc_id, text, coalesce(idf, 0) AS idf, coalesce(variety, 0) AS variety, coalesce(uniq, 0) AS uniq, len(regexp_extract_all(text, '[#*%&$!|]')) AS noise FROM documents LEFT JOIN facts USING (doc_id)),
+rubric AS (SELECT doc_id, least(5, greatest(0, floor(idf)))::INT AS rarity, least(5, greatest(0, floor(variety * 6)))::INT AS complexity,
+  CASE WHEN uniq - noise < 10 THEN 0 WHEN uniq - noise < 50 THEN 1 WHEN uniq - noise < 100 THEN 2 WHEN uniq - noise < 200 THEN 3 WHEN uniq - noise < 400 THEN 4 ELSE 5 END AS informativeness, {grade_sql()} AS raw_score FROM x)"""
+
+
+@query("rate_rubric", f"WITH {RUBRIC_SQL} SELECT * FROM rubric")
 def rate_rubric(spark, sf):
     return rubric(read(spark, sf, "documents"))
 
 
+class WordCountRater(TextModel):
+    """A stand-in for a hosted rater: rates by the number of blanks, and sometimes fails, babbles or leaves the scale."""
+
+    def generate(self, prompts, options):
+        replies = []
+        for p in prompts:
+            n = p.split("\n", 1)[1].count(" ")
+            replies.append(None if n % 7 == 0 else "I would say three" if n % 7 == 1 else f'{{"rarity": {n % 6}, "complexity": 1, "informativeness": 2, "overall": {n % 8}}}')
+        return replies
+
+
+_BLANKS = "length(text) - length(replace(text, ' ', ''))"
+
+
+@query("rate_model", f"WITH b AS (SELECT doc_id, {_BLANKS} AS n FROM documents) SELECT doc_id, (CASE WHEN n % 7 > 1 THEN n % 6 END)::INT AS rarity, (CASE WHEN n % 7 > 1 AND n % 8 <= 5 THEN n % 8 END)::INT AS raw_score FROM b")
+def rate_model(spark, sf):
+    """The path of a text model: batched and cached calls, JSON replies, and null ratings where a reply can't be used."""
+    return rate(read(spark, sf, "documents").select("doc_id", "text"), WordCountRater(), scratch(spark, "calls")).select("doc_id", "rarity", "raw_score")
+
+
 @query("rate_simulated", f"WITH {RATINGS_SQL} SELECT sample_id, y, raw_score FROM ratings6")
 def rate_simulated(spark, sf):
     return ratings6(spark, sf).select("sample_id", "y", "raw_score")
@@ -43,12 +74,27 @@ def knn_euclid(spark, sf):
     return near.groupBy("sample_id").agg(F.round(-F.avg("sim"), 5).alias("mean_distance"))
 
 
-@query("knn_lsh")
-def knn_lsh(spark, sf):
-    """Recall and precision of banded neighbours against exact ones, on text vectors."""
+@query("knn_text", f"WITH {TEXT_KNN_SQL} SELECT sample_id, nn_rank, nn_id, round(sim, 6) AS sim FROM tknn")
+def knn_text(spark, sf):
+    """The two nearest documents by the forest; up to one window of different vectors its result is exact."""
+    near = text_neighbours(spark, sf)
+    return near.select("sample_id", F.col("nn_rank").cast("bigint").alias("nn_rank"), "nn_id", F.round("sim", 6).alias("sim"))
+
+
+@query("knn_recall", "SELECT method, 1 AS reached FROM (VALUES ('knn_forest'), ('pairs_bands')) x(method)")
+def knn_recall(spark, sf):
+    """Whether the forest's neighbours and the bands' pairs at 0.9 find at least nine tenths of the exact ones."""
+    measured = knn_recall_measured(spark, sf)
+    return measured.select("method", (F.col("recall") >= 0.9).cast("int").alias("reached"))
+
+
+@query("knn_recall_measured")
+def knn_recall_measured(spark, sf):
+    """Recall and precision of both approximate forms against the exact ones, on text vectors; windows of a quarter."""
     v = neighbors.collapse(text_vectors(spark, sf))[0]
-    exact = neighbors.sim_pairs(v, 0.9)
-    return neighbors.recall(neighbors.sim_pairs(v, 0.9, "lsh"), exact, ["a", "b"])
+    near = neighbors.recall(neighbors.knn(v, 2, window=neighbors.WINDOW // 4), neighbors.knn(v, 2, method="exact"), ["sample_id", "nn_id"])
+    pairs = neighbors.recall(neighbors.sim_pairs(v, 0.9, "lsh"), neighbors.sim_pairs(v, 0.9), ["a", "b"])
+    return near.withColumn("method", F.lit("knn_forest")).union(pairs.withColumn("method", F.lit("pairs_bands")))
 
 
 @query("clusterability", f"WITH {NEIGHBOURS_SQL}, a AS (SELECT k.sample_id, bool_and(x.label = y.label) AS agree FROM knn k JOIN unit_ x ON x.sample_id = k.sample_id JOIN unit_ y ON y.sample_id = k.nn_id GROUP BY 1) SELECT count(*) AS n, round(avg(agree::INT), 6) AS share FROM a")
@@ -58,9 +104,9 @@ def clusterability(spark, sf):
     return neighbors.clusterability(neighbors.knn(v, 2), v.withColumnRenamed("label", "y"))
 
 
-@query("clusterability_text")
+@query("clusterability_text", f"WITH {RATINGS_SQL}, {TEXT_KNN_SQL}, a AS (SELECT k.sample_id, bool_and(x.y = n.y) AS agree FROM tknn k JOIN ratings6 x ON x.sample_id = k.sample_id JOIN ratings6 n ON n.sample_id = k.nn_id GROUP BY 1) SELECT count(*) AS n, round(avg(agree::INT), 6) AS share FROM a")
 def clusterability_text(spark, sf):
-    return neighbors.clusterability(neighbors.knn(text_vectors(spark, sf), 2), truth6(spark, sf))
+    return neighbors.clusterability(text_neighbours(spark, sf), truth6(spark, sf))
 
 
 _TRIPLES = NEIGHBOURS_SQL + ", triples AS (SELECT u.sample_id, u.label AS y1, max(CASE WHEN nn_rank = 1 THEN n.label END) AS y2, max(CASE WHEN nn_rank = 2 THEN n.label END) AS y3 FROM unit_ u JOIN knn k ON k.sample_id = u.sample_id JOIN unit_ n ON n.sample_id = k.nn_id GROUP BY 1, 2)"
@@ -101,9 +147,25 @@ def cyclic_shift(spark, sf):
     return out.select("g", "i", "j", "prob")
 
 
-@query("consensus_forward", f"WITH {_T_SQL} SELECT a.j AS y1, b.j AS y2, d.j AS y3, round(sum(prior * a.prob * b.prob * d.prob), 9) AS prob FROM t a JOIN t b USING (i) JOIN t d USING (i) JOIN p USING (i) GROUP BY 1, 2, 3")
-def consensus_forward(spark, sf):
-    return c.forward(_t(spark), _p(spark))
+for _order in (1, 2, 3):
+    _as = ["a", "b", "d"][:_order]
+    _tables = " JOIN ".join(f"t {x}" + ("" if x == "a" else " USING (i)") for x in _as)
+    _product = " * ".join(["prior", *(f"{x}.prob" for x in _as)])
+    _sql = f"WITH {_T_SQL} SELECT " + ", ".join(f"{x}.j AS y{n + 1}" for n, x in enumerate(_as)) + f", round(sum({_product}), 9) AS prob FROM {_tables} JOIN p USING (i) GROUP BY ALL"
+
+    def _forward(spark, sf, order=_order):
+        return c.forward(_t(spark), _p(spark), order)
+
+    query(f"consensus_forward{_order}", _sql)(_forward)
+
+    _shifts = ["z", "g"][: _order - 1]
+    _moved = " * ".join(["prior", f"({T6_SQL})[i + 1][y + 1]", *(f"({T6_SQL})[i + 1][(y + {x}) % {K} + 1]" for x in _shifts)])
+    _sql = f"WITH {_T_SQL} SELECT " + "".join(f"{x}::INT AS {x}, " for x in _shifts) + f"y::INT AS y, round(sum({_moved}), 9) AS prob FROM p, range({K}) r(y)" + "".join(f", range({K}) r{x}({x})" for x in _shifts) + " GROUP BY ALL"
+
+    def _shifted(spark, sf, order=_order):
+        return c.consensus_vectors(_t(spark), _p(spark), K, order)
+
+    query(f"consensus_shifted{_order}", _sql)(_shifted)
 
 
 @query("transition_counting", f"WITH {RATINGS_SQL}, n AS (SELECT y AS i, raw_score AS j, count(*) AS n FROM ratings6 GROUP BY 1, 2) SELECT a.i::INT AS i, b.j::INT AS j, coalesce(n.n, 0) AS n, coalesce(round(coalesce(n.n, 0) / sum(n.n) OVER (PARTITION BY a.i), 9), 0) AS prob FROM range({K}) a(i) CROSS JOIN range({K}) b(j) LEFT JOIN n ON n.i = a.i AND n.j = b.j")
@@ -116,12 +178,6 @@ def transition_error(spark, sf):
     return c.transition_error(_t(spark), _p(spark))
 
 
-def _text_triples(spark, sf):
-    ratings = ratings6(spark, sf)
-    near = neighbors.knn(text_vectors(spark, sf), 2)
-    return c.neighbour_scores(near, ratings).join(ratings.select("sample_id", "component", "y"), "sample_id")
-
-
 def _estimate_rows(spark, found):
     return spark.createDataFrame([(i, j, float(found.t[i, j]), float(T6[i, j]), float(found.p[i]), float(found.residual)) for i in range(K) for j in range(K)], "i int, j int, estimated double, planted double, prior double, residual double")
 
@@ -129,36 +185,33 @@ def _estimate_rows(spark, found):
 @query("transition_est")
 def transition_est(spark, sf):
     """T and p from the counts of rating triples of text neighbours, beside the planted T."""
-    return _estimate_rows(spark, c.estimate_transition(_text_triples(spark, sf), K))
+    return _estimate_rows(spark, c.estimate_transition(text_triples(spark, sf), K))
 
 
 @query("transition_est_symmetric")
 def transition_est_symmetric(spark, sf):
-    return _estimate_rows(spark, c.estimate_transition(_text_triples(spark, sf), K, symmetric=True))
+    return _estimate_rows(spark, c.estimate_transition(text_triples(spark, sf), K, symmetric=True))
 
 
 @query("transition_est_second_order")
 def transition_est_second_order(spark, sf):
-    return _estimate_rows(spark, c.estimate_transition(_text_triples(spark, sf), K, orders=2))
+    return _estimate_rows(spark, c.estimate_transition(text_triples(spark, sf), K, orders=2))
+
+
+@query("transition_likelihood", f"WITH RECURSIVE {LIKELIHOOD_SQL} SELECT i::INT AS i, j::INT AS j, round(ft[i + 1][j + 1], 5) AS prob, round(fp[i + 1], 5) AS prior FROM found, range({K}) a(i), range({K}) b(j)")
+def transition_likelihood(spark, sf):
+    """T and p of the chain: the likelihood estimate on text neighbours."""
+    return Chain(spark, sf).transition().select("i", "j", F.round("prob", 5).alias("prob"), F.round("prior", 5).alias("prior"))
 
 
 @query("transition_est_grouped")
 def transition_est_grouped(spark, sf):
     """One T a group of components, since the error of a rater may depend on what is rated."""
-    grouped = _text_triples(spark, sf).withColumn("part", F.pmod(F.xxhash64("component"), F.lit(3)).cast("int"))
+    grouped = text_triples(spark, sf).withColumn("part", F.pmod(F.xxhash64("component"), F.lit(3)).cast("int"))
     return c.estimate_by_group(grouped, "part", K, steps=1000)
 
 
-_WEIGHTS = f"list_transform(range({K}), lambda i: ({P6_SQL})[i + 1] * {{}})"
-_LIKE = f"({T6_SQL})[i + 1][%s + 1]"
-
-
-def _bayes_sql(source: str, cols: list[str], extra: str = "") -> str:
-    product = " * ".join(_LIKE % col for col in cols)
-    return f"post AS (SELECT *, list_transform(w, lambda x: round(x / list_sum(w), 9)) AS post FROM (SELECT *, {_WEIGHTS.format(product)} AS w FROM {source})), fixed AS (SELECT *, CASE WHEN post[y1 + 1] = list_max(post) THEN y1 ELSE list_position(post, list_max(post)) - 1 END::INT AS corrected FROM post)"
-
-
-_OWN = f"WITH {RATINGS_SQL}, mine AS (SELECT sample_id, component, y, raw_score AS y1 FROM ratings6), {_bayes_sql('mine', ['y1'])} "
+_OWN = f"WITH {RATINGS_SQL}, mine AS (SELECT sample_id, component, y, raw_score AS y1 FROM ratings6), {bayes_sql('mine', ['y1'])} "
 
 
 def _own(spark, sf):
@@ -170,13 +223,10 @@ def bayes_own(spark, sf):
     return _own(spark, sf).select("sample_id", "y1", "corrected", F.round(F.array_max("posterior"), 6).alias("sure"))
 
 
-_NEIGH = f"WITH {_TRIPLES}, mine AS (SELECT sample_id, y1 % 6 AS y1, y2 % 6 AS y2, y3 % 6 AS y3 FROM triples), {_bayes_sql('mine', ['y1', 'y2', 'y3'])} "
-
-
-@query("bayes_neigh", _NEIGH + "SELECT sample_id, y1, corrected, round(list_max(post), 6) AS sure FROM fixed")
+@query("bayes_neigh", f"WITH {TRIPLES_SQL}, {bayes_sql('triples6', ['y1', 'y2', 'y3'])} SELECT sample_id, y1, corrected, round(list_max(post), 6) AS sure FROM fixed")
 def bayes_neigh(spark, sf):
-    t = _triples(spark, sf).select("sample_id", *((F.col(y) % 6).alias(y) for y in ("y1", "y2", "y3")))
-    return c.correct(t, T6, P6).select("sample_id", "y1", "corrected", F.round(F.array_max("posterior"), 6).alias("sure"))
+    """Correction by the ratings of the row and its two nearest documents, under the planted T and p."""
+    return c.correct(text_triples(spark, sf), T6, P6).select("sample_id", "y1", "corrected", F.round(F.array_max("posterior"), 6).alias("sure"))
 
 
 @query("suspects", _OWN + "SELECT sample_id FROM fixed WHERE corrected <> y1 OR post[y1 + 1] < 0.5")
@@ -184,9 +234,22 @@ def suspects(spark, sf):
     return c.suspects(_own(spark, sf)).select("sample_id")
 
 
-@query("tier_split", f"WITH {RATINGS_SQL} SELECT sample_id, CASE WHEN raw_score IS NULL THEN 'unassigned' WHEN raw_score <= 2 THEN 'low' ELSE 'high' END AS tier FROM ratings6")
+_TIER = "CASE WHEN corrected IS NULL THEN 'unassigned' WHEN corrected <= 2 THEN 'low' ELSE 'high' END"
+
+
+@query("tier_split", f"WITH RECURSIVE {SCORED_SQL} SELECT sample_id, corrected, {_TIER} AS tier FROM ratings6 LEFT JOIN (SELECT sample_id, corrected FROM fixed) USING (sample_id)")
 def tier_split(spark, sf):
-    return c.partition_by_score(ratings6(spark, sf), "raw_score").select("sample_id", "tier")
+    """Tiers of the corrected score: ratings, text neighbours, estimated T and p, Bayes, cut."""
+    return Chain(spark, sf).scored().select("sample_id", "corrected", "tier")
+
+
+@query("chain_tiers", f"WITH RECURSIVE {SCORED_SQL}, s AS (SELECT component, y, y1, corrected, {_TIER} AS tier FROM (SELECT sample_id, component, y, raw_score AS y1 FROM ratings6) LEFT JOIN (SELECT sample_id, corrected FROM fixed) USING (sample_id)) SELECT component, tier, count(*) AS n, count(*) FILTER (WHERE y <= 2) AS truly_low, count(*) FILTER (WHERE y1 <= 2) AS rated_low, round(avg((y1 = y)::INT), 6) AS raw_accuracy, round(avg((corrected = y)::INT), 6) AS corrected_accuracy FROM s GROUP BY GROUPING SETS ((component, tier), (tier), ())")
+def chain_tiers(spark, sf):
+    """The account of the split by component and tier, beside the truth; no document is missing."""
+    s = Chain(spark, sf).scored()
+    share = lambda x, name: F.round(F.avg((x == F.col("y")).cast("int")), 6).alias(name)
+    aggs = [F.count("*").alias("n"), F.count_if(F.col("y") <= 2).alias("truly_low"), F.count_if(F.col("y1") <= 2).alias("rated_low"), share(F.col("y1"), "raw_accuracy"), share(F.col("corrected"), "corrected_accuracy")]
+    return s.groupingSets([["component", "tier"], ["tier"], []], "component", "tier").agg(*aggs)
 
 
 @query("q_partition_account", "SELECT CASE WHEN quality IS NULL THEN 'unassigned' WHEN quality <= 0 THEN 'low' ELSE 'high' END AS tier, count(*) AS n, round(count(*) / (SELECT count(*) FROM documents), 6) AS share FROM documents LEFT JOIN labels USING (doc_id) GROUP BY ROLLUP (1)")
@@ -205,12 +268,21 @@ def correction_gain(spark, sf):
     return c.correction_gain(_own(spark, sf), "component")
 
 
-@query("correction_gain_neighbours")
+@query("correction_gain_neighbours", f"WITH RECURSIVE {SCORED_SQL} SELECT {_GAIN} FROM fixed")
 def correction_gain_neighbours(spark, sf):
     """Estimation and correction end to end on text neighbours: accuracy before and after."""
-    triples = _text_triples(spark, sf)
-    found = c.estimate_transition(triples, K)
-    return c.correction_gain(c.correct(triples, found.t, found.p)).withColumn("max_t_error", F.lit(float(np.abs(found.t - T6).max())))
+    return c.correction_gain(Chain(spark, sf).scored().where("corrected is not null"))
+
+
+@query("correction_methods")
+def correction_methods(spark, sf):
+    """Both estimators on the same triples: largest error of T, accuracy before and after."""
+    triples, out = text_triples(spark, sf), None
+    for method in ("squares", "likelihood"):
+        found = c.estimate_transition(triples, K, method)
+        row = c.correction_gain(c.correct(triples, found.t, found.p)).select(F.lit(method).alias("method"), "*", F.lit(float(np.abs(found.t - T6).max())).alias("max_t_error"))
+        out = row if out is None else out.union(row)
+    return out
 
 
 @query("correction_labels")
@@ -221,5 +293,5 @@ def correction_labels(spark, sf):
     noisy = c.simulate_rating(labelled, flips)
     vecs = text_vectors(spark, sf).join(labelled.select("sample_id"), "sample_id", "left_semi")
     triples = c.neighbour_scores(neighbors.knn(vecs, 2), noisy).join(labelled, "sample_id")
-    found = c.estimate_transition(triples, 2)
+    found = c.estimate_transition(triples, 2, "likelihood")
     return c.correction_gain(c.correct(triples, found.t, found.p))

@@ -6,10 +6,12 @@ from pyspark.sql import functions as F
 
 from salvage.functions import vectors
 from salvage.functions.keys import order_key_sql
+from salvage.functions.materialize import spread
+from salvage.plans.fixtures import TEXT_SQL, text_vectors
 from salvage.plans import samples
 from salvage.registry import query, read
 
-_CONV = "conv AS (SELECT conv_id * 1000 + turn AS sample_id, text AS instruction, system AS input, next_text AS response FROM (SELECT conv_id, turn, role, text, lead(role) OVER w AS next_role, lead(text) OVER w AS next_text, last_value(CASE WHEN role = 'system' THEN text END IGNORE NULLS) OVER (PARTITION BY conv_id ORDER BY turn ROWS UNBOUNDED PRECEDING) AS system FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND next_role = 'assistant')"
+_CONV = "conv AS (SELECT conv_id * 1048576 + turn AS sample_id, text AS instruction, system AS input, next_text AS response FROM (SELECT conv_id, turn, role, text, lead(role) OVER w AS next_role, lead(text) OVER w AS next_text, last_value(CASE WHEN role = 'system' THEN text END IGNORE NULLS) OVER (PARTITION BY conv_id ORDER BY turn ROWS UNBOUNDED PRECEDING) AS system FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND next_role = 'assistant')"
 _DOC = r"docs_ AS (SELECT doc_id AS sample_id, 'documents-' || (('0x' || substr(md5(source), 1, 4))::INT % 5) AS component, regexp_extract(text, '(?s)^([^.!?]*[.!?])\s+(.+)$', 1) AS instruction, regexp_extract(text, '(?s)^([^.!?]*[.!?])\s+(.+)$', 2) AS response FROM documents WHERE regexp_extract(text, '(?s)^([^.!?]*[.!?])\s+(.+)$', 2) <> '')"
 _PAGE = r"pages_ AS (SELECT * FROM (SELECT page_id AS sample_id, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS instruction, trim(regexp_replace(regexp_replace(regexp_extract(regexp_replace(regexp_replace(regexp_replace(regexp_replace(html, '(?s)<script[^>]*>.*?</script>', ' ', 'g'), '(?s)<style[^>]*>.*?</style>', ' ', 'g'), '(?s)<nav[^>]*>.*?</nav>', ' ', 'g'), '(?s)<!--.*?-->', ' ', 'g'), '(?s)<article>(.*)</article>', 1), '<[^>]*>', ' ', 'g'), '[ \t\n\r]+', ' ', 'g')) AS response FROM pages) WHERE instruction <> '' AND response <> '')"
 _POOL = f"WITH {_CONV}, {_DOC}, {_PAGE}, pool AS (SELECT sample_id, 'conversations' AS component FROM conv UNION ALL SELECT sample_id, component FROM docs_ UNION ALL SELECT sample_id, 'pages' FROM pages_) "
@@ -46,22 +48,33 @@ def pool_quota(spark, sf):
     return samples.take_quota(_all(spark, sf).select("sample_id", "component"), 50).select("component", "sample_id")
 
 
-@query("encode_sql", "WITH w AS (SELECT item_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS t FROM benchmark), c AS (SELECT item_id, t, count(*) AS tf FROM w GROUP BY 1, 2), b AS (SELECT item_id, ('0x' || substr(md5(t), 1, 2))::INT AS dim, sum(CASE WHEN ('0x' || substr(md5(t), 3, 1))::INT < 8 THEN 1 ELSE -1 END * (1 + ln(tf))) AS x FROM c GROUP BY 1, 2) SELECT item_id, dim, round(x / sqrt(sum(x * x) OVER (PARTITION BY item_id)), 6) AS x FROM b")
+@query("encode_sql", "WITH w AS (SELECT doc_id AS item_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS t FROM documents), c AS (SELECT item_id, t, count(*) AS tf FROM w GROUP BY 1, 2), b AS (SELECT item_id, ('0x' || substr(md5(t), 1, 2))::INT AS dim, sum(CASE WHEN ('0x' || substr(md5(t), 3, 1))::INT < 8 THEN 1 ELSE -1 END * (1 + ln(tf))) AS x FROM c GROUP BY 1, 2) SELECT item_id, dim, round(x / sqrt(sum(x * x) OVER (PARTITION BY item_id)), 6) AS x FROM b")
 def encode_sql(spark, sf):
     """The word encoder in plain SQL functions: hash buckets and signs from md5."""
     from pyspark.sql import Window
 
-    tf = samples.terms(read(spark, sf, "benchmark"), "item_id", "text").groupBy("id", "term").agg(F.count("*").alias("tf"))
+    tf = samples.terms(read(spark, sf, "documents"), "doc_id", "text").groupBy("id", "term").agg(F.count("*").alias("tf"))
     h = F.md5("term")
     dim, sign = F.conv(F.substring(h, 1, 2), 16, 10).cast("int"), F.when(F.conv(F.substring(h, 3, 1), 16, 10).cast("int") < 8, 1).otherwise(-1)
     b = tf.groupBy(F.col("id").alias("item_id"), dim.alias("dim")).agg(F.sum(sign * (1 + F.log("tf"))).alias("x"))
     return b.select("item_id", "dim", F.round(F.col("x") / F.sqrt(F.sum(F.col("x") * F.col("x")).over(Window.partitionBy("item_id"))), 6).alias("x"))
 
 
-for _kind in ("char3", "word1", "word2"):
+_CHECKSUM = "round(list_sum(list_transform(v, lambda x, i: x * i)), 4)"
+
+
+@query("encode_char3", f"WITH {TEXT_SQL} SELECT id AS sample_id, len(v) AS dim, round(sqrt(list_sum(list_transform(v, lambda x: x * x))), 5) AS length, {_CHECKSUM} AS weighted FROM tv")
+def encode_char3(spark, sf):
+    """The character encoder: length of each vector and a sum of its components by place."""
+    vecs = text_vectors(spark, sf)
+    weighted = F.aggregate(F.transform("vec", lambda x, i: x.cast("double") * (i + 1)), F.lit(0.0), lambda t, x: t + x)
+    return vecs.select("sample_id", F.size("vec").cast("bigint").alias("dim"), F.round(vectors.norm(F.col("vec")), 5).alias("length"), F.round(weighted, 4).alias("weighted"))
+
+
+for _kind in ("word1", "word2"):
 
     def _encode(spark, sf, kind=_kind):
-        vecs = vectors.encode(read(spark, sf, "documents"), "doc_id", "text", kind)
+        vecs = text_vectors(spark, sf, kind)
         return vecs.select("sample_id", F.size("vec").alias("dim"), F.round(vectors.norm(F.col("vec")), 5).alias("length"))
 
     query(f"encode_{_kind}")(_encode)
@@ -90,34 +103,40 @@ def vec_mean(spark, sf):
 _SHARES = {"symbol_share": r"[#*%&$!|]", "upper_share": r"[A-Z]", "digit_share": r"[0-9]"}
 
 
-@query("noise_profile", "WITH p AS (SELECT doc_id, lang, n_chars, " + ", ".join(f"round(len(regexp_extract_all(text, '{p}')) / greatest(length(text), 1), 6) AS {n}" for n, p in _SHARES.items()) + ", round(length(regexp_replace(text, '[ \\n]+', '', 'g')) / greatest(len(regexp_extract_all(text, '[^ \\n]+')), 1), 6) AS word_length, round(len(list_distinct(regexp_extract_all(lower(text), '[^ \\n]+'))) / greatest(len(regexp_extract_all(text, '[^ \\n]+')), 1), 6) AS distinct_share FROM documents) SELECT doc_id, " + ", ".join(_SHARES) + ", word_length, distinct_share, round((n_chars - avg(n_chars) OVER (PARTITION BY lang)) / stddev_samp(n_chars) OVER (PARTITION BY lang), 6) AS length_z FROM p")
+_RUN = "[^A-Za-zÀ-ÿ0-9 \\n]+"
+
+
+@query("noise_profile", "WITH p AS (SELECT doc_id, lang, n_chars, " + ", ".join(f"round(len(regexp_extract_all(text, '{p}')) / greatest(length(text), 1), 6) AS {n}" for n, p in _SHARES.items()) + f", round(length(regexp_replace(text, '[ \\n]+', '', 'g')) / greatest(len(regexp_extract_all(text, '[^ \\n]+')), 1), 6) AS word_length, round(len(list_distinct(regexp_extract_all(lower(text), '[^ \\n]+'))) / greatest(len(regexp_extract_all(text, '[^ \\n]+')), 1), 6) AS distinct_share, round(1 - len(list_distinct(string_split(text, chr(10)))) / len(string_split(text, chr(10))), 6) AS repeated_lines, coalesce(list_max(list_transform(regexp_extract_all(text, '{_RUN}'), lambda r: length(r))), 0) AS longest_run FROM documents) SELECT doc_id, " + ", ".join(_SHARES) + ", word_length, distinct_share, repeated_lines, longest_run, round((n_chars - avg(n_chars) OVER (PARTITION BY lang)) / nullif(stddev_samp(n_chars) OVER (PARTITION BY lang), 0), 6) AS length_z FROM p")
 def noise_profile(spark, sf):
-    """Statistical signs of noise for each text; the length is set against the language's mean."""
-    docs = read(spark, sf, "documents")
+    """Statistical signs of noise for each text; the length is set against the language's mean, a null language being one."""
+    docs = read(spark, sf, "documents").select("doc_id", "lang", "n_chars", "text")
     words = F.greatest(F.regexp_count("text", F.lit(r"[^ \n]+")), F.lit(1))
-    stats = docs.groupBy("lang").agg(F.avg("n_chars").alias("m"), F.stddev_samp("n_chars").alias("s"))
-    return docs.join(F.broadcast(stats), "lang").select(
-        "doc_id", *(F.round(F.regexp_count("text", F.lit(p)) / F.greatest(F.length("text"), F.lit(1)), 6).alias(n) for n, p in _SHARES.items()),
+    stats = docs.groupBy(F.col("lang").alias("l")).agg(F.avg("n_chars").alias("m"), F.stddev_samp("n_chars").alias("s"))
+    lines = F.split("text", "\n")
+    runs = F.transform(F.regexp_extract_all("text", F.lit(_RUN), F.lit(0)), lambda r: F.length(r))
+    signs = spread(docs).select(
+        "doc_id", "lang", "n_chars", *(F.round(F.regexp_count("text", F.lit(p)) / F.greatest(F.length("text"), F.lit(1)), 6).alias(n) for n, p in _SHARES.items()),
         F.round(F.length(F.regexp_replace("text", r"[ \n]+", "")) / words, 6).alias("word_length"), F.round(F.size(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"[^ \n]+"), 0))) / words, 6).alias("distinct_share"),
-        F.round((F.col("n_chars") - F.col("m")) / F.col("s"), 6).alias("length_z"),
+        F.round(1 - F.size(F.array_distinct(lines)) / F.size(lines), 6).alias("repeated_lines"), F.coalesce(F.array_max(runs), F.lit(0)).cast("bigint").alias("longest_run"),
     )
+    z = F.round((F.col("n_chars") - F.col("m")) / F.nullif(F.col("s"), F.lit(0.0)), 6)
+    return signs.join(stats, F.col("lang").eqNullSafe(F.col("l")), "left").select("doc_id", *_SHARES, "word_length", "distinct_share", "repeated_lines", "longest_run", z.alias("length_z"))
 
 
-def _purged_sql() -> str:
-    text = "text"
-    for _, pattern, repl in samples.PURGE_RULES:
+def purged_sql(text: str = "text") -> str:
+    for _, pattern, repl, _ in samples.PURGE_RULES:
         text = f"regexp_replace({text}, '{pattern}', '{repl}', 'g')"
     return f"trim(regexp_replace({text}, '[ ]+', ' ', 'g'))"
 
 
-@query("purge_text", f"SELECT doc_id, md5({_purged_sql()}) AS h FROM documents")
+@query("purge_text", f"SELECT doc_id, md5({purged_sql()}) AS h FROM documents")
 def purge_text(spark, sf):
-    return samples.purge(read(spark, sf, "documents")).select("doc_id", F.md5("text").alias("h"))
+    return samples.purge(spread(read(spark, sf, "documents").select("doc_id", "text"))).select("doc_id", F.md5("text").alias("h"))
 
 
 def _purge_counts_sql() -> str:
     text, parts = "text", []
-    for name, pattern, repl in samples.PURGE_RULES:
+    for name, pattern, repl, _ in samples.PURGE_RULES:
         parts.append(f"SELECT '{name}' AS rule, sum(len(regexp_extract_all({text}, '{pattern}')))::BIGINT AS hits FROM documents")
         text = f"regexp_replace({text}, '{pattern}', '{repl}', 'g')"
     return " UNION ALL ".join(parts)
@@ -125,18 +144,29 @@ def _purge_counts_sql() -> str:
 
 @query("purge_counts", _purge_counts_sql())
 def purge_counts(spark, sf):
-    hits = samples.purge(read(spark, sf, "documents")).select(F.explode("removed").alias("rule", "n"))
-    return hits.groupBy("rule").agg(F.sum("n").alias("hits"))
+    names = [name for name, *_ in samples.PURGE_RULES]
+    purged = samples.purge(spread(read(spark, sf, "documents").select("doc_id", "text")))
+    total = purged.agg(*(F.sum(F.element_at("removed", F.lit(n))).alias(n) for n in names))  # one row; a filter on the map would be pushed through every rule
+    return total.select(F.explode(F.array(*(F.struct(F.lit(n).alias("rule"), F.col(n).alias("hits")) for n in names))).alias("x")).select("x.rule", "x.hits")
+
+
+_BOILER = "lines AS (SELECT DISTINCT md5(text) AS h, unnest(string_split(text, chr(10))) AS line FROM documents), boiler AS (SELECT line, count(*) AS n_texts FROM lines WHERE line <> '' GROUP BY line HAVING count(*) >= 5)"
 
 
-@query("purge_boilerplate", "SELECT md5(line) AS line, count(DISTINCT doc_id) AS n_docs FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE line <> '' GROUP BY line HAVING count(DISTINCT doc_id) >= 5")
+@query("purge_boilerplate", f"WITH {_BOILER} SELECT md5(line) AS line, n_texts FROM boiler")
 def purge_boilerplate(spark, sf):
-    return samples.boilerplate(read(spark, sf, "documents")).select(F.md5("line").alias("line"), "n_docs")
+    return samples.boilerplate(read(spark, sf, "documents")).select(F.md5("line").alias("line"), "n_texts")
+
+
+@query("purge_lines", f"WITH {_BOILER}, l AS (SELECT doc_id, unnest(ls) AS line, generate_subscripts(ls, 1) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents)), k AS (SELECT *, line = '' OR (line NOT IN (SELECT line FROM boiler) AND i = min(i) OVER (PARTITION BY doc_id, line)) AS kept FROM l) SELECT doc_id AS id, md5(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE kept), '')) AS h, count(*) FILTER (WHERE NOT kept) AS n_removed FROM k GROUP BY 1")
+def purge_lines(spark, sf):
+    """Texts without the lines that many texts share and without lines that repeat."""
+    return samples.purge_lines(read(spark, sf, "documents")).select("id", F.md5("text").alias("h"), F.col("n_removed").cast("bigint").alias("n_removed"))
 
 
-@query("key_terms", "WITH t AS (SELECT item_id AS id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS term FROM benchmark), tf AS (SELECT id, term, count(*) AS tf FROM t GROUP BY 1, 2), d AS (SELECT term, count(*) AS df FROM tf GROUP BY 1), s AS (SELECT id, term, round(tf * ln((SELECT count(*) FROM benchmark) / df), 6) AS score FROM tf JOIN d USING (term)) SELECT id, term, score, place FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY score DESC, term) AS place FROM s) WHERE place <= 10")
+@query("key_terms", "WITH t AS (SELECT doc_id AS id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS term FROM documents), tf AS (SELECT id, term, count(*) AS tf FROM t GROUP BY 1, 2), d AS (SELECT term, count(*) AS df FROM tf GROUP BY 1), s AS (SELECT id, term, round(tf * ln((SELECT count(*) FROM documents) / df), 6) AS score FROM tf JOIN d USING (term)) SELECT id, term, score, place FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY score DESC, term) AS place FROM s) WHERE place <= 10")
 def key_terms(spark, sf):
-    return samples.key_terms(read(spark, sf, "benchmark"), "item_id").withColumn("place", F.col("place").cast("bigint"))
+    return samples.key_terms(read(spark, sf, "documents")).withColumn("place", F.col("place").cast("bigint"))
 
 
 _CUES = {"numbers": r"[0-9]+", "dates": r"[0-9]{4}-[0-9]{2}-[0-9]{2}", "lists": r"\n[-*] ", "questions": r"\?", "code": r"[(){};=]"}

@@ -2,18 +2,31 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+from operator import or_
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from salvage.functions.keys import order_key
+from salvage.functions.materialize import checkpoint, spread
 
 SAMPLE = ["sample_id", "component", "instruction", "input", "response"]
 
-#: Purge rules: name, pattern, replacement. The dialect is common to Java and RE2.
+#: Purge rules: name, pattern, replacement, and literals of which every match holds one, so that a text without them is
+#: not searched. The dialect is common to Java and RE2; runs are bounded where they could be searched again and again.
 PURGE_RULES = [
-    ("junk_suffix", r"(###|\*\*\*|%%%|&&&|\$\$\$)", ""), ("shouting", r"!!+", ""), ("email", r"[A-Za-z0-9._-]+@[A-Za-z0-9.-]+", "<mail>"), ("address", r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}", "<ip>"),
-    ("phone", r"\+[0-9]{1,2} \([0-9]{3}\) [0-9]{3}-[0-9]{4}", "<phone>"), ("link", r"https?://[^ \n]+", "<link>"), ("markup", r"<[a-z/][^<>]*>", " "), ("licence", r"(All rights reserved\.?|Licensed under the [A-Za-z0-9 ,.-]*)", ""), ("pipes", r" \| ", " "),
-]
+    ("junk_suffix", r"(###|\*\*\*|%%%|&&&|\$\$\$)", "", ("###", "***", "%%%", "&&&", "$$$")),
+    ("shouting", r"!!+", "", ("!!",)),
+    ("secret", r'(token|key|secret|password) ?[=:] ?"[^"\n]{8,200}"', "<secret>", ('"',)),
+    ("email", r"[A-Za-z0-9._-]{1,64}@[A-Za-z0-9.-]+", "<mail>", ("@",)),
+    ("address", r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}", "<ip>", (".",)),
+    ("phone", r"\+[0-9]{1,2} \([0-9]{3}\) [0-9]{3}-[0-9]{4}", "<phone>", ("+",)),
+    ("link", r"https?://[^ \n]+", "<link>", ("://",)),
+    ("markup", r"<[a-z/][^<>]{0,200}>", " ", (">",)),
+    ("licence", r"(All rights reserved\.?|Licensed under the [A-Za-z0-9 ,.-]{0,200})", "", ("All rights reserved", "Licensed under")),
+    ("pipes", r" \| ", " ", (" | ",)),
+]
 TERM = r"[a-zà-ÿ]+"
 
 
@@ -22,7 +35,7 @@ def samples_from_conversations(conv: DataFrame) -> DataFrame:
     w = Window.partitionBy("conv_id").orderBy("turn")
     seen = conv.select("conv_id", "turn", "role", "text", F.lead("role").over(w).alias("next_role"), F.lead("text").over(w).alias("next_text"), F.last(F.when(F.col("role") == "system", F.col("text")), ignorenulls=True).over(w).alias("system"))
     kept = seen.where("role = 'user' and next_role = 'assistant'")
-    return kept.select((F.col("conv_id") * 1000 + F.col("turn")).alias("sample_id"), F.lit("conversations").alias("component"), F.col("text").alias("instruction"), F.col("system").alias("input"), F.col("next_text").alias("response"))
+    return kept.select((F.col("conv_id") * 1_048_576 + F.col("turn")).alias("sample_id"), F.lit("conversations").alias("component"), F.col("text").alias("instruction"), F.col("system").alias("input"), F.col("next_text").alias("response"))
 
 
 def samples_from_documents(docs: DataFrame, components: int = 5) -> DataFrame:
@@ -45,6 +58,10 @@ def samples_from_pages(pages: DataFrame) -> DataFrame:
 
 
 def pool(*samples: DataFrame) -> DataFrame:
+    """All samples in one table. Ids are unique within a family of components (conversations, documents, pages), so a row
+    of the pool is named by ``pool_id``, family and id."""
+    family = F.split_part(F.col("component"), F.lit("-"), F.lit(1))
+    samples = [s.withColumn("pool_id", F.concat_ws(":", family, "sample_id")) for s in samples]
     out = samples[0]
     for s in samples[1:]:
         out = out.unionByName(s)
@@ -57,24 +74,49 @@ def take_quota(df: DataFrame, quota: int, seed: int = 42) -> DataFrame:
     return df.withColumn("_rn", rn).where(F.col("_rn") <= quota).drop("_rn")
 
 
+def purge_text(df: DataFrame, text_col: str = "text") -> DataFrame:
+    """``df`` with purged text. A rule is a projection of its own: a text that an expression names several times is then
+    computed once."""
+    for _, pattern, repl, guards in PURGE_RULES:
+        may = reduce(or_, (F.contains(F.col(text_col), F.lit(g)) for g in guards))
+        df = df.withColumn(text_col, F.when(may, F.regexp_replace(text_col, pattern, repl)).otherwise(F.col(text_col)))
+    return df.withColumn(text_col, F.trim(F.regexp_replace(text_col, r"[ ]+", " ")))
+
+
 def purge(df: DataFrame, text_col: str = "text") -> DataFrame:
     """``df`` with purged text and ``removed``, the hits by rule."""
     out, counts = df, []
-    for i, (name, pattern, repl) in enumerate(PURGE_RULES):  # column by column: a text that is used twice is computed once
-        out = out.withColumn(f"_hits{i}", F.regexp_count(text_col, F.lit(pattern))).withColumn(text_col, F.regexp_replace(text_col, pattern, repl))
+    for i, (name, pattern, repl, guards) in enumerate(PURGE_RULES):  # column by column: a text that is used twice is computed once
+        may = reduce(or_, (F.contains(F.col(text_col), F.lit(g)) for g in guards))
+        hits = F.when(may, F.regexp_count(text_col, F.lit(pattern))).otherwise(0)
+        out = out.withColumn(f"_hits{i}", hits).withColumn(text_col, F.when(F.col(f"_hits{i}") > 0, F.regexp_replace(text_col, pattern, repl)).otherwise(F.col(text_col)))
         counts += [F.lit(name), F.col(f"_hits{i}")]
     out = out.withColumn("removed", F.create_map(*counts)).withColumn(text_col, F.trim(F.regexp_replace(text_col, r"[ ]+", " ")))
     return out.drop(*(f"_hits{i}" for i in range(len(PURGE_RULES))))
 
 
 def boilerplate(df: DataFrame, least: int = 5) -> DataFrame:
-    """(line, n_docs): lines found in at least ``least`` texts."""
-    lines = df.select("doc_id", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where("length(line) > 0")
-    return lines.groupBy("line").agg(F.count("*").alias("n_docs")).where(F.col("n_docs") >= least)
+    """(line, n_texts): lines found in at least ``least`` different texts; copies of a text count once."""
+    lines = df.select(F.xxhash64("text").alias("h"), F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where("length(line) > 0")
+    return lines.distinct().groupBy("line").agg(F.count("*").alias("n_texts")).where(F.col("n_texts") >= least)
+
+
+def purge_lines(df: DataFrame, least: int = 5, id_col: str = "doc_id") -> DataFrame:
+    """(id, text, n_removed): texts without boilerplate lines and without lines that repeat an earlier one of the text.
+
+    Only lines that occur in two places at least can go, so texts are joined to those lines' hashes, not to all lines.
+    """
+    found = boilerplate(df, least).select(F.xxhash64("line").alias("h"))
+    texts = df.select(F.col(id_col).alias("id"), F.split("text", "\n").alias("lines"))
+    hit = texts.select("id", F.explode(F.array_distinct("lines")).alias("line")).select("id", F.xxhash64("line").alias("h"))
+    drop = hit.join(found, "h", "left_semi").groupBy("id").agg(F.collect_set("h").alias("drop"))
+    kept = F.filter("lines", lambda line, i: (line == "") | (~F.array_contains(F.coalesce("drop", F.array().cast("array<bigint>")), F.xxhash64(line)) & (F.array_position("lines", line) == i + 1)))
+    out = texts.join(drop, "id", "left").withColumn("kept", kept)
+    return out.select("id", F.array_join("kept", "\n").alias("text"), (F.size("lines") - F.size("kept")).alias("n_removed"))
 
 
 def terms(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return df.select(F.col(id_col).alias("id"), F.explode(F.regexp_extract_all(F.lower(text_col), F.lit(TERM), 0)).alias("term"))
+    return spread(df.select(id_col, text_col)).select(F.col(id_col).alias("id"), F.explode(F.regexp_extract_all(F.lower(text_col), F.lit(TERM), 0)).alias("term"))
 
 
 def key_terms(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", top: int = 10) -> DataFrame:
@@ -107,9 +149,10 @@ def dedup_near(df: DataFrame, threshold: float = 0.8, n: int = 5) -> tuple[DataF
     Exact prefix filtering: two sets that reach the threshold share one of their few rarest shingles, so sets meet only
     over those; sets of too different sizes are not compared. Equal sets are one class and meet nobody twice.
     """
-    sets = shingle_sets(df, n)
-    classes = sets.groupBy("s").agg(F.min("id").alias("class_id"))
-    member = sets.join(classes, "s").select("id", "class_id")
+    sets = checkpoint(shingle_sets(spread(df.select("doc_id", "text")), n).withColumn("h", F.struct(F.xxhash64("s").alias("x"), F.xxhash64(F.lit(1), F.reverse("s")).alias("y"))))
+    heads = sets.groupBy("h").agg(F.min("id").alias("class_id"))
+    member = sets.select("id", "h").join(heads, "h").select("id", "class_id")
+    classes = checkpoint(sets.join(heads.select(F.col("class_id").alias("id")), "id", "left_semi").select(F.col("id").alias("class_id"), "s"))
     exploded = classes.select("class_id", F.size("s").alias("len"), F.explode("s").alias("g"))
     rarity = exploded.groupBy("g").agg(F.count("*").alias("df"))
     ranked = exploded.join(rarity, "g").groupBy("class_id", "len").agg(F.array_sort(F.collect_list(F.struct("df", "g"))).alias("r"))

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from salvage.functions.keys import order_key, uniform
+from salvage.functions.materialize import checkpoint
 from salvage.plans import clusters, neighbors
 from salvage.plans.pairing import global_position
 
@@ -13,11 +14,12 @@ from salvage.plans.pairing import global_position
 SHARE = 0.443
 
 
-def take(df: DataFrame, score: Column, n: int, seed: int = 42, descending: bool = True) -> DataFrame:
-    """The n best rows by score, ties in md5 order. A range exchange puts ids and scores in order; n may be any size."""
-    scored = df.select("sample_id", score.cast("double").alias("score")).where("score is not null")
-    key = F.col("score").desc() if descending else F.col("score").asc()
-    placed = global_position(scored.withColumn("_o", order_key("sample_id", seed)), key, F.col("_o"), F.col("sample_id"))
+def take(df: DataFrame, score: Column, n: int, seed: int = 42, descending: bool = True, first: Column | None = None) -> DataFrame:
+    """The n best rows by score, ties in md5 order; rows without a score come last, and ``first`` (ascending) goes before
+    the score. A range exchange puts ids and scores in order; n may be any size, and n rows come if there are as many."""
+    scored = df.select("sample_id", score.cast("double").alias("score"), (F.lit(0) if first is None else first).alias("_f"))
+    key = F.col("score").desc_nulls_last() if descending else F.col("score").asc_nulls_last()
+    placed = global_position(scored.withColumn("_o", order_key("sample_id", seed)), F.col("_f"), key, F.col("_o"), F.col("sample_id"))
     return placed.where(F.col("pos") < n).select("sample_id", F.round("score", 6).alias("score"), (F.col("pos") + 1).alias("rank"))
 
 
@@ -26,9 +28,9 @@ def by_length(df: DataFrame, n: int, unit: str = "chars") -> DataFrame:
 
 
 def by_knn(vectors: DataFrame, n: int, i: int = 10) -> DataFrame:
-    """Rows far from their i nearest neighbours first."""
+    """Rows far from their i nearest neighbours first; a row without neighbours comes last."""
     near = neighbors.knn(vectors, i, "euclid").groupBy("sample_id").agg(F.round(-F.avg("sim"), 5).alias("d"))
-    return take(near, F.col("d"), n)
+    return take(vectors.select("sample_id").join(near, "sample_id", "left"), F.col("d"), n)
 
 
 def by_perplexity(scored: DataFrame, n: int, end: str = "low") -> DataFrame:
@@ -49,29 +51,42 @@ def top_rated(df: DataFrame, n: int, rating: str = "raw_score") -> DataFrame:
 
 
 def by_difficulty(scored: DataFrame, n: int) -> DataFrame:
-    """Largest ratio below 1; rows at 1 and above are left out first."""
-    return take(scored.where("difficulty < 1"), F.col("difficulty"), n)
+    """Largest ratio below 1. Where these are fewer than n, the rows at 1 and above follow, the least first, then rows
+    without a ratio (no response)."""
+    above = F.coalesce((F.col("difficulty") >= 1).cast("int"), F.lit(2))
+    return take(scored, F.when(F.col("difficulty") < 1, F.col("difficulty")).otherwise(-F.col("difficulty")), n, first=above)
 
 
 def score_diverse(df: DataFrame, pairs: DataFrame, score: Column, n: int) -> DataFrame:
-    """In order of score, rows that are not similar to one accepted before; the same rounds as for one-hop clusters."""
+    """In order of score, rows that are not similar to one accepted before, by the rounds of one-hop clusters; where these
+    are fewer than n, the other rows follow in order of score. ``pairs`` is (a, b, sim)."""
     scored = df.withColumn("_score", score.cast("double"))
-    hop = clusters.one_hop(scored, pairs, order=-F.col("_score")).where("is_centroid").select("sample_id")
-    return take(scored.join(hop, "sample_id", "left_semi"), F.col("_score"), n)
+    hop = clusters.one_hop(scored, pairs, order=-F.col("_score")).select("sample_id", (~F.col("is_centroid")).cast("int").alias("_like"))
+    return take(scored.join(hop, "sample_id"), F.col("_score"), n, first=F.col("_like"))
 
 
 def by_target(vectors: DataFrame, targets: DataFrame, n: int) -> DataFrame:
     """Rows most similar to the targets (target_id, tvec), in turn: every target's first, then every second, and so on.
 
-    The targets are an evaluation set; one that is too large to compare in one block goes through the blocks of knn.
+    Targets go to blocks of rows, and each block hands on as many rows a target as the turns need: about n over the number
+    of targets, twice as many whenever the turns gave fewer than n different rows.
     """
-    small = targets.select(F.col("target_id").alias("sample_id"), F.col("tvec").alias("vec"))
-    shifted = small.withColumn("sample_id", -1 - F.col("sample_id"))
-    near = neighbors.knn(vectors.select("sample_id", "vec").union(shifted), n, queries=shifted).where("nn_id >= 0")
-    turn = F.row_number().over(Window.partitionBy("sample_id").orderBy(F.desc("sim"), "nn_id"))
-    first = near.withColumn("turn", turn).groupBy("nn_id").agg(F.min(F.struct("turn", (-F.col("sample_id")).alias("t"))).alias("m"), F.max("sim").alias("s"))
-    placed = global_position(first, F.col("m"), F.col("nn_id"))
-    return placed.where(F.col("pos") < n).select(F.col("nn_id").alias("sample_id"), F.round("s", 6).alias("score"), (F.col("pos") + 1).alias("rank"))
+    rows = checkpoint(vectors.select("sample_id", "vec"))
+    asked = checkpoint(targets.select((-1 - F.col("target_id")).alias("sample_id"), F.col("tvec").alias("vec")))
+    whole, count = rows.count(), asked.count()
+    turns = max(1, -(-n // max(count, 1)))
+    while True:
+        near = checkpoint(neighbors.best_in_blocks(asked, rows, turns))
+        seat = F.struct(F.col("nn_rank").alias("turn"), (-F.col("sample_id")).alias("t"))
+        first = near.groupBy("nn_id").agg(F.min(seat).alias("m"), F.max("sim").alias("s"))
+        placed = global_position(first, F.col("m"), F.col("nn_id"))
+        if turns >= whole or placed.where(F.col("pos") == n - 1).count():
+            break
+        turns = min(whole, 2 * turns)
+    # A row's best score is over all targets that may reach it in later turns too, so it is worked out for chosen rows.
+    chosen = checkpoint(placed.where(F.col("pos") < n).select(F.col("nn_id").alias("sample_id"), (F.col("pos") + 1).alias("rank")))
+    best = neighbors.best_in_blocks(rows.join(chosen.select("sample_id"), "sample_id", "left_semi"), asked, 1)
+    return chosen.join(best.select("sample_id", "sim"), "sample_id").select("sample_id", F.round("sim", 6).alias("score"), "rank")
 
 
 def corrected_rare(df: DataFrame, n: int) -> DataFrame:
@@ -80,9 +95,10 @@ def corrected_rare(df: DataFrame, n: int) -> DataFrame:
 
 
 def by_rules(df: DataFrame, n: int, least: int = 100, most: int = 20_000, max_symbols: float = 0.05) -> DataFrame:
-    """Thresholds on length and noise; what passes, longest first."""
+    """Thresholds on length and noise; what passes, longest first, then the rest in the same order."""
     symbols = F.regexp_count("text", F.lit(r"[#*%&$!|]")) / F.greatest(F.length("text"), F.lit(1))
-    return take(df.where(F.length("text").between(least, most) & (symbols <= max_symbols)), F.length("text"), n)
+    fails = ~(F.length("text").between(least, most) & (symbols <= max_symbols))
+    return take(df, F.length("text"), n, first=F.coalesce(fails, F.lit(True)).cast("int"))
 
 
 def overlap(selections: DataFrame) -> DataFrame:
@@ -92,3 +108,17 @@ def overlap(selections: DataFrame) -> DataFrame:
     both = x.join(y, (F.col("x.sample_id") == F.col("y.sample_id")) & (F.col("x.method") < F.col("y.method"))).groupBy(F.col("x.method").alias("a"), F.col("y.method").alias("b")).agg(F.count("*").alias("common"))
     na, nb = sizes.select(F.col("method").alias("a"), F.col("n").alias("na")), sizes.select(F.col("method").alias("b"), F.col("n").alias("nb"))
     return na.crossJoin(nb).where("a < b").join(both, ["a", "b"], "left").select("a", "b", F.coalesce("common", F.lit(0)).alias("common"), F.round(F.coalesce("common", F.lit(0)) / (F.col("na") + F.col("nb") - F.coalesce("common", F.lit(0))), 6).alias("jaccard"))
+
+
+#: Every way of choosing by one name; ``select`` takes what each needs as keywords.
+METHODS = {
+    "length": by_length, "knn": by_knn, "perplexity": by_perplexity, "random": at_random, "top_rated": top_rated, "difficulty": by_difficulty,
+    "score_diverse": score_diverse, "target_sim": by_target, "corrected_rare": corrected_rare, "rules": by_rules,
+}
+
+
+def select(df: DataFrame, method: str, n: int, **options) -> DataFrame:
+    """(sample_id, score, rank) of n rows by the named method; ``options`` are those of its function."""
+    if method not in METHODS:
+        raise ValueError(f"{method} is none of {', '.join(METHODS)}")
+    return METHODS[method](df, n=n, **options)
