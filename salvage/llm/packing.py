@@ -10,7 +10,10 @@ sequences and no task grows with the input.
 
 from __future__ import annotations
 
+import os
+import re
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -26,6 +29,8 @@ from salvage.llm.common import blocks, checkpoint, short_batches
 GROUP_ROWS, FAN_IN = 8192, 16
 #: The id at a document's end, and pieces of text whose ids a worker remembers.
 END_ID, CACHE_PIECES = 1, 1 << 20
+#: What the tokenizer's splitting pattern comes to on ASCII text, for a faster engine; tests compare the ids.
+_ASCII = re.compile(r"'(?:s|t|re|ve|m|ll|d)| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
 
 
 @lru_cache(maxsize=2)
@@ -36,12 +41,13 @@ def encoder(json_path: str):
     text are those of its pieces, each of which is encoded once and remembered. A text that spells out a special token
     goes to the tokenizer whole, which looks for those before it splits.
     """
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
     import public_tokenizers
     from tokenizers import Tokenizer
 
     tokenizer = Tokenizer.from_file(json_path)
     special = [t.content for t in tokenizer.get_added_tokens_decoder().values()]
-    split, known = regex.compile(public_tokenizers.PATTERN).findall, {}
+    split, split_ascii, known = regex.compile(public_tokenizers.PATTERN).findall, _ASCII.findall, {}
 
     def whole(text: str) -> list[int]:
         return tokenizer.encode(text, add_special_tokens=False).ids
@@ -49,14 +55,13 @@ def encoder(json_path: str):
     def encode(text: str) -> np.ndarray:
         if any(t in text for t in special):
             return np.array(whole(text), np.uint32)
-        if len(known) > CACHE_PIECES:
-            known.clear()
-        ids: list[int] = []
-        for piece in split(text):
-            if (own := known.get(piece)) is None:
-                own = known[piece] = whole(piece)
-            ids += own
-        return np.array(ids, np.uint32)
+        pieces = split_ascii(text) if text.isascii() else split(text)
+        if new := list(set(pieces).difference(known)):
+            if len(known) > CACHE_PIECES:
+                known.clear()
+                new = list(set(pieces))
+            known.update(zip(new, (array("I", e.ids).tobytes() for e in tokenizer.encode_batch_fast(new, add_special_tokens=False)), strict=True))
+        return np.frombuffer(b"".join(map(known.__getitem__, pieces)), np.uint32)
 
     return encode
 

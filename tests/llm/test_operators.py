@@ -591,6 +591,8 @@ def test_ids_are_those_of_the_json_file():
     rng = random.Random(11)
     alphabet = "abc XYZ012\n\t\r\u00a0éß中文🙂\u200d'’.,!?<|endoftext|>#$ \u3000\x00\x7f"
     texts = ["", " ", "  a  b   ", "a" * 5000, " " * 5000 + "x", "<|endoftext|>" * 3, "it's I'LL we've", "\u0301e\u0301", "🙂" * 300, "x\n" * 2000] + ["".join(rng.choice(alphabet) for _ in range(rng.randint(1, 200))) for _ in range(400)]
+    ascii_ = [chr(i) for i in range(128)] + list(" \t\n''stremdlve")
+    texts += ["".join(rng.choice(ascii_) for _ in range(rng.randint(1, 120))) for _ in range(1500)]
     for text in texts:
         assert encode(text).tolist() == whole.encode(text, add_special_tokens=False).ids, text[:80]
 
