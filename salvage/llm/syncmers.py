@@ -11,7 +11,6 @@ estimate of a share p has a standard error of sqrt(p (1 - p) / 48), 0.07 at most
 from __future__ import annotations
 
 import hashlib
-import json
 from collections.abc import Iterator
 
 import numpy as np
@@ -102,7 +101,10 @@ def _bucket(value: Column, splits: list[tuple], kind: str) -> Column:
     """How many of the ascending ``splits`` are at most ``value``, by binary search in a constant of the plan."""
     if not splits:
         return F.lit(0)
-    n, table = len(splits), F.from_json(F.lit(json.dumps([{"id": i, "nh": h} for i, h in splits])), f"array<{kind}>")
+    id_kind = kind.removeprefix("struct<id:").removesuffix(",nh:bigint>")
+    text = lambda i: "null" if i is None else "'" + str(i).replace("\\", "\\\\").replace("'", "\\'") + "'"
+    rows = ", ".join(f"named_struct('id', cast({text(i)} as {id_kind}), 'nh', {h}L)" for i, h in splits)
+    n, table = len(splits), F.expr(f"array({rows})")  # folded to one constant; a parsed JSON text would be read for every row
     steps = [1 << i for i in reversed(range(n.bit_length()))]
     go = lambda at, step: F.when((at + step <= n) & (F.element_at(table, F.least(at + step, F.lit(n))) <= value), at + step).otherwise(at)
     return F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), go)
