@@ -12,7 +12,6 @@ declaration, or a posterior below a half) are undetermined.
 
 from __future__ import annotations
 
-import json
 import math
 import re
 from collections.abc import Iterator
@@ -130,8 +129,8 @@ def _salts(votes: DataFrame, parts: int):
     total = votes.agg(F.coalesce(F.sum("count"), F.lit(0)).alias("n")).first()["n"]
     worth = max(1, total // parts)
     hot = votes.where("_host is not null").groupBy("_host").agg(F.sum("count").alias("n")).where(F.col("n") > worth).collect()
-    known = F.from_json(F.lit(json.dumps({r["_host"]: -(-r["n"] // worth) for r in hot})), "map<string,int>")
-    number = lambda host: F.coalesce(F.element_at(known, host), F.lit(1))
+    known = F.create_map(*(F.lit(x) for r in hot for x in (r["_host"], int(-(-r["n"] // worth)))))
+    number = lambda host: F.coalesce(F.element_at(known, host), F.lit(1)) if hot else F.lit(1)
     return (lambda host, text: F.pmod(F.xxhash64(text), number(host)).cast("int")), number
 
 

@@ -8,7 +8,6 @@ table inside the plan, so urls take part in no join and no exchange; a longer on
 
 from __future__ import annotations
 
-import json
 import re
 import zlib
 from dataclasses import asdict, dataclass
@@ -18,8 +17,8 @@ from pyspark.sql import functions as F
 
 from salvage.llm.common import checkpoint
 
-#: Rules up to which the index is a constant of the plan (some 10 MB), and rows up to which a side is broadcast.
-PLAN_RULES, BROADCAST_ROWS = 50_000, 500_000
+#: Rules up to which the index is a constant of the plan (some hundred KB), and rows up to which a side is broadcast.
+PLAN_RULES, BROADCAST_ROWS = 5_000, 500_000
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _AUTHORITY = r"(?s)^.*?://([^/?#]*)"
 _PATH = r"(?s)^.*?://[^/?#]*([^?#]*)"
@@ -107,7 +106,12 @@ def _in_plan(index: DataFrame) -> Column:
     table: list[list] = [[] for _ in range(slots)]
     for token in sorted(by):
         table[zlib.crc32(token.encode()) % slots].append({"t": token, "rules": by[token]})
-    filed = F.from_json(F.lit(json.dumps(table)), f"array<array<struct<t:string,rules:array<{_RULE}>>>>")
+    text = lambda x: "'" + x.replace("\\", "\\\\").replace("'", "\\'") + "'"
+    rule = lambda r: f"named_struct('rank', {r['rank']}, 'name', {text(r['name'])}, 'action', {text(r['action'])}, 'listed', {str(r['listed']).lower()}, 'pattern', {text(r['pattern'])})"
+    one = lambda x: f"named_struct('t', {text(x['t'])}, 'rules', array({', '.join(map(rule, x['rules']))}))"
+    empty = f"cast(array() as array<struct<t:string,rules:array<{_RULE}>>>)"
+    slots_ = ", ".join(f"array({', '.join(map(one, slot))})" if slot else empty for slot in table)
+    filed = F.expr(f"array({slots_})")  # folded to one constant; a parsed JSON text would be read for every url
 
     def fetch(token: Column) -> Column:
         slot = F.element_at(filed, (F.pmod(F.crc32(token), F.lit(slots)) + 1).cast("int"))
