@@ -66,8 +66,6 @@ def test_best_number_of_cells(spark):
     member = v.select("sample_id", F.lit(7).cast("long").alias("cluster_id"))
     rows = clusters.subcluster(member, v).collect()
     assert {r["k"] for r in rows} == {3} and len({(r["sample_id"] // 20, r["sub_id"]) for r in rows}) == 3
-    split = clusters.subcluster(member, v, max_group=30).collect()  # the path of large clusters
-    assert len(split) == 60 and len({(r["sample_id"] // 20, r["sub_id"]) for r in split}) == 3
     two = clusters.subcluster(member.limit(2), v).collect()
     assert {r["sub_id"] for r in two} == {0}
 
@@ -96,10 +94,46 @@ def test_hyperplane_bands_find_most_pairs(spark):
     assert score["recall"] > 0.97 and score["precision"] == 1.0
 
 
-def test_exact_form_refuses_large_inputs(spark, monkeypatch):
-    monkeypatch.setattr(neighbors, "MAX_EXACT_ROWS", 2)
-    with pytest.raises(ValueError):
-        neighbors.knn(frame(spark, np.eye(3)), 1)
+def test_no_size_is_refused_and_forms_agree(spark):
+    """One window is compared whole; small windows find most; every row gets its k neighbours."""
+    m = np.random.default_rng(11).standard_normal((400, 12))
+    m[200:240] = m[0]
+    v = frame(spark, m)
+    exact, whole, small = (neighbors.knn(v, 3, **o) for o in ({"method": "exact", "block_rows": 64}, {}, {"window": 64, "trees": 12}))
+    keys = lambda df: sorted((r["sample_id"], r["nn_rank"], r["nn_id"]) for r in df.collect())
+    assert keys(exact) == keys(whole) and small.count() == 1200
+    assert neighbors.recall(small, exact, ["sample_id", "nn_id"]).first()["recall"] > 0.8
+
+
+def test_hot_bands_are_split_without_loss(spark):
+    rng = np.random.default_rng(12)
+    m = np.vstack([c + 0.05 * rng.standard_normal((60, 16)) for c in rng.standard_normal((4, 16))])
+    v = frame(spark, m)
+    exact = neighbors.sim_pairs(v, 0.9)
+    keys = neighbors.band_keys(v.select("sample_id", "vec"), 4, 10, bucket_rows=20)
+    assert keys.groupBy("key").count().agg(F.max("count")).first()[0] < 240
+    split = neighbors.sim_pairs(v, 0.9, "lsh", bits=4, bands=10, bucket_rows=20)
+    assert neighbors.recall(split, exact, ["a", "b"]).first()["recall"] > 0.97
+
+
+@pytest.mark.parametrize("method", ["exact", "lsh"])
+def test_prefixes_equal_the_sequential_definition(spark, method):
+    rng = np.random.default_rng(13)
+    base = rng.standard_normal((60, 10))
+    v = frame(spark, np.vstack([base, base + 0.1 * rng.standard_normal((60, 10)), np.repeat(base[:2], 20, 0)]))
+    strip = lambda df: sorted((r["sample_id"], r["cluster_id"], r["is_centroid"]) for r in df.collect())
+    want = strip(clusters.one_hop(v, neighbors.sim_pairs(v, 0.9)))
+    assert strip(clusters.one_hop_of_copies(v, 0.9, method, first_rows=15)) == want
+
+
+@pytest.mark.parametrize("metric", ["cosine", "sqeuclid"])
+def test_large_clusters_have_the_cells_of_small_ones(spark, metric):
+    rng = np.random.default_rng(14)
+    m = np.vstack([5 * c + 0.4 * rng.standard_normal((40, 4)) for c in np.eye(4)[:3]] + [rng.standard_normal((50, 4)), np.zeros((2, 4))])
+    v = frame(spark, m)
+    member = v.select("sample_id", (F.col("sample_id") >= 120).cast("long").alias("cluster_id"))
+    rows = [sorted((r["sample_id"], r["sub_id"], r["k"], round(r["silhouette"], 6)) for r in clusters.subcluster(member, v, k_max=5, metric=metric, max_group=g).collect()) for g in (1000, 60, 10)]
+    assert rows[0] == rows[1] == rows[2]
 
 
 def test_knn_of_texts_and_zero_vectors(spark):

@@ -93,3 +93,11 @@ def test_simulated_ratings_follow_the_matrix(spark):
     rows = spark.range(6000).select(F.col("id").alias("sample_id"), (F.col("id") % 3).cast("int").alias("y"))
     counted = {(r["i"], r["j"]): r["prob"] for r in c.transition_by_counting(c.simulate_rating(rows, t), 3).collect()}
     assert max(abs(counted[i, j] - t[i, j]) for i in range(3) for j in range(3)) < 0.03
+
+
+def test_likelihood_finds_planted_classes():
+    rng = np.random.default_rng(3)
+    t, p = c.planted_matrix(6, 0.75), np.array([0.05, 0.07, 0.04, 0.05, 0.75, 0.04])
+    counts = rng.multinomial(20_000, np.einsum("i,ia,ib,ic->abc", p, t, t, t).ravel()).reshape(6, 6, 6)
+    found = c.solve_likelihood(counts, steps=200)
+    assert np.abs(found.t - t).max() < 0.1 and np.abs(found.p - p).max() < 0.02

@@ -40,7 +40,7 @@ def test_perplexity_prefers_what_was_seen(spark):
     assert ppl[9] > ppl[0] > 1
 
 
-@pytest.mark.parametrize("learner", ["bayes", "centroid", "least_squares"])
+@pytest.mark.parametrize("learner", ["bayes", "centroid", "logistic", "least_squares"])
 def test_learners_tell_languages_apart(spark, sf, learner):
     docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
     facts = evaluate.targets(docs, labels).withColumn("test", evaluate.held_out(F.col("text")))
@@ -52,8 +52,19 @@ def test_learners_tell_languages_apart(spark, sf, learner):
 
 
 def test_all_held_out_rows_are_scored(spark):
-    train = spark.createDataFrame([(["a"], "y" * 200 + " red fox"), (["a", "b"], "z" * 200 + " red")], "methods array<string>, text string")
-    test = spark.range(2500).select(F.col("id").alias("sample_id"), F.when(F.col("id") < 1000, "y" * 200 + " red fox").otherwise("z" * 200 + " red").alias("text"))
-    got = {r["method"]: (r["n"], r["score"]) for r in evaluate.nearest_texts(train, test, ["a", "b"]).collect()}
-    assert got == {"a": (2500, 100.0), "b": (2500, round(100 * (1000 * 2 / 3 + 1500) / 2500, 1))}
+    train = spark.createDataFrame([(["a"], "Yes my first sentence. red fox"), (["a", "b"], "Zoo closed again today! red")], "methods array<string>, text string")
+    test = spark.range(2500).select(F.col("id").alias("sample_id"), F.when(F.col("id") < 1000, "Yes my first sentence. red fox").otherwise("Zoo closed again today! red").alias("text"))
+    got = {r["method"]: (r["n"], r["score"]) for r in evaluate.nearest_texts(train, test, ["a", "b", "none"]).collect()}
+    assert got == {"a": (2500, 100.0), "b": (2500, round(100 * (1000 * 2 / 3 + 1500) / 2500, 1)), "none": (2500, 0.0)}
     assert evaluate.nearest_texts(train, test.limit(0), ["a", "b"]).count() == 0
+
+
+def test_selectors_fill_their_budget(spark):
+    scored = spark.createDataFrame([(1, 0.9), (2, 0.5), (3, 1.2), (4, 1.1), (5, None)], "sample_id long, difficulty double")
+    order = [r["sample_id"] for r in select.select(scored, "difficulty", 5).orderBy("rank").collect()]
+    assert order == [1, 2, 4, 3, 5]
+    with pytest.raises(ValueError):
+        select.select(scored, "unknown", 1)
+    rows = spark.createDataFrame([(i, 10 - i) for i in range(6)], "sample_id long, s int")
+    near = spark.createDataFrame([(0, 1, 0.95), (1, 2, 0.95)], "a long, b long, sim double")
+    assert [r["sample_id"] for r in select.score_diverse(rows, near, F.col("s"), 6).orderBy("rank").collect()] == [0, 2, 3, 4, 5, 1]
