@@ -120,9 +120,12 @@ def join_cross(spark, sf):
 
 @query("join_lateral", "SELECT s_suppkey, l_orderkey, l_linenumber FROM (SELECT l_suppkey AS s_suppkey, l_orderkey, l_linenumber, row_number() OVER (PARTITION BY l_suppkey ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber) AS r FROM lineitem JOIN supplier ON s_suppkey = l_suppkey) WHERE r <= 2")
 def join_lateral(spark, sf):
-    top = read(spark, sf, "lineitem").select("l_suppkey", "l_orderkey", "l_linenumber", "l_extendedprice")
-    best = top.groupBy("l_suppkey").agg(F.expr("slice(array_sort(collect_list(struct(-l_extendedprice as p, l_orderkey as o, l_linenumber as n))), 1, 2)").alias("two"))
-    return read(spark, sf, "supplier").join(best, F.col("s_suppkey") == F.col("l_suppkey")).select("s_suppkey", F.inline("two")).select("s_suppkey", F.col("o").alias("l_orderkey"), F.col("n").alias("l_linenumber"))
+    from pyspark.sql import Window
+
+    lines = read(spark, sf, "lineitem").select("l_suppkey", "l_orderkey", "l_linenumber", "l_extendedprice")
+    nth = F.row_number().over(Window.partitionBy("l_suppkey").orderBy(F.desc("l_extendedprice"), "l_orderkey", "l_linenumber"))  # Spark keeps two a partition before the exchange
+    two = lines.withColumn("nth", nth).where("nth <= 2")
+    return read(spark, sf, "supplier").join(two, F.col("s_suppkey") == F.col("l_suppkey")).select("s_suppkey", "l_orderkey", "l_linenumber")
 
 
 @query("join_salted", "SELECT event_type, count(*) AS n, sum(total) AS weight FROM events JOIN (SELECT user_id, count(*) AS total FROM events GROUP BY 1) USING (user_id) GROUP BY 1")
