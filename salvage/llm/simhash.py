@@ -31,6 +31,8 @@ SHINGLE, SEED, THRESHOLD = 3, 42, 2
 _BITS, _RADIUS, _GENERATOR = 23, 3, 0b101011100011  # fixed values of the Golay code
 #: Rows that are compared together, pairs compared at once, and pairs from which an anchor is split by further bits.
 CHUNK_ROWS, CHUNK_PAIRS, SPLIT_PAIRS = 1 << 19, 1 << 21, 1 << 16
+#: Links (16 bytes each) up to which one task connects them all; more are connected in rounds, with the same result.
+ONE_TASK = 1 << 20
 #: Near duplicates: words of a shingle, the least Jaccard index (4 of 5), bands and minima of a band. A pair at exactly
 #: 0.8 shares no band with probability (1 - 0.8^5)^30 = 7e-6.
 WORDS, LEAST, BANDS, MINIMA = 5, (4, 5), 30, 5
@@ -221,9 +223,10 @@ def links(distinct: DataFrame) -> DataFrame:
     return sent.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(compare, "u bigint, v bigint")
 
 
-def connect(edges: DataFrame) -> DataFrame:
-    """(u, root) for every node u with links, other than roots: alternate large and small stars to the least neighbour
-    until nothing changes. Only a count and a checksum of the links reach the driver."""
+def connect(edges: DataFrame, one_task: int | None = None) -> DataFrame:
+    """(u, root) for every node u with links, other than roots. Up to ``one_task`` links (ONE_TASK by default) are one
+    task's work; beyond it large and small stars to the least neighbour alternate until nothing changes. Only a count
+    and a checksum of the links reach the driver."""
 
     def star(e: DataFrame, large: bool) -> DataFrame:
         seen = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v"))) if large else e
@@ -238,8 +241,17 @@ def connect(edges: DataFrame) -> DataFrame:
     def mark(e: DataFrame) -> tuple:
         return tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
 
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [[batch.column(c).to_numpy(zero_copy_only=False) for c in ("u", "v")] for batch in batches]
+        if held:
+            node, root = components(*(np.concatenate(x) for x in zip(*held, strict=True)))
+            apart = node != root
+            yield pa.RecordBatch.from_arrays([pa.array(node[apart]), pa.array(root[apart])], ["u", "root"])
+
     edges = checkpoint(edges.distinct())
     seen = mark(edges)
+    if seen[0] <= (ONE_TASK if one_task is None else one_task):
+        return checkpoint(edges.select("u", "v").coalesce(1).mapInArrow(whole, "u bigint, root bigint"))
     while seen[0]:
         edges = checkpoint(star(star(edges, True), False))
         now = mark(edges)
@@ -291,13 +303,20 @@ def band_keys(shingles: np.ndarray) -> list[int]:
     return np.array(keys, np.uint64).view(np.int64).tolist()
 
 
-def _similar(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """The (a, b) of ``pairs`` whose texts are at least 0.8 alike; only the texts of pairs move."""
+def _shingle_sets(texts: DataFrame) -> DataFrame:
+    """(h, s): the shingle set of each text, once a hash."""
 
-    def to_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingle_set(t).tobytes() for t in batch.column(1).to_pylist()], pa.binary())], ["h", "s"])
 
+    once = texts.groupBy("h").agg(F.first("text").alias("text"))
+    return short_batches(once.select("h", "text")).mapInArrow(run, "h bigint, s binary")
+
+
+def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The (a, b) of ``pairs`` whose texts are at least 0.8 alike."""
+
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             near = []
@@ -308,9 +327,6 @@ def _similar(pairs: DataFrame, texts: DataFrame) -> DataFrame:
             kept = batch.filter(pa.array(near, pa.bool_()))
             yield pa.RecordBatch.from_arrays([kept.column("a"), kept.column("b")], ["a", "b"])
 
-    met = pairs.select(F.col("a").alias("h")).union(pairs.select("b")).distinct()
-    wanted = texts.join(met, "h", "left_semi").groupBy("h").agg(F.first("text").alias("text"))
-    sets = checkpoint(short_batches(wanted.select("h", "text")).mapInArrow(to_sets, "h bigint, s binary"))
     side = lambda c: sets.select(F.col("h").alias(c), F.col("s").alias(f"s{c}"))
     return pairs.join(side("b"), "b").join(side("a"), "a").mapInArrow(compare, "a bigint, b bigint")
 
@@ -320,9 +336,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     id among all rows reachable over pairs of texts at least 0.8 alike. All texts without words are alike; null ids take
     part but name no component.
 
-    Texts that share a band are compared, first of the band against all others, then the next two, four and so on: a
-    band ends when its texts are in one component or all have been compared. So a group of near copies costs a number of
-    comparisons linear in its texts, and no pair that shares a band and is not yet connected is left out.
+    Texts that share a band are compared, first of the band against all others, then the next four, sixteen and so on:
+    a band ends when its texts are in one component or all have been compared. So a group of near copies costs a number
+    of comparisons linear in its texts, and no pair that shares a band and is not yet connected is left out. No band is
+    sorted in one task: its heads are found by a grouped limit, its rows by joins that AQE may split.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -336,22 +353,26 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     nodes = marked.groupBy("h").agg(F.min("id").alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"))
     nodes = checkpoint(nodes)
     rows = nodes.select("h", "n", F.explode("keys").alias("key"))
-    roots, width, edges = None, 1, None
+    roots, sets, width = None, None, 1
     while True:
-        at = rows.withColumn("root", F.col("h")) if roots is None else rows.drop("root").join(roots.withColumnRenamed("u", "h"), "h", "left").withColumn("root", F.coalesce("root", "h"))
-        band = Window.partitionBy("key")
-        at = at.withColumn("low", F.min("root").over(band)).withColumn("high", F.max("root").over(band)).where("low <> high")
-        at = at.withColumn("place", F.row_number().over(band.orderBy("h")))
-        at = checkpoint(at.select("key", "h", "n", "root", "place"))
+        if roots is None:
+            at = rows.withColumn("root", F.col("h"))
+        else:
+            at = rows.join(roots.withColumnRenamed("u", "h"), "h", "left").withColumn("root", F.coalesce("root", "h"))
+        mixed = at.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
+        at = checkpoint(at.join(mixed, "key").select("key", "h", "n", "root"))
         if at.isEmpty():
             break
-        head = at.where(F.col("place") <= width).select("key", F.col("h").alias("a"), F.col("n").alias("m"), F.col("root").alias("r"), F.col("place").alias("p"))
+        if sets is None:  # later rounds meet no texts but these
+            sets = checkpoint(_shingle_sets(texts.join(at.select("h").distinct(), "h", "left_semi")))
+        head = at.withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy("h"))).where(F.col("place") <= width)
+        head = head.select("key", F.col("h").alias("a"), F.col("n").alias("m"), F.col("root").alias("r"))
         size = (F.least("n", "m") * LEAST[1]) >= (F.greatest("n", "m") * LEAST[0])  # no pair of other sizes is alike
-        pairs = checkpoint(head.join(at, "key").where((F.col("p") < F.col("place")) & (F.col("r") != F.col("root")) & size).select("a", F.col("h").alias("b")).distinct())
-        found = checkpoint(_similar(pairs, texts).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")))
-        edges = found if edges is None else checkpoint(edges.union(found))
-        roots = connect(edges)
-        rows, width = at.where(F.col("place") > width).select("h", "n", "key"), 2 * width
+        pairs = head.join(at, "key").where((F.col("a") < F.col("h")) & (F.col("r") != F.col("root")) & size).select("a", F.col("h").alias("b")).distinct()
+        found = _similar(pairs, sets).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
+        roots = connect(found if roots is None else found.union(roots.select("u", F.col("root").alias("v"))))
+        last = head.groupBy("key").agg(F.max("a").alias("last"))
+        rows, width = at.join(last, "key").where("h > last").select("key", "h", "n"), 4 * width
     if roots is None:
         rooted = nodes.select("h", "least", F.col("h").alias("root"))
     else:

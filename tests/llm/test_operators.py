@@ -689,7 +689,8 @@ def test_hot_anchors_are_split(monkeypatch):
 
 def test_long_chains_connect(spark):
     chain = spark.createDataFrame([(i + 1, i) for i in range(200)] + [(500, 400)], "u long, v long")
-    assert {r["u"]: r["root"] for r in simhash.connect(chain).collect()} == {i: 0 for i in range(1, 201)} | {500: 400}
+    for one_task in (0, None):  # in rounds, and in one task
+        assert {r["u"]: r["root"] for r in simhash.connect(chain, one_task).collect()} == {i: 0 for i in range(1, 201)} | {500: 400}
 
 
 def test_simhash_of_nothing(none):
