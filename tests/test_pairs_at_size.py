@@ -56,3 +56,22 @@ def test_exact_neighbours_with_ties(spark, crowd, metric):
     for r in neighbors.knn(vectors(spark, crowd), 4, metric, "exact", block_rows=16).orderBy("sample_id", "nn_rank").collect():
         got.setdefault(r["sample_id"], []).append(r["sim"])
     assert all(np.allclose(got[i], want[i], atol=1e-7) for i in want) and len(got) == len(want)
+
+
+@pytest.mark.parametrize("name", ["knn_exact", "knn_euclid", "consensus2", "consensus3"])
+def test_neighbours_beyond_one_window(spark, tmp_path, name):
+    """More rows than the forest compares whole: the queries named exact, and those counted from them, equal SQL."""
+    import duckdb
+
+    from salvage import catalog
+
+    m = np.random.default_rng(3).standard_normal((9000, 48)).astype(np.float32)
+    m[8900:] = m[:100]
+    rows = [(i, row.tolist(), i % 10) for i, row in enumerate(m)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").coalesce(1).write.parquet(f"{tmp_path}/embeddings.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet/*.parquet'")
+    df = catalog.queries()[name](spark, str(tmp_path))
+    near = lambda row: tuple(round(x, 5) if isinstance(x, float) else x for x in row)
+    got, want = (sorted(map(near, r)) for r in (df.collect(), con.execute(f"select {', '.join(df.columns)} from ({catalog.oracle_sql()[name]})").fetchall()))
+    assert got == want
