@@ -743,6 +743,48 @@ def test_near_copies_of_the_stage(spark, docs, odd):
     assert kept.columns == table.columns and kept.count() == len({find(i) for i in range(len(rows))}) < simhash.drop_near_duplicates(table).count()
 
 
+def test_half_alike_copies_are_compared_within_groups(spark, monkeypatch):
+    """Copies of one text on both sides of 0.8: few of their pairs are joined with shingles, and no link is lost, also
+    where a group is dealt to tasks by pairs of blocks."""
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choices("abcdefghij", k=6))
+    base = [word() for _ in range(150)]
+    texts = []
+    for _ in range(260):
+        copy = list(base)
+        for at in rng.sample(range(150), rng.randint(0, 9)):
+            copy[at] = word()
+        texts.append(" ".join(copy))
+    parent = list(range(len(texts)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i, j in brute_alike(texts):
+        a, b = sorted((find(i), find(j)))
+        parent[b] = a
+    table = spark.createDataFrame([(i, t, "en", "a", len(t)) for i, t in enumerate(texts)], DOCS)
+    joined = []
+    similar = simhash._similar
+    monkeypatch.setattr(simhash, "_similar", lambda pairs, sets: joined.append(pairs.count()) or similar(pairs, sets))
+    for rows in (1024, 60):
+        monkeypatch.setattr(simhash, "GROUP_ROWS", rows)
+        assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(table).collect()} == {i: find(i) for i in range(len(texts))}
+    assert max(joined) < 10 * len(texts)
+
+
+def test_wide_fingerprints_meet_at_the_least_index():
+    rng = np.random.default_rng(8)
+    for least, size in ((4, 5), (16, 20), (200, 250)):
+        sets = [np.unique(rng.integers(0, 1 << 63, size, np.uint64)) for _ in range(300)]
+        (bits, anchors), (other, others) = simhash.wide_fingerprints(sets), simhash.wide_fingerprints([np.sort(rng.permutation(s)[:least]) for s in sets])
+        assert (anchors == others).any(1).all()
+        differ = np.bitwise_count(bits ^ other)
+        assert differ[:, : simhash.BITS // 8].sum(1).max() <= simhash.RADIUS and differ.sum(1, dtype=int).max() <= simhash.WIDE_RADIUS
+
+
 def test_stages_keep_columns_of_any_name(spark, docs):
     names = ["key", "nth", "copies", "n", "i", "d", "h", "root", "score", "predicted", "language", "_n", "_key"]
     table = docs.limit(60).select("*", *(F.lit(f"own {c}").alias(c) for c in names))
