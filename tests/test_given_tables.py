@@ -15,6 +15,20 @@ def test_rows_come_from_the_table(spark, tmp_path, name):
         catalog.queries()[name](spark, str(tmp_path)).collect()
 
 
+def test_each_query_reads_the_documents_itself(spark, sf, tmp_path):
+    """Not what another query of the session has kept of them."""
+    docs, run = spark.read.parquet(f"{sf}/documents.parquet"), catalog.queries()
+    docs.where("doc_id % 2 = 0").write.parquet(f"{tmp_path}/documents.parquet")
+    for name in ("labels", "benchmark"):
+        spark.read.parquet(f"{sf}/{name}.parquet").write.parquet(f"{tmp_path}/{name}.parquet")
+    rows = lambda name, place: sorted(map(tuple, run[name](spark, place).collect()))
+    before = rows("rater_kappa", str(tmp_path)), rows("consensus_forward2", str(tmp_path))
+    docs.write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+    for name in ("consensus_forward2", "consensus_forward3", "consensus_shifted1", "consensus_shifted2"):
+        assert rows(name, str(tmp_path)) == rows(name, sf)
+    assert rows("consensus_forward2", sf) != before[1]
+
+
 def test_lineage_follows_the_suppliers(spark, tmp_path):
     spark.createDataFrame([(k,) for k in (0, 1, 2, 4, 17, 40)], "s_suppkey long").write.parquet(f"{tmp_path}/supplier.parquet")
     got = {tuple(r) for r in catalog.queries()["cte_recursive_lineage"](spark, str(tmp_path)).collect()}
