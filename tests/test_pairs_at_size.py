@@ -40,6 +40,34 @@ def test_links_and_classes_of_each_row(spark, crowd, block_rows):
     assert got == [(i, first[i], int(links[i])) for i in range(len(crowd))]
 
 
+@pytest.mark.parametrize("block_rows", [16, 8192])
+def test_links_by_bands_are_counted_without_a_list(spark, crowd, block_rows):
+    """As many as the listed pairs of different vectors, fewer than all; with copies, no more than all links."""
+    v = vectors(spark, crowd[:90])
+    listed = [0] * 90
+    for r in neighbors.sim_pairs(v, 0.9, "lsh", bits=4, bands=2).collect():
+        listed[r["a"]] += 1
+        listed[r["b"]] += 1
+    got = {r["sample_id"]: r["links"] for r in neighbors.linked(v, 0.9, block_rows, bands=(4, 2)).collect()}
+    every = {r["sample_id"]: r["links"] for r in neighbors.linked(v, 0.9, block_rows).collect()}
+    assert got == dict(enumerate(listed)) and 0 < sum(listed) < sum(every.values())
+    own = [{r["sample_id"]: r["links"] for r in neighbors.linked(vectors(spark, crowd), 0.9, block_rows, **b).collect()} for b in ({"bands": (4, 2)}, {})]
+    assert all(own[0][i] <= own[1][i] for i in own[1]) and own[0][90] == own[0][0] >= 1 and own[0][100] == 0
+
+
+@pytest.mark.parametrize("name", ["sim_pairs_bands", "knn_recall_measured"])
+def test_band_queries_list_no_pairs(spark, sf, monkeypatch, name):
+    from salvage import catalog
+
+    monkeypatch.setattr(neighbors, "sim_pairs", None)
+    rows = catalog.queries()[name](spark, sf).collect()
+    if name == "sim_pairs_bands":
+        assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count()
+    else:
+        pairs = next(r for r in rows if r["method"] == "pairs_bands")
+        assert 0.99 <= pairs["recall"] <= 1 and pairs["precision"] == 1 and pairs["n_found"] > 0
+
+
 def test_blocks_are_neither_shuffled_in_copies_nor_broadcast(spark, crowd):
     v = vectors(spark, crowd)
     for met in (neighbors.block_pairs(v, v, 16), neighbors._own_pairs(v, 16)):
