@@ -103,3 +103,25 @@ def test_low_documents_are_kept_and_rated_alone(spark, sf):
     score = lambda df: {r["doc_id"]: r["complexity"] for r in rubric(df).collect()}
     every = score(spark.read.parquet(f"{sf}/documents.parquet"))
     assert score(low) == {r["doc_id"]: every[r["doc_id"]] for r in low.select("doc_id").collect()}
+
+
+def test_equal_first_sentences_are_compared_once(spark, monkeypatch):
+    """Against all pairs one by one, with copies, ties, a method without rows and texts without a continuation."""
+    starts, ends = ["red apples grow.", "stone walls stand.", "red apples fall."], [" one two", " two three four", "", " five"]
+    rows = [((["a"] if i % 2 else ["b", "a"]) if i % 5 else ["c"], starts[i % 3] + ends[i % 4], 0, 0, 1, 1) for i in range(24)]
+    train = spark.createDataFrame(rows, "methods array<string>, text string, T1 int, T2 int, T3 int, T4 int").coalesce(1)
+    asked = [starts[i % 2] + ends[(i + 1) % 4] for i in range(9)]
+    test = spark.createDataFrame([(i, t) for i, t in enumerate(asked)], "sample_id long, text string")
+    part = lambda t: (t[: t.index(".") + 1], t[t.index(".") + 1 :])
+    vec = {s: evaluate.char_vector(s).astype(np.float32).astype(float) for s in starts}
+    want = {"none": 0.0}
+    for m in "abc":
+        own, total = [part(r[1]) for r in rows if m in r[0]], 0.0
+        for head, rest in map(part, asked):
+            near = max(range(len(own)), key=lambda j: (round(float(vec[own[j][0]] @ vec[head]), 9), -j))
+            total += evaluate.token_f1(own[near][1], rest)
+        want[m] = round(100 * total / len(asked), 1)
+    sizes, real = [], evaluate.neighbors.block_pairs
+    monkeypatch.setattr(evaluate.neighbors, "block_pairs", lambda a, b: sizes.append((a.count(), b.count())) or real(a, b))
+    assert {r["method"]: r["score"] for r in evaluate.nearest_texts(train, test, ["a", "b", "c", "none"]).collect()} == want
+    assert sizes == [(2, 9)]  # of 9 and 24 rows
