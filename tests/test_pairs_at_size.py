@@ -103,3 +103,46 @@ def test_neighbours_beyond_one_window(spark, tmp_path, name):
     near = lambda row: tuple(round(x, 5) if isinstance(x, float) else x for x in row)
     got, want = (sorted(map(near, r)) for r in (df.collect(), con.execute(f"select {', '.join(df.columns)} from ({catalog.oracle_sql()[name]})").fetchall()))
     assert got == want
+
+
+def test_recall_is_measured_in_one_meeting(spark, sf, monkeypatch):
+    """Exact neighbours and both counts share one product of the blocks, and equal the forms with a product each."""
+    from salvage import catalog
+    from salvage.plans.fixtures import text_vectors
+
+    made, real, whole = [], neighbors._own_pairs, neighbors.block_pairs
+    monkeypatch.setattr(neighbors, "_own_pairs", lambda *a: made.append(1) or real(*a))
+    monkeypatch.setattr(neighbors, "block_pairs", lambda *a: made.append(1) or whole(*a))
+    rows = {r["method"]: r for r in catalog.queries()["knn_recall_measured"](spark, sf).collect()}
+    assert len(made) == 1
+    v = neighbors.collapse(text_vectors(spark, sf))[0]
+    m = np.array([r["vec"] for r in v.orderBy("sample_id").collect()])
+    upper = cosines(m)[np.triu_indices(len(m), 1)]
+    assert rows["pairs_bands"]["n_exact"] == int((upper >= 0.9).sum()) and rows["knn_forest"]["n_exact"] == 2 * len(m)
+
+
+@pytest.mark.parametrize("block_rows", [700, 8192])
+def test_a_meeting_equals_the_forms_it_stands_for(spark, monkeypatch, block_rows):
+    """Many groups, so that slices are left out; ties, near copies, a zero vector, poor bounds; against all pairs."""
+    monkeypatch.setattr(neighbors, "TILE_ROWS", 64)
+    rng = np.random.default_rng(5)
+    m = np.repeat(rng.standard_normal((40, 48)), 40, 0) + rng.standard_normal((1600, 48)) * np.repeat(rng.random(40), 40)[:, None]
+    m = np.float32(np.vstack([m, 2 * m[:9], -m[:4], np.zeros((1, 48)), m[:30] + 1e-4]))
+    v, x = vectors(spark, m), neighbors.units(m.astype(float))
+    s = np.round(x @ x.T, 9) + 0.0
+    np.fill_diagonal(s, -9)
+    poor = spark.createDataFrame([(i, r + 1, j, float(s[i, j])) for i in range(len(m)) for r, j in enumerate(sorted(((i + 1) % len(m), (i + 7) % len(m)), key=lambda j: (-s[i, j], j)))], "sample_id long, nn_rank int, nn_id long, sim double")
+    for bits, bands in ((4, 3), (20, 5), (40, 2)):
+        met = neighbors.meetings(v, 0.9, block_rows, (bits, bands), least=poor, k=2).cache()
+        near: dict = {}
+        for r in neighbors.knn(v, 2, method="exact", met=met).orderBy("sample_id", "nn_rank").collect():
+            near.setdefault(r["sample_id"], []).append(r["sim"])
+        assert len(near) == len(m) and all(np.allclose(near[i], np.sort(s[i])[:-3:-1], atol=2e-9) for i in near)
+        link = np.round(s, 6) >= 0.9
+        words = neighbors._words(m.astype(float), bits, bands, 42)
+        both = link & (words[:, None] == words[None]).any(2)
+        for want, kind in ((link, {}), (both, {"bands": (bits, bands)})):
+            assert {r["sample_id"]: r["links"] for r in neighbors.linked(v, 0.9, met=met, **kind).collect()} == dict(enumerate(want.sum(1)))
+        assert 0 < both.sum() < link.sum()
+    a, b, _, _ = neighbors._outlined(*(x.astype(np.float32),) * 2)
+    assert (a @ b.T >= x @ x.T - 1e-6).all()
